@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, token_counts, url_filter
+from . import mixing, packing, substring_dedup, token_counts, url_filter
 
 QUERIES = {
+    "op3_substring_dedup": substring_dedup.op3_substring_dedup,
     "op4_source_mix": mixing.op4_source_mix,
     "op5_url_filter": url_filter.op5_url_filter,
     "op6_token_counts": token_counts.op6_token_counts,
     "op8_packing": packing.op8_packing,
 }
-ORACLES = {"op4_source_mix": mixing.ORACLE, "op5_url_filter": url_filter.ORACLE}
+ORACLES = {"op3_substring_dedup": substring_dedup.ORACLE, "op4_source_mix": mixing.ORACLE, "op5_url_filter": url_filter.ORACLE}
