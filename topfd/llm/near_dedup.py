@@ -28,8 +28,12 @@ from .common import arrow_map, table, written
 from .graph import components
 from .words import chunks, mix, words
 
-BANDS, ROWS = 20, 5
-SLOTS = BANDS * ROWS
+def banding(percent: int, miss: float = 1e-5) -> tuple[int, int]:
+    """(bands, rows) that miss a pair at the threshold with at most about this probability."""
+    rows = 5 if percent >= 85 else 4
+    return int(np.ceil(np.log(miss) / np.log(1 - (percent / 100) ** rows))), rows
+
+
 #: Signatures that agree on a smaller share of slots are not verified in the second search: 5 deviations below 0.85.
 LEAST_ESTIMATE_MARGIN = 0.2
 BLOCK = 512
@@ -63,7 +67,7 @@ def _nth(k: int) -> np.uint64:
     return np.uint64(k * 0x9E3779B97F4A7C15 % 2**64)
 
 
-def signatures(h: np.ndarray, first: np.ndarray, slots: int = SLOTS) -> np.ndarray:
+def signatures(h: np.ndarray, first: np.ndarray, slots: int) -> np.ndarray:
     """SuperMinHash of each document: uint64[documents, slots], the step in the top 8 bits and the random number below; _UNSET throughout for an empty set."""
     n = len(first) - 1
     sig = np.full(n * slots, _UNSET, np.uint64)
@@ -96,7 +100,7 @@ def signatures(h: np.ndarray, first: np.ndarray, slots: int = SLOTS) -> np.ndarr
     return sig.reshape(n, slots)
 
 
-def band_hashes(sig: np.ndarray, bands: int = BANDS) -> np.ndarray:
+def band_hashes(sig: np.ndarray, bands: int) -> np.ndarray:
     """int64[documents, bands]."""
     parts = sig.reshape(len(sig), bands, -1)
     out = np.broadcast_to(np.arange(bands, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93), parts.shape[:2]).copy()
@@ -118,8 +122,9 @@ def _set_hashes(h: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return out[0], out[1]
 
 
-def facts(docs: DataFrame, width: int) -> DataFrame:
+def facts(docs: DataFrame, width: int, percent: int) -> DataFrame:
     """did, n_shingles, node and node2 (128 bits of the set), bands (null for an empty set)."""
+    n_bands, rows = banding(percent)
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
@@ -127,7 +132,7 @@ def facts(docs: DataFrame, width: int) -> DataFrame:
                 h, first = shingle_sets(data, bounds, width)
                 n = np.diff(first)
                 a, b = _set_hashes(h, first)
-                bands = pa.FixedSizeListArray.from_arrays(pa.array(band_hashes(signatures(h, first)).ravel()), BANDS).cast(pa.list_(pa.int64()))
+                bands = pa.FixedSizeListArray.from_arrays(pa.array(band_hashes(signatures(h, first, n_bands * rows), n_bands).ravel()), n_bands).cast(pa.list_(pa.int64()))
                 bands = pa.compute.if_else(pa.array(n > 0), bands, pa.nulls(len(n), bands.type))
                 yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(n, pa.int64()), pa.array(a), pa.array(b), bands], ["did", "n_shingles", "node", "node2", "bands"])
 
@@ -176,12 +181,12 @@ def _sizes_allow(a: Column, b: Column, percent: int) -> Column:
 
 
 def _block_pairs(percent: int):
-    margin = percent / 100 - LEAST_ESTIMATE_MARGIN
+    margin, (n_bands, _) = percent / 100 - LEAST_ESTIMATE_MARGIN, banding(percent)
 
     def of(rows: pa.Table) -> pa.Table:
         node, comp, n, side = (rows.column(c).to_numpy() for c in ("node", "component", "n_shingles", "side"))
         sig = np.frombuffer(b"".join(rows.column("signature").to_pylist()), np.uint64).reshape(len(node), -1)
-        bands = band_hashes(sig)
+        bands = band_hashes(sig, n_bands)
         band = rows.column("band")[0].as_py()
         left = np.flatnonzero(side <= 0)
         right = np.flatnonzero(side >= 0)
@@ -201,14 +206,14 @@ def _block_pairs(percent: int):
     return of
 
 
-def _signed(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
+def _signed(docs: DataFrame, wanted: DataFrame, width: int, slots: int) -> DataFrame:
     """wanted(node, did) -> node, signature as bytes."""
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for lo, hi, data, bounds in chunks(batch.column(1)):
                 h, first = shingle_sets(data, bounds, width)
-                sig = [x.tobytes() for x in signatures(h, first)]
+                sig = [x.tobytes() for x in signatures(h, first, slots)]
                 good = _set_hashes(h, first)[0] == batch.column(0)[lo:hi].to_numpy()
                 yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(sig, pa.binary())], ["node", "signature"]).filter(pa.array(good))
 
@@ -220,7 +225,7 @@ def _signed(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
 
 def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_shingles, component_id, kept."""
-    known = written(facts(docs, width))
+    known = written(facts(docs, width, percent))
     reps = written(known.where(F.col("n_shingles") > 0).groupBy("node").agg(F.min("did").alias("did"), F.min("n_shingles").alias("n_shingles")))
     banded = known.where(F.col("n_shingles") > 0).dropDuplicates(["node"]).select("node", "n_shingles", F.posexplode("bands").alias("band", "bucket"))
     sizes = banded.groupBy("bucket").agg(F.min(F.struct("node", "n_shingles")).alias("lead"), F.count(F.lit(1)).alias("held")).where(F.col("held") > 1)
@@ -233,7 +238,7 @@ def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     mixed = open_members.groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1"), F.count(F.lit(1)).alias("n_open")).where(F.col("c0") != F.col("c1"))
     rest = written(open_members.join(mixed, "bucket").select("bucket", "band", "node", "n_shingles", "component", "n_open"))
     if rest.limit(1).count():
-        signed = _signed(docs, reps.join(rest.select("node").distinct(), "node"), width)
+        signed = _signed(docs, reps.join(rest.select("node").distinct(), "node"), width, int(np.prod(banding(percent))))
         blocks = F.ceil(F.col("n_open") / BLOCK).cast("int")
         placed = rest.join(signed, "node").withColumn("block", F.pmod(F.xxhash64("node"), blocks).cast("int"))
         # a block meets itself (side 0) and every other block once: the lower number is the left side
@@ -252,6 +257,15 @@ def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     return out.select(real("did").alias("doc_id"), "n_shingles", real("component").alias("component_id"), (F.col("did") == F.col("component")).alias("kept"))
 
 
+def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """The documents, with all their columns, that have the smallest id of their group; of repeated rows with one id, one."""
+    judged = written(groups(docs, width, percent).where("kept").select(F.coalesce("doc_id", F.lit(int(_LAST))).alias("_kept")))
+    ids = judged.distinct()
+    kept = docs.join(ids, F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))) == F.col("_kept"), "left_semi")
+    again = judged.groupBy("_kept").count().where(F.col("count") > 1).limit(1).count()
+    return kept.dropDuplicates(["doc_id"]) if again else kept
+
+
 def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return groups(table(spark, sf_dir, "documents"), width=3, percent=85)
 

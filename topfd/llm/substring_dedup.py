@@ -33,6 +33,7 @@ SIZE, SHORTEST = 20, 10
 _LAST = np.iinfo(np.int64).max
 #: Rows that a task holds before it combines and sends them.
 _HELD = 4_000_000
+_SEQUENCE = (0xC2B2AE3D27D4EB4F, 0x9FB21C651E98DF25)
 _LOW48 = np.uint64(2**48 - 1)
 
 
@@ -87,6 +88,13 @@ def _unique_pairs(doc: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.n
     return doc[new], values[new]
 
 
+def _sequence_hash(w: Words, base: int) -> np.ndarray:
+    """Of each document's whole word sequence."""
+    total, down = sums(w.hashes, base)
+    low = w.first[:-1]
+    return mix((total[w.first[1:]] - total[low]) * down[low] + np.diff(w.first).astype(np.uint64)).view(np.int64)
+
+
 def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
     """did, n_words, h1, h2 (128 bits of the word sequence), repeats_itself, sha (of the words joined by a space)."""
 
@@ -95,10 +103,7 @@ def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
             for lo, hi, data, bounds in chunks(batch.column(1)):
                 w = words(data, bounds)
                 n = np.diff(w.first)
-                seq, low = [], w.first[:-1]
-                for base in (0xC2B2AE3D27D4EB4F, 0x9FB21C651E98DF25):
-                    total, down = sums(w.hashes, base)
-                    seq.append(mix((total[w.first[1:]] - total[low]) * down[low] + n.astype(np.uint64)).view(np.int64))
+                seq = [_sequence_hash(w, base) for base in _SEQUENCE]
                 h, at = w.windows(size)
                 doc = _docs_of(w, at)
                 keyed = np.sort(h ^ mix(doc.astype(np.uint64)))
@@ -208,57 +213,59 @@ def repeated(docs: DataFrame, known: DataFrame, size: int = SIZE, shortest: int
     return _lists(rows.withColumn("least", F.min("did").over(meet)).where(F.col("known") | (F.col("did") > F.col("least"))))
 
 
+def _cut(column: pa.Array, lists: pa.Array, size: int) -> Iterator[tuple]:
+    """(rows, h1, n_removed, kept) of runs of documents, given the hashes of the windows that stand earlier (null: none)."""
+    for lo, hi, data, bounds in chunks(column):
+        w = words(data, bounds)
+        some = lists[lo:hi]
+        h, at = w.windows(size)
+        keyed = h ^ mix(_docs_of(w, at).astype(np.uint64))
+        flat, sizes = some.flatten().to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64), some.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+        gone = np.isin(keyed, mix(np.repeat(np.arange(hi - lo, dtype=np.uint64), sizes)) ^ flat)
+        order = np.argsort(keyed, kind="stable")
+        keyed = keyed[order]
+        gone[order[1:][keyed[1:] == keyed[:-1]]] = True
+        cover = np.zeros(len(w.hashes) + 1, np.int64)
+        np.add.at(cover, at[gone], 1)
+        np.add.at(cover, at[gone] + size, -1)
+        kept = np.cumsum(cover)[:-1] == 0
+        n = np.diff(w.first)
+        kept_upto = np.concatenate(([0], np.cumsum(kept)))
+        left = kept_upto[w.first[1:]] - kept_upto[w.first[:-1]]
+        raw, starts, ends = data.tobytes(), w.starts[kept].tolist(), w.ends[kept].tolist()
+        texts, a = [], 0
+        for k in left.tolist():
+            texts.append(b" ".join([raw[s:e] for s, e in zip(starts[a : a + k], ends[a : a + k], strict=True)]).decode("utf-8", "replace"))
+            a += k
+        yield (lo, hi), _sequence_hash(w, _SEQUENCE[0]).tolist(), (n - left).tolist(), texts
+
+
 def _apply(docs: DataFrame, lists: DataFrame, size: int) -> DataFrame:
     """did, h1, n_removed, kept: of the documents that lists (did, hashes) names; null hashes: only repeats inside the document count."""
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            for lo, hi, data, bounds in chunks(batch.column(1)):
-                w = words(data, bounds)
-                some = batch.column(2)[lo:hi]
-                h, at = w.windows(size)
-                doc = _docs_of(w, at)
-                salt = mix(doc.astype(np.uint64))
-                flat, sizes = some.flatten().to_numpy().view(np.uint64), some.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
-                gone = np.isin(h ^ salt, mix(np.repeat(np.arange(hi - lo, dtype=np.uint64), sizes)) ^ flat)
-                order = np.argsort(h ^ salt, kind="stable")
-                keyed = (h ^ salt)[order]
-                gone[order[1:][keyed[1:] == keyed[:-1]]] = True
-                cover = np.zeros(len(w.hashes) + 1, np.int64)
-                np.add.at(cover, at[gone], 1)
-                np.add.at(cover, at[gone] + size, -1)
-                kept = np.cumsum(cover)[:-1] == 0
-                total, down = sums(w.hashes, 0xC2B2AE3D27D4EB4F)
-                low, n = w.first[:-1], np.diff(w.first)
-                h1 = mix((total[w.first[1:]] - total[low]) * down[low] + n.astype(np.uint64)).view(np.int64)
-                kept_upto = np.concatenate(([0], np.cumsum(kept)))
-                left = kept_upto[w.first[1:]] - kept_upto[low]
-                raw, starts, ends = data.tobytes(), w.starts[kept].tolist(), w.ends[kept].tolist()
-                texts, a = [], 0
-                for k in left.tolist():
-                    texts.append(b" ".join([raw[s:e] for s, e in zip(starts[a : a + k], ends[a : a + k], strict=True)]))
-                    a += k
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(h1), pa.array(n - left, pa.int64()), pa.array(texts, pa.binary()).cast(pa.string())], ["did", "h1", "n_removed", "kept"])
+            for (lo, hi), h1, lost, texts in _cut(batch.column(1), batch.column(2), size):
+                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(h1, pa.int64()), pa.array(lost, pa.int64()), pa.array(texts, pa.string())], ["did", "h1", "n_removed", "kept"])
 
         return each
 
     return arrow_map(_key(docs).join(lists, "did"), ["did", "text", "hashes"], "did long, h1 long, n_removed long, kept string", make)
 
 
-def _settled(docs: DataFrame, size: int, shortest: int) -> tuple[DataFrame, DataFrame]:
-    """(facts of each row with `copy`: its whole sequence stands earlier; changed: did, h1, n_removed, kept of the others that lose words)."""
+def _judged(docs: DataFrame, size: int, shortest: int) -> tuple[DataFrame, DataFrame]:
+    """(facts of each row with `copy`: its whole sequence stands earlier; lists: did, hashes of the documents that lose words otherwise)."""
     known = written(facts(docs, size))
     firsts = known.groupBy("h1", "h2", "n_words").agg(F.min("did").alias("first"))
     judged = known.join(firsts, ["h1", "h2", "n_words"]).withColumn("copy", (F.col("did") > F.col("first")) & (F.col("n_words") >= size)).drop("first")
-    itself = judged.where(F.col("repeats_itself") & ~F.col("copy")).select("did").distinct().withColumn("own", F.lit(True))
-    lists = repeated(docs, known, size, shortest).join(itself, "did", "full_outer").select("did", "hashes")
-    return judged, _apply(docs, lists, size)
+    itself = judged.where(F.col("repeats_itself") & ~F.col("copy")).select("did").distinct()
+    return judged, repeated(docs, known, size, shortest).join(itself, "did", "full_outer").select("did", "hashes")
 
 
 def digests(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_words, n_removed, kept_sha256, one row a document."""
-    judged, changed = _settled(docs, size, shortest)
-    changed = changed.select("did", "h1", F.col("n_removed").alias("lost"), F.sha2("kept", 256).alias("kept_sha")).dropDuplicates(["did", "h1"])
+    judged, lists = _judged(docs, size, shortest)
+    changed = _apply(docs, lists, size).select("did", "h1", F.col("n_removed").alias("lost"), F.sha2("kept", 256).alias("kept_sha")).dropDuplicates(["did", "h1"])
     out = judged.join(changed, ["did", "h1"], "left")
     return out.select(
         F.when(F.col("did") < F.lit(int(_LAST)), F.col("did")).alias("doc_id"),
@@ -269,13 +276,32 @@ def digests(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> Data
 
 
 def deduplicated(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
-    """The documents with their texts after removal, all other columns as they are. Texts that lose nothing stay unchanged; texts that lose all become empty."""
-    judged, changed = _settled(docs, size, shortest)
-    fate = judged.join(changed.dropDuplicates(["did", "h1"]), ["did", "h1"], "left").where(F.col("copy") | (F.col("n_removed") > 0))
-    fate = written(fate.select("did", F.col("n_words").alias("fate_words"), F.when(F.col("copy"), "").otherwise(F.col("kept")).alias("fate_text")))
+    """The documents with their texts after removal (kept words joined by a space) and all other columns as they are. Texts that lose nothing stay unchanged."""
+    judged, lists = _judged(docs, size, shortest)
+    copies = judged.where("copy").groupBy("did").agg(F.collect_set("h1").alias("copies"))
+    fate = lists.withColumn("listed", F.lit(True)).join(copies, "did", "full_outer")
     ids = F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST)))
-    joined = docs.join(fate.dropDuplicates(["did"]), ids == F.col("did"), "left")
-    return joined.select(*[F.coalesce("fate_text", "text").alias("text") if c == "text" else docs[c] for c in docs.columns])
+    names = docs.columns
+    joined = docs.withColumnRenamed("text", "_text").join(fate.withColumnRenamed("did", "_did"), ids == F.col("_did"), "left")
+    rows = joined.select(F.col("_did").alias("did"), F.col("_text").alias("text"), "hashes", "listed", "copies", F.struct(*[F.col(c) for c in names if c != "text"]).alias("rest"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column(1).to_pylist()
+            at = [i for i, (a, b) in enumerate(zip(batch.column(3).to_pylist(), batch.column(4).is_valid().to_pylist(), strict=True)) if a or b]
+            if at:
+                some = batch.take(pa.array(at))
+                done = [x for part in _cut(some.column(1), some.column(2), size) for x in zip(*part[1:], strict=True)]
+                for i, (h1, n_removed, kept), gone in zip(at, done, some.column(4).to_pylist(), strict=True):
+                    if gone and h1 in gone:
+                        texts[i] = ""
+                    elif n_removed:
+                        texts[i] = kept
+            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), batch.column(5)], ["text", "rest"])
+
+    rest = rows.schema["rest"].dataType.simpleString()
+    out = rows.mapInArrow(run, f"text string, rest {rest}")
+    return out.select(*[F.col("text") if c == "text" else F.col("rest").getField(c).alias(c) for c in names])
 
 
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

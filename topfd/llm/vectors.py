@@ -2,33 +2,22 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
-
 
 def finite(vec: str = "embedding"):
     """Not null, not empty, and every component a finite number."""
     return F.col(vec).isNotNull() & (F.size(vec) > 0) & F.forall(vec, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x.cast("double")) < F.lit(float("inf"))))
 
 
-def classes(rows: DataFrame, k: int) -> DataFrame:
+def smallest_ids(rows: DataFrame, k: int) -> DataFrame:
     """rows(vec_id, vec) -> vec, ids: distinct vectors, each with its k + 1 smallest ids. As ties go to the smaller id and a query leaves out
     itself alone, no further copy can be among any query's k nearest; so this loses nothing, and a vector that a third of all
-    rows hold is one row."""
-    ranked = rows.groupBy("vec").agg(F.slice(F.sort_array(F.collect_set("vec_id")), 1, k + 1).alias("ids"))
-    return ranked
-
-
-def smallest_ids(rows: DataFrame, k: int) -> DataFrame:
-    """As classes(), for ids that many rows share a vector with: partial lists of k + 1 ids are merged, so no list grows with a group."""
-    salt = F.pmod(F.xxhash64("vec_id"), F.lit(64))
-    part = rows.groupBy("vec", salt.alias("salt"), F.pmod(F.xxhash64("vec_id", F.lit(7)), F.lit(64)).alias("salt2")).agg(F.slice(F.array_sort(F.collect_set("vec_id")), 1, k + 1).alias("ids"))
+    rows hold is one row. Copies are dealt to 4,096 parts first, and only k + 1 ids of a part go on."""
+    part = rows.groupBy("vec", F.pmod(F.xxhash64("vec_id"), F.lit(4096)).alias("salt")).agg(F.slice(F.array_sort(F.collect_set("vec_id")), 1, k + 1).alias("ids"))
     return part.groupBy("vec").agg(F.slice(F.array_sort(F.array_distinct(F.flatten(F.collect_list("ids")))), 1, k + 1).alias("ids"))
 
 
