@@ -6,9 +6,10 @@
   document leaves as soon as every slot is filled, as later steps can't lower a slot.
 * Banding: a bucket is a band's hash. Every class is paired with its bucket's least class, pairs whose sizes already rule
   them out are dropped, and the rest are verified on full sets.
-* Buckets whose classes are still in different components and that hold other pairs are searched in blocks: signatures are compared
-  in bulk, pairs across components that may reach the threshold are verified too. So no link depends on who leads a bucket, and no
-  group's pairs are all emitted. A pair at the threshold is missed by all bands with a probability of 1e-5, by the estimate with one of 1e-8.
+* Buckets whose classes are still in different components and that hold other pairs are searched in blocks of bounded size: signatures are
+  compared in bulk, and pairs across components that may reach the threshold are confirmed on their full sets on the spot. So no link
+  depends on who leads a bucket, and no group's pairs are emitted. A pair at the threshold is missed by all bands with a probability
+  of 1e-5, by the estimate with one of 4e-6.
 
 Null and empty texts have an empty set and link with nothing. Texts of fewer words than a shingle have their whole sequence as one
 element. Rows that share a doc_id are judged each by its own text. A null doc_id counts as the largest; its component is null if
@@ -34,8 +35,8 @@ def banding(percent: int, miss: float = 1e-5) -> tuple[int, int]:
     return int(np.ceil(np.log(miss) / np.log(1 - (percent / 100) ** rows))), rows
 
 
-#: Signatures that agree on a smaller share of slots are not verified in the second search: 5 deviations below 0.85.
-LEAST_ESTIMATE_MARGIN = 0.2
+#: Signatures whose agreement lies further below the threshold are not compared in full in the second search: 4.5 standard deviations at 0.85.
+LEAST_ESTIMATE_MARGIN = 0.16
 BLOCK = 512
 _LAST = np.iinfo(np.int64).max
 _UNSET = np.uint64(2**64 - 1)
@@ -180,47 +181,66 @@ def _sizes_allow(a: Column, b: Column, percent: int) -> Column:
     return F.least(a, b) * 100 >= F.greatest(a, b) * percent
 
 
-def _block_pairs(percent: int):
-    margin, (n_bands, _) = percent / 100 - LEAST_ESTIMATE_MARGIN, banding(percent)
+def _block_links(percent: int):
+    """Links between the components of a bucket's rows: candidates by estimate, confirmed on the full sets, best estimates first. Two components that
+    a link has joined are not compared again, so what a block returns is a forest, at most one row for each of its documents."""
+    margin, (n_bands, per_band) = percent / 100 - LEAST_ESTIMATE_MARGIN, banding(percent)
 
     def of(rows: pa.Table) -> pa.Table:
         node, comp, n, side = (rows.column(c).to_numpy() for c in ("node", "component", "n_shingles", "side"))
-        sig = np.frombuffer(b"".join(rows.column("signature").to_pylist()), np.uint64).reshape(len(node), -1)
-        bands = band_hashes(sig, n_bands)
-        band = rows.column("band")[0].as_py()
-        left = np.flatnonzero(side <= 0)
+        h = np.frombuffer(b"".join(rows.column("elements").to_pylist()), np.uint64)
+        first = np.concatenate((np.zeros(1, np.int64), np.cumsum(n)))
+        sig = signatures(h, first, n_bands * per_band)
+        bands, band = band_hashes(sig, n_bands), rows.column("band")[0].as_py()
+        part = np.unique(comp, return_inverse=True)[1]
         right = np.flatnonzero(side >= 0)
-        out_a, out_b = [], []
-        for i in left.tolist():
-            j = right[(comp[right] != comp[i]) & (np.minimum(n[right], n[i]) * 100 >= np.maximum(n[right], n[i]) * percent)]
+        out: list[tuple[int, int]] = []
+        for i in np.flatnonzero(side <= 0).tolist():
+            j = right[part[right] != part[i]]
+            j = j[np.minimum(n[j], n[i]) * 100 >= np.maximum(n[j], n[i]) * percent]
             if side[i] == 0:
                 j = j[j > i]
-            if len(j):
-                j = j[(sig[j] == sig[i]).mean(axis=1) >= margin]
-                j = j[(bands[j] == bands[i]).argmax(axis=1) == band] if len(j) else j
-            out_a.append(np.full(len(j), node[i]))
-            out_b.append(node[j])
-        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (out_a, out_b))
-        return pa.table({"a": pa.array(np.minimum(a, b), pa.int64()), "b": pa.array(np.maximum(a, b), pa.int64())})
+            if not len(j):
+                continue
+            alike = (sig[j] == sig[i]).mean(axis=1)
+            j, alike = j[alike >= margin], alike[alike >= margin]
+            # buckets of other bands hold the pair too; the first of them looks at it
+            mine = (bands[j] == bands[i]).argmax(axis=1) == band if len(j) else np.zeros(0, bool)
+            j = j[mine][np.argsort(-alike[mine], kind="stable")]
+            own = h[first[i] : first[i + 1]]
+            for a in range(0, len(j), 64):
+                some = j[a : a + 64]
+                some = some[part[some] != part[i]]
+                if not len(some):
+                    continue
+                elements = np.concatenate([h[first[x] : first[x + 1]] for x in some.tolist()])
+                hit = own[np.minimum(np.searchsorted(own, elements), len(own) - 1)] == elements
+                common = np.add.reduceat(hit, np.concatenate((np.zeros(1, np.int64), np.cumsum(n[some])[:-1])), dtype=np.int64)
+                for x in some[100 * common >= percent * (n[i] + n[some] - common)].tolist():
+                    if part[x] != part[i]:
+                        out.append((int(node[i]), int(node[x])))
+                        part[part == part[x]] = part[i]
+        a, b = zip(*out, strict=True) if out else ((), ())
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return of
 
 
-def _signed(docs: DataFrame, wanted: DataFrame, width: int, slots: int) -> DataFrame:
-    """wanted(node, did) -> node, signature as bytes."""
+def _sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
+    """wanted(node, did) -> node, elements: the full set, ascending, as bytes."""
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             for lo, hi, data, bounds in chunks(batch.column(1)):
                 h, first = shingle_sets(data, bounds, width)
-                sig = [x.tobytes() for x in signatures(h, first, slots)]
+                sets = [h[a:b].tobytes() for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True)]
                 good = _set_hashes(h, first)[0] == batch.column(0)[lo:hi].to_numpy()
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(sig, pa.binary())], ["node", "signature"]).filter(pa.array(good))
+                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(sets, pa.binary())], ["node", "elements"]).filter(pa.array(good))
 
         return each
 
     texts = _key(docs).join(wanted.select("node", F.col("did").alias("rep_did")), F.col("did") == F.col("rep_did"))
-    return arrow_map(texts, ["node", "text"], "node long, signature binary", make).dropDuplicates(["node"])
+    return arrow_map(texts, ["node", "text"], "node long, elements binary", make).dropDuplicates(["node"])
 
 
 def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -238,16 +258,15 @@ def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     mixed = open_members.groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1"), F.count(F.lit(1)).alias("n_open")).where(F.col("c0") != F.col("c1"))
     rest = written(open_members.join(mixed, "bucket").select("bucket", "band", "node", "n_shingles", "component", "n_open"))
     if rest.limit(1).count():
-        signed = _signed(docs, reps.join(rest.select("node").distinct(), "node"), width, int(np.prod(banding(percent))))
+        sets = _sets(docs, reps.join(rest.select("node").distinct(), "node"), width)
         blocks = F.ceil(F.col("n_open") / BLOCK).cast("int")
-        placed = rest.join(signed, "node").withColumn("block", F.pmod(F.xxhash64("node"), blocks).cast("int"))
+        placed = rest.join(sets, "node").withColumn("block", F.pmod(F.xxhash64("node"), blocks).cast("int"))
         # a block meets itself (side 0) and every other block once: the lower number is the left side
         meet = placed.select("*", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other")).select(
-            "bucket", "band", "node", "n_shingles", "component", "signature",
+            "bucket", "band", "node", "n_shingles", "component", "elements",
             F.least("block", "other").alias("b0"), F.greatest("block", "other").alias("b1"), F.signum(F.col("block") - F.col("other")).cast("int").alias("side"),
         )
-        more = meet.groupBy("bucket", "b0", "b1").applyInArrow(_block_pairs(percent), "a long, b long").distinct()
-        more = written(_linked(written(more), docs, reps, width, percent))
+        more = written(meet.groupBy("bucket", "b0", "b1").applyInArrow(_block_links(percent), "a long, b long"))
         if more.limit(1).count():
             parts = components(links.unionByName(more))
     named = known.join(parts, "node", "left").withColumn("group", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")))
