@@ -21,9 +21,9 @@ def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     field = language_id.train(docs)
     if field is None:
         return docs
-    judged = language_id.predict(docs, field, docs.columns)
-    kept = judged.where((F.col("lang_pred") != language_id.UNKNOWN) & (F.col("score") >= LEAST_SCORE))
-    return kept.select(*[F.coalesce("lang", "lang_pred").alias(c) if c == "lang" else c for c in docs.columns])
+    judged = language_id.predict(docs, field, docs.columns, ("_judged_lang", "_judged_score"))
+    kept = judged.where((F.col("_judged_lang") != language_id.UNKNOWN) & (F.col("_judged_score") >= LEAST_SCORE))
+    return kept.select(*[F.coalesce("lang", "_judged_lang").alias(c) if c == "lang" else F.col(f"`{c}`") for c in docs.columns])
 
 
 def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

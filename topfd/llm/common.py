@@ -56,5 +56,6 @@ def arrow_map(df: DataFrame, columns: Iterable[str | Column], schema: str, make:
         for batch in batches:
             if batch.num_rows:
                 yield from each(batch)
+        pa.default_memory_pool().release_unused()
 
     return df.select(*columns).mapInArrow(run, schema)

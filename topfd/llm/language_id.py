@@ -32,7 +32,7 @@ PER_LANG, LONGEST = 150, 20_000
 FEATURE_BITS, LEXICON, LEXICON_LEAST = 16, 20_000, 3
 SPAN, SEQUENCE, EPOCHS, RATE, DECAY = 24, 96, 30, 0.1, 1e-4
 #: Words whose probabilities are held at once.
-GROUP_WORDS = 1_500_000
+GROUP_WORDS = 400_000
 UNKNOWN = "und"
 _LETTER = re.compile(r"[^\W\d_]")
 _ASCII_LETTER = np.zeros(256, bool)
@@ -227,19 +227,22 @@ def _judge_batch(field: Field | None, column: pa.Array) -> tuple[list[str], list
     return [field.labels[b] if ok else UNKNOWN for b, ok in zip(best.tolist(), has.tolist(), strict=True)], np.where(has, np.clip(mean[np.arange(n_rows), best], 0, 1), 0.0).tolist()
 
 
-def predict(docs: DataFrame, field: Field | None, keep: list[str]) -> DataFrame:
-    """docs with text -> the columns of `keep`, lang_pred, score. Only the text is looked at."""
+def predict(docs: DataFrame, field: Field | None, keep: list[str], names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """docs with text -> the columns of `keep`, lang_pred, score (or other names). Only the text is looked at, and it is sent once if it is kept too."""
     shared = docs.sparkSession.sparkContext.broadcast(field)
     kept = docs.select(*keep)
-    schema = ", ".join([*(f"`{c}` {t}" for c, t in kept.dtypes), "lang_pred string", "score double"])
+    schema = ", ".join([*(f"`{c}` {t}" for c, t in kept.dtypes), f"`{names[0]}` string", f"`{names[1]}` double"])
+    sent = keep if "text" in keep else [*keep, "text"]
+    at = sent.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                lang, score = _judge_batch(shared.value, batch.column(0))
-                yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array(lang, pa.string()), pa.array(score, pa.float64())], [*keep, "lang_pred", "score"])
+                lang, score = _judge_batch(shared.value, batch.column(at))
+                yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(lang, pa.string()), pa.array(score, pa.float64())], [*keep, *names])
+        pa.default_memory_pool().release_unused()
 
-    return docs.select(F.col("text").alias("_judged"), *keep).mapInArrow(run, schema)
+    return docs.select(*sent).mapInArrow(run, schema)
 
 
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

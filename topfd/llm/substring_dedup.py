@@ -32,7 +32,7 @@ from .words import Words, chunks, mix, sums, words
 SIZE, SHORTEST = 20, 10
 _LAST = np.iinfo(np.int64).max
 #: Rows that a task holds before it combines and sends them.
-_HELD = 4_000_000
+_HELD = 1_000_000
 _SEQUENCE = (0xC2B2AE3D27D4EB4F, 0x9FB21C651E98DF25)
 _LOW48 = np.uint64(2**48 - 1)
 
@@ -280,10 +280,9 @@ def deduplicated(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) ->
     judged, lists = _judged(docs, size, shortest)
     copies = judged.where("copy").groupBy("did").agg(F.collect_set("h1").alias("copies"))
     fate = lists.withColumn("listed", F.lit(True)).join(copies, "did", "full_outer")
-    ids = F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST)))
     names = docs.columns
-    joined = docs.withColumnRenamed("text", "_text").join(fate.withColumnRenamed("did", "_did"), ids == F.col("_did"), "left")
-    rows = joined.select(F.col("_did").alias("did"), F.col("_text").alias("text"), "hashes", "listed", "copies", F.struct(*[F.col(c) for c in names if c != "text"]).alias("rest"))
+    own = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))).alias("did"), "text", F.struct(F.lit(0).alias("__none"), *[F.col(f"`{c}`") for c in names if c != "text"]).alias("rest"))
+    rows = own.join(fate, "did", "left").select("did", "text", "hashes", "listed", "copies", "rest")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

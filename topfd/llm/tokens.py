@@ -27,25 +27,29 @@ def public_path(name: str) -> str:
 
 
 @functools.cache
-def encoder(json_path: str | None = None, ranks_path: str | None = None) -> Callable[[str], np.ndarray]:
-    """text -> uint32 ids; built once in a worker."""
+def _slow(json_path: str):
+    """The reference encoder; loaded only in workers that meet a text which needs it, as it takes several times the memory of the ranks."""
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
-    slow = Tokenizer.from_file(json_path or public_path(JSON_FILE))
+    return Tokenizer.from_file(json_path)
+
+
+@functools.cache
+def encoder(json_path: str | None = None, ranks_path: str | None = None) -> Callable[[str], np.ndarray]:
+    """text -> uint32 ids; built once in a worker."""
     ranks_path = ranks_path or (public_path(RANKS_FILE) if json_path is None else None)
+    json_path = json_path or public_path(JSON_FILE)
+
+    def slow(text: str) -> np.ndarray:
+        return np.array(_slow(json_path).encode(text, add_special_tokens=False).ids, np.uint32)
+
     if ranks_path is None:
-        return lambda text: np.array(slow.encode(text, add_special_tokens=False).ids, np.uint32)
+        return slow
     import public_tokenizers
     import tiktoken
 
     with open(ranks_path, "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
     fast = tiktoken.Encoding("ranks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-
-    def encode(text: str) -> np.ndarray:
-        if _OTHER.search(text):
-            return np.array(slow.encode(text, add_special_tokens=False).ids, np.uint32)
-        return fast.encode_to_numpy(text, disallowed_special=())
-
-    return encode
+    return lambda text: slow(text) if _OTHER.search(text) else fast.encode_to_numpy(text, disallowed_special=())

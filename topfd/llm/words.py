@@ -13,7 +13,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
 _BASE = 0x9E3779B97F4A7C15
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -37,12 +37,12 @@ def powers(n: int, base: int = _BASE) -> tuple[np.ndarray, np.ndarray]:
     """base**i and its inverse modulo 2**64 for i up to n; kept up to a few chunks' length."""
     up, down = _powers.get(base, (np.ones(0, np.uint64),) * 2)
     if len(up) < n:
-        size = max(n, 2 * CHUNK_BYTES)
+        size = n + n // 8 + 1024
         up, down = (np.full(size, v, np.uint64) for v in (base, pow(base, -1, 2**64)))
         up[0] = down[0] = 1
         np.multiply.accumulate(up, out=up)
         np.multiply.accumulate(down, out=down)
-        if size <= 4 * CHUNK_BYTES:
+        if size <= 2 * CHUNK_BYTES:
             _powers[base] = up, down
     return up[:n], down[:n]
 
