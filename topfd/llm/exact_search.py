@@ -101,9 +101,9 @@ def search_block(k: int, pivots: list[list[int]], top: float) -> Callable[[pa.Ta
                         break
                     some = order[a : a + STEP]
                     seen += len(some)
-                    scores = xf[some] @ qi
-                    for s, c in zip(scores.tolist(), some.tolist(), strict=True):
-                        if len(best) < k or -s <= best[k - 1][0]:
+                    least = best[k - 1][0] if len(best) >= k else None
+                    for s, c in zip((xf[some] @ qi).tolist(), some.tolist(), strict=True):
+                        if least is None or -s <= least:
                             best += [(-int(s), v) for v in ids[c] if v != own]
                     best = sorted(best)[:k]
                 out += [(own, v, -s) for s, v in best]
