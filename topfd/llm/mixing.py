@@ -62,7 +62,7 @@ def mix(docs: DataFrame, max_epochs: float = 3.0, weights: tuple[float, ...] = W
     """docs(doc_id, text, source) -> doc_id, source, size, source_size, weight, target, taken: how many of its words the mix takes, repeats counted.
     carried: a struct of the columns of `carry`."""
     sized = docs.select(
-        "doc_id", "source", word_count(F.col("text")).alias("size"), bucket(F.col("doc_id"), seed).alias("bucket"), F.struct(F.lit(0).alias("_"), *[F.col(c) for c in carry]).alias("carried")
+        "doc_id", "source", word_count(F.col("text")).alias("size"), bucket(F.col("doc_id"), seed).alias("bucket"), F.struct(F.lit(0).alias("__none"), *[F.col(c) for c in carry]).alias("carried")
     )
     per_bucket = written(sized.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size"), F.count(F.lit(1)).alias("n")))
     goal = targets(per_bucket.groupBy("source").agg(F.sum("bucket_size").alias("source_size")), max_epochs, weights)

@@ -70,6 +70,8 @@ def _nth(k: int) -> np.uint64:
 
 def signatures(h: np.ndarray, first: np.ndarray, slots: int) -> np.ndarray:
     """SuperMinHash of each document: uint64[documents, slots], the step in the top 8 bits and the random number below; _UNSET throughout for an empty set."""
+    if slots > 256:
+        raise ValueError("at most 256 slots: a step has eight bits")
     n = len(first) - 1
     sig = np.full(n * slots, _UNSET, np.uint64)
     doc = np.repeat(np.arange(n), np.diff(first))
@@ -278,10 +280,10 @@ def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
 
 def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """The documents, with all their columns, that have the smallest id of their group; of repeated rows with one id, one."""
-    judged = written(groups(docs, width, percent).where("kept").select(F.coalesce("doc_id", F.lit(int(_LAST))).alias("_kept")))
+    judged = written(groups(docs, width, percent).where("kept").select(F.coalesce("doc_id", F.lit(int(_LAST))).alias("_kept_id")))
     ids = judged.distinct()
-    kept = docs.join(ids, F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))) == F.col("_kept"), "left_semi")
-    again = judged.groupBy("_kept").count().where(F.col("count") > 1).limit(1).count()
+    kept = docs.join(ids, F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))) == F.col("_kept_id"), "left_semi")
+    again = judged.groupBy("_kept_id").count().where(F.col("count") > 1).limit(1).count()
     return kept.dropDuplicates(["doc_id"]) if again else kept
 
 
