@@ -89,7 +89,7 @@ class Relation:
             raise ValueError("attributes need different names")
         narrow = df.select(*[_canonical(f).alias(f.name) for f in (df.schema[c] for c in columns)])
         rel = cls(narrow, columns, nulls, None, persist)
-        rel.coded = narrow.select(*[rel.fingerprint(1 << i, seed).alias(f"_{seed}_{i}") for i in range(len(columns)) for seed in (1, 2)])
+        rel.coded = narrow.select(*[rel._code(i, seed).alias(f"_{seed}_{i}") for i in range(len(columns)) for seed in (1, 2)])
         if persist:
             rel.df, rel.coded = narrow.persist(), rel.coded.persist()
         return rel
@@ -126,6 +126,13 @@ class Relation:
             parts += [self.col(i).isNull(), self.col(i)]
         return F.xxhash64(*parts)
 
+    def _code(self, i: int, seed: int) -> Column:
+        """Of one value. Where nulls differ from everything, each has a code of its own row; classes with more than one row then hold none, so their keys don't depend on it."""
+        code = self.fingerprint(1 << i, seed)
+        if self.nulls == "neq":
+            code = F.when(self.col(i).isNull(), F.xxhash64(F.monotonically_increasing_id(), F.lit(i), F.lit(seed))).otherwise(code)
+        return code
+
     def key(self, mask: int) -> tuple[Column, Column]:
         """128 bits of a coded row's values in these columns: its class, without the values."""
         return tuple(F.xxhash64(F.lit(mask.bit_count()), *[F.col(f"_{seed}_{i}") for i in bits(mask)]) for seed in (1, 2))

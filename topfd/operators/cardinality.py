@@ -135,22 +135,8 @@ def check_frame(rel: Relation, entries: list[tuple[int, list[int]]], one_in: int
     return classes.groupBy("s").agg(F.count(F.lit(1)).alias("card"), *examples)
 
 
-def _check_nulls_apart(rel: Relation, lhs: int, a: int) -> Verdict:
-    """Under nulls="neq": rows with a null on the left are alone in their class, and a null on the right differs from everything, other nulls included."""
-    whole = rel.df.where(_null_free(rel, lhs))
-    alone = rel.df.where(~_null_free(rel, lhs)).count()
-    two = F.col("n_values") > 1
-    per = whole.groupBy(*rel.cols(lhs)).agg(F.count(F.lit(1)).alias("size"), F.count(rel.col(a)).alias("some"), F.count_distinct(rel.col(a)).alias("n_values"), F.first(rel.fingerprint(lhs, 1)).alias("x1"), F.first(rel.fingerprint(lhs, 2)).alias("x2"))
-    broken = (two | ((F.col("size") > F.col("some")) & (F.col("size") > 1))) & (F.col("size") > 0)
-    row = per.where(F.col("size") > 0).agg(F.count(F.lit(1)).alias("card"), F.first(F.when(broken, F.col("x1")), ignorenulls=True).alias("x1"), F.first(F.when(broken, F.col("x2")), ignorenulls=True).alias("x2")).first()
-    return Verdict(row["x1"] is None, row["card"] + alone, None if row["x1"] is None else (row["x1"], row["x2"]))
-
-
 def check_batch(rel: Relation, candidates: Iterable[tuple[int, int]]) -> dict[tuple[int, int], Verdict]:
     """Decides (lhs, attribute) candidates, one job for up to SETS_IN_A_JOB left-hand sides."""
-    candidates = list(candidates)
-    if rel.nulls == "neq":
-        return {(lhs, a): _check_nulls_apart(rel, lhs, a) for lhs, a in candidates}
     found: dict[tuple[int, int], Verdict] = {}
     for entries in _plan_checks(candidates):
         rows = {r["s"]: r for r in check_frame(rel, entries).collect()}

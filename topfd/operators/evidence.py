@@ -98,12 +98,11 @@ def violating_edges(rel: Relation, broken: Iterable[tuple[int, int, tuple[int, i
         return {}
     aggs = []
     for k, (lhs, a, (x1, x2)) in enumerate(broken):
-        key = (rel.fingerprint(lhs, 1), rel.fingerprint(lhs, 2)) if rel.nulls == "neq" else rel.key(lhs)
+        key = rel.key(lhs)
         here = (key[0] == F.lit(x1)) & (key[1] == F.lit(x2))
         order = F.when(here, F.struct(F.col(f"_1_{a}").alias("v"), F.col("_codes").alias("c")))
         aggs += [F.min(order).alias(f"lo{k}"), F.max(order).alias(f"hi{k}")]
-    df = rel.df.select("*", *[rel.fingerprint(1 << i, 1).alias(f"_1_{i}") for i in range(rel.m)]) if rel.nulls == "neq" else rel.coded
-    row = df.withColumn("_codes", codes(rel)).agg(*aggs).first()
+    row = rel.coded.withColumn("_codes", codes(rel)).agg(*aggs).first()
     found = {}
     for k, (lhs, a, _) in enumerate(broken):
         edge = mask_between(row[f"lo{k}"]["c"], row[f"hi{k}"]["c"])
