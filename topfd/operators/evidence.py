@@ -73,19 +73,21 @@ def sample_difference_sets(rel: Relation, n: int, cards: list[int], sample_rows:
     flags = picked.column("chosen").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, rel.m)
     dense = np.stack([np.unique(flat[:, i], return_inverse=True)[1] for i in range(rel.m)], axis=1)
     rng, seen = np.random.default_rng(seed), set()
-    for i in range(rel.m):
-        rows = dense[flags[:, i]]
-        if len(rows) < 2:
-            continue
-        others = [x for x in range(rel.m) if x != i]
-        for _ in range(sorts):
-            order = [i, *rng.permutation(others).tolist()]
+
+    def neighbours(rows: np.ndarray, lead: list[int], times: int) -> None:
+        others = [x for x in range(rel.m) if x not in lead]
+        for _ in range(times):
+            order = [*lead, *rng.permutation(others).tolist()]
             at = rows[np.lexsort([rows[:, x] for x in reversed(order)])]
             for lag in (1, 2):
                 differ = at[lag:] != at[:-lag]
-                differ = differ[~differ[:, i]]
-                packed = np.unique(np.packbits(differ, axis=1, bitorder="little"), axis=0) if len(differ) else np.zeros((0, 1), np.uint8)
-                seen |= {int.from_bytes(b.tobytes(), "little") for b in packed}
+                if len(differ):
+                    packed = np.unique(np.packbits(differ, axis=1, bitorder="little"), axis=0)
+                    seen.update(int.from_bytes(b.tobytes(), "little") for b in packed)
+
+    for i in range(rel.m):
+        neighbours(dense[flags[:, i]], [i], sorts)
+    neighbours(dense, [], 4 * sorts)
     seen.discard(0)
     return seen
 

@@ -15,6 +15,7 @@ from .model import Limits, Relation, mask_of
 from .operators import apply, cardinality, definitions, evidence
 from .plans import baseline, bounds, metrics
 from .plans.search import VARIANTS, discover
+from .ship import ship
 from .sources import files, views
 from .sources.views import COLUMNS, VIEW_SQL, VIEWS
 from .streaming import monitor
@@ -27,7 +28,11 @@ ANSWER = ("rank", "lhs_text", "rhs", "lhs_size", "redundancy", "n_rows", "n_clas
 
 def query(name: str, sql: str | None = None):
     def put(f: Query) -> Query:
-        QUERIES[name] = f
+        def shipped(spark: SparkSession, sf: str) -> DataFrame:
+            ship(spark)
+            return f(spark, sf)
+
+        QUERIES[name] = shipped
         if sql is not None:
             ORACLES[name] = sql
         return f
