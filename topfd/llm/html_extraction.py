@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..ship import ship
 from .common import table
 from .url_filter import host_and_path
 
@@ -43,6 +44,8 @@ _ENDS = {name: re.compile(rf"</{name}\s*[^>]*>", re.I) for name in RAW}
 _SPLIT = re.compile(r"[^a-z0-9]+")
 #: A second article counts if it has this share of the longest one's characters.
 SECOND = 0.3
+#: Pages of a partition, at least.
+PARTITION_PAGES = 400
 
 
 def _unwanted(name: str, attributes: str, inside: bool) -> bool:
@@ -244,13 +247,18 @@ def _differenced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         done.append(settle(before, here, None))
     if done:
         yield out()
+    pa.default_memory_pool().release_unused()
 
 
 def extract(pages: DataFrame) -> DataFrame:
     """pages(page_id, url, html) -> page_id, url, text, n_chars."""
+    ship(pages.sparkSession)
     host, path = host_and_path(F.col("url"))
     keyed = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", host.alias("host"), path.alias("path"), "html")
-    near = keyed.repartitionByRange("host", "path", "page_id").sortWithinPartitions("host", "path", "page_id")
+    # up to four times the usual number of partitions, as pages are long rows of which a task holds a batch on either side of Arrow; but
+    # not fewer than some hundred pages each, since the pages at a partition's ends have a partner on one side only
+    parts = max(1, min(4 * int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")), pages.count() // PARTITION_PAGES))
+    near = keyed.repartitionByRange(parts, "host", "path", "page_id").sortWithinPartitions("host", "path", "page_id")
     return near.mapInArrow(_differenced, "page_id long, url string, text string, n_chars long")
 
 
