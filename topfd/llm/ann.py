@@ -28,7 +28,7 @@ from .common import table, written
 from .vectors import finite, matrix, smallest_ids
 
 #: Sample rows, trees, sample points in a leaf, and the share of all (tree, point) entries that a query's leaves have to hold.
-SAMPLE, TREES, LEAF, SHARE, BLOCK = 16_384, 8, 32, 0.2, 4096
+SAMPLE, TREES, LEAF, SHARE, BLOCK = 16_384, 8, 256, 0.22, 4096
 
 
 @dataclass
