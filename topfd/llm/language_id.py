@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..ship import ship
 from .common import table
 from .words import chunks, mix, words
 
@@ -229,6 +230,7 @@ def _judge_batch(field: Field | None, column: pa.Array) -> tuple[list[str], list
 
 def predict(docs: DataFrame, field: Field | None, keep: list[str], names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
     """docs with text -> the columns of `keep`, lang_pred, score (or other names). Only the text is looked at, and it is sent once if it is kept too."""
+    ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(field)
     kept = docs.select(*keep)
     schema = ", ".join([*(f"`{c}` {t}" for c, t in kept.dtypes), f"`{names[0]}` string", f"`{names[1]}` double"])

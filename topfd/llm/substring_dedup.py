@@ -7,13 +7,14 @@ and only what repeats there is extended to twice that length, up to `size`:
   a window whose least short window stands nowhere else can't repeat. That is about one short window in six.
 * Each task first combines what it has read: a hash that it met in two documents is known to repeat without being sent for
   every document. One row a task and hash is shuffled, so a passage that a third of all documents share is as cheap as any other.
-* At the last length all candidate windows get their hashes, and the least document id of each decides which occurrences are first.
+* At the last length all candidate windows get 128-bit hashes, and the least document id of each decides which occurrences are first.
 
 Documents whose whole word sequence stands in a document with a smaller id are settled by a hash of that sequence and never extended.
 
 Order: doc_id, null last. Rows that share a doc_id are not earlier than each other, so repeated rows are judged alike. Null texts
 and texts of fewer than `size` words lose nothing. Removing everything leaves an empty text. An empty table gives an empty result.
-Only doc_id and text are read. Hashes of windows have 64 bits at the last length and 48 at the others (where a collision costs time, not correctness).
+Only doc_id and text are read. Hashes have 128 bits where documents meet at the last length, and 48 before (where a collision costs time, not
+correctness); a document finds its own windows again by 64 of them.
 """
 
 from __future__ import annotations
@@ -73,19 +74,16 @@ def _anchors(w: Words, short: int, size: int) -> tuple[np.ndarray, np.ndarray]:
     return least[inside] & _LOW48, docs[: len(least)][inside]
 
 
-def _runs(keys: np.ndarray) -> np.ndarray:
-    return np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1]))) if len(keys) else np.zeros(0, np.int64)
-
-
-def _unique_pairs(doc: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    if not len(doc):
-        return doc, values
-    changed = np.concatenate(([True], (values[1:] != values[:-1]) | (doc[1:] != doc[:-1])))
-    doc, values = doc[changed], values[changed]
-    order = np.lexsort((values, doc))
-    doc, values = doc[order], values[order]
-    new = np.concatenate(([True], (values[1:] != values[:-1]) | (doc[1:] != doc[:-1])))
-    return doc[new], values[new]
+def _unique_pairs(doc: np.ndarray, values: np.ndarray, *more: np.ndarray) -> tuple[np.ndarray, ...]:
+    """One row for each document and value."""
+    if len(doc):
+        changed = np.concatenate(([True], (values[1:] != values[:-1]) | (doc[1:] != doc[:-1])))
+        doc, values, *more = (x[changed] for x in (doc, values, *more))
+        order = np.lexsort((values, doc))
+        doc, values, *more = (x[order] for x in (doc, values, *more))
+        new = np.concatenate(([True], (values[1:] != values[:-1]) | (doc[1:] != doc[:-1])))
+        doc, values, *more = (x[new] for x in (doc, values, *more))
+    return doc, values, *more
 
 
 def _sequence_hash(w: Words, base: int) -> np.ndarray:
@@ -119,16 +117,16 @@ def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
     return arrow_map(_key(docs), ["did", "text"], "did long, n_words long, h1 long, h2 long, repeats_itself boolean, sha binary", make)
 
 
-def _sent(held: list[tuple[np.ndarray, np.ndarray]], last: bool) -> Iterator[pa.RecordBatch]:
-    """What a task sends of the (id, hash) pairs it holds: one row a hash that has to meet other tasks' rows (key is the hash), and rows
+def _sent(held: list[tuple[np.ndarray, np.ndarray, np.ndarray]], last: bool) -> Iterator[pa.RecordBatch]:
+    """What a task sends of the (id, hash, second hash) rows it holds: one row a hash that has to meet other tasks' rows (key is the hash), and rows
     that are settled here (own key). hash is null where it is the key. least: for the first kind the id; known: settled or repeated here."""
     if not held:
         return
-    did, h = (np.concatenate(x) for x in zip(*held, strict=True))
+    did, h, h2 = (np.concatenate(x) for x in zip(*held, strict=True))
     held.clear()
-    order = np.lexsort((did, h))
-    did, h = did[order], h[order]
-    starts = _runs(h)
+    order = np.lexsort((did, h2, h))
+    did, h, h2 = did[order], h[order], h2[order]
+    starts = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (h2[1:] != h2[:-1])))) if len(h) else np.zeros(0, np.int64)
     count = np.diff(np.append(starts, len(h)))
     lead = np.zeros(len(h), bool)
     lead[starts] = True
@@ -141,12 +139,12 @@ def _sent(held: list[tuple[np.ndarray, np.ndarray]], last: bool) -> Iterator[pa.
     sent = lead | rest
     key = np.where(rest, mix(h ^ mix(did.astype(np.uint64))), h).view(np.int64)[sent]
     own = rest[sent]
-    body = [pa.array(key), pa.array(h.view(np.int64)[sent], mask=~own), pa.array(did[sent]), pa.array(known[sent])]
+    body = [pa.array(key), pa.array(h2.view(np.int64)[sent]), pa.array(h.view(np.int64)[sent], mask=~own), pa.array(did[sent]), pa.array(known[sent])]
     for a in range(0, len(key), 20_000):
-        yield pa.RecordBatch.from_arrays([c[a : a + 20_000] for c in body], ["key", "hash", "did", "known"])
+        yield pa.RecordBatch.from_arrays([c[a : a + 20_000] for c in body], ["key", "key2", "hash", "did", "known"])
 
 
-_SENT = "key long, hash long, did long, known boolean"
+_SENT = "key long, key2 long, hash long, did long, known boolean"
 
 
 def _first_level(docs: DataFrame, short: int, size: int) -> DataFrame:
@@ -157,7 +155,7 @@ def _first_level(docs: DataFrame, short: int, size: int) -> DataFrame:
             for lo, hi, data, bounds in chunks(batch.column(1)):
                 least, doc = _anchors(words(data, bounds), short, size)
                 doc, least = _unique_pairs(doc, least)
-                held.append((ids[lo:hi][doc], least))
+                held.append((ids[lo:hi][doc], least, np.zeros(len(doc), np.uint64)))
                 n += len(doc)
                 if n > _HELD:
                     yield from _sent(held, False)
@@ -181,8 +179,9 @@ def _next_level(docs: DataFrame, alive: DataFrame, short: int, longer: int, size
                 wanted = mix(np.repeat(np.arange(hi - lo, dtype=np.uint64), np.diff(some.offsets.to_numpy()))) ^ some.flatten().to_numpy().view(np.uint64)
                 hit = np.isin(mix(doc.astype(np.uint64)) ^ least, wanted)
                 values = w.windows(size)[0] if longer == size else _anchors(w, longer, size)[0]
-                doc, values = _unique_pairs(doc[hit], values[hit])
-                held.append((ids[lo:hi][doc], values))
+                second = w.windows(size, _SEQUENCE[0])[0] if longer == size else np.zeros(len(values), np.uint64)
+                doc, values, second = _unique_pairs(doc[hit], values[hit], second[hit])
+                held.append((ids[lo:hi][doc], values, second))
                 n += len(doc)
                 if n > _HELD:
                     yield from _sent(held, longer == size)
@@ -199,7 +198,7 @@ def _lists(rows: DataFrame) -> DataFrame:
 def repeated(docs: DataFrame, known: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """did, hashes: of each document, the windows that also stand in a document with a smaller id. known: written facts()."""
     steps = lengths(size, shortest)
-    meet = Window.partitionBy("key")
+    meet = Window.partitionBy("key", "key2")
     by_sequence = known.groupBy("h1", "h2", "n_words").agg(F.min("did").alias("first"))
     leaders = by_sequence.where(F.col("n_words") >= size).select(F.col("first").alias("did")).distinct()
     rows = _first_level(docs, steps[0], size) if len(steps) > 1 else None

@@ -65,12 +65,12 @@ class Words:
     hashes: np.ndarray
     first: np.ndarray
 
-    def windows(self, size: int) -> tuple[np.ndarray, np.ndarray]:
-        """Hashes of all word windows of this size, and the first word of each; none spans two documents."""
+    def windows(self, size: int, base: int = 0xD6E8FEB86659FD93) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of all word windows of this size, and the first word of each; none spans two documents. Another odd base gives independent hashes."""
         n = len(self.hashes) - size + 1
         if n <= 0:
             return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        total, down = sums(self.hashes, 0xD6E8FEB86659FD93)
+        total, down = sums(self.hashes, base)
         at = np.arange(n)
         left = np.repeat(self.first[1:], np.diff(self.first))[:n] - at
         at = at[left >= size]
