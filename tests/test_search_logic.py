@@ -5,7 +5,7 @@ import random
 import pytest
 
 from tests.memory_kernel import MemoryRelation, brute_force, install, listed
-from topfd.model import bits
+from topfd.model import Limits, bits
 from topfd.plans import bounds
 from topfd.plans.search import VARIANTS, discover
 
@@ -92,7 +92,7 @@ def test_an_edge_that_arrives_late_loses_no_hitting_set(memory):
 def test_limits_end_a_run(memory):
     rng = random.Random(5)
     rows = [tuple(rng.randrange(3) for _ in range(6)) for _ in range(30)]
-    found = discover(MemoryRelation(rows, list("abcdef")), None, batch=1, limits=__import__("topfd.model").model.Limits(max_validations=3))
+    found = discover(MemoryRelation(rows, list("abcdef")), None, batch=1, sample=False, limits=Limits(max_validations=3))
     assert found.status == "over_budget"
     assert found.stats["validations"] <= 3
 

@@ -27,7 +27,7 @@ from pyspark.sql import types as T
 FD_SCHEMA = "rank int, lhs array<string>, lhs_text string, rhs string, lhs_size int, redundancy long, n_rows long, n_classes long, redundancy_ratio double"
 STATS_SCHEMA = (
     "variant string, k int, n_rows long, n_attributes int, status string, nodes_generated long, nodes_visited long, validations long, valid_found long, "
-    "valid_until_last_change long, pruned_expand long, pruned_validate long, pruned_pop long, edges long, rounds long, spark_jobs long, wall_s double, "
+    "valid_until_last_change long, pruned_expand long, pruned_validate long, pruned_pop long, edges long, sample_refuted long, slice_refuted long, rounds long, spark_jobs long, wall_s double, "
     "pairs_s double, queue_s double, peak_heap_mb double"
 )
 TRACE_SCHEMA = "seq long, elapsed_s double, validations long, tau long"

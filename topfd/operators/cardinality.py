@@ -155,12 +155,12 @@ def recheck(rel: Relation, fds: Iterable[tuple[int, int, int]]) -> list[tuple[in
     return [(lhs, a, n) for lhs, a, n in fds if not card[lhs] == card[lhs | 1 << a] == n]
 
 
-def refute_on_slice(rel: Relation, candidates: Iterable[tuple[int, int]], one_in: int) -> set[tuple[int, int]]:
-    """Candidates that already fail on a slice of the classes. A slice keeps whole classes of each left-hand side, so a violation there is one of the relation;
-    what survives needs the full pass. Each candidate reads its columns, but groups and shuffles only 1/one_in of the rows."""
-    broken = set()
+def refute_on_slice(rel: Relation, candidates: Iterable[tuple[int, int]], one_in: int) -> dict[tuple[int, int], tuple[int, int]]:
+    """Candidates that already fail on a slice of the classes, each with a class that breaks it. A slice keeps whole classes of each left-hand side, so a violation
+    there is one of the relation; what survives needs the full pass. All rows' keys are computed, but only 1/one_in of them are grouped and shuffled."""
+    broken = {}
     for entries in _plan_checks(candidates):
         for r in check_frame(rel, entries, one_in).collect():
             lhs, rhs = entries[r["s"]]
-            broken |= {(lhs, a) for i, a in enumerate(rhs) if r[f"x1_{i}"] is not None}
+            broken |= {(lhs, a): (r[f"x1_{i}"], r[f"x2_{i}"]) for i, a in enumerate(rhs) if r[f"x1_{i}"] is not None}
     return broken

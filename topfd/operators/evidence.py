@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..model import Relation, bits
 
-SAMPLE_ROWS, SORTS = 24_000, 6
+SAMPLE_ROWS, SORTS = 40_000, 4
 #: Rows up to which all pairs may be compared; for tests and toy relations.
 ALL_PAIRS_ROWS = 2_000
 WORD_BITS = 62
@@ -51,45 +51,63 @@ def mask_of_words(words: list[int]) -> int:
     return sum(w << (WORD_BITS * k) for k, w in enumerate(words))
 
 
-def sample_difference_sets(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, sorts: int = SORTS, seed: int = 20) -> set[int]:
-    """Difference sets of row pairs that agree on some attributes, from one scan.
+def take_sample(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, seed: int = 20) -> np.ndarray:
+    """A bounded number of rows, as small integers for each attribute's values, from one scan.
 
     Of each attribute, a slice of its *classes* is taken whole where the slice is small, and of large classes a hash sample of rows; so near-keys
-    and two-valued columns both give pairs, and the rows that reach the driver stay near sample_rows. Each attribute's rows are sorted by it and then by
-    the other attributes in several random orders; neighbours agree on long prefixes, so their difference sets are small and say most."""
+    and two-valued columns both give pairs that agree, and the rows that reach the driver stay near sample_rows."""
     if n < 2 or not rel.m:
-        return set()
+        return np.zeros((0, rel.m), np.int64)
     each = max(64.0, sample_rows / rel.m)
     row_draw = F.pmod(F.xxhash64(codes(rel), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
-    chosen = []
+    chosen = F.lit(False)
     for i in range(rel.m):
         slices = max(1, min(max(1, cards[i] // 4), int(n / each)))
         share = min(1.0, each * slices / n)
-        chosen.append((F.pmod(F.xxhash64(F.col(f"_2_{i}"), F.lit(5)), F.lit(slices)) == 0) & (row_draw < share))
-    picked = rel.coded.select(codes(rel).alias("codes"), F.array(*chosen).alias("chosen")).where(F.exists("chosen", lambda c: c)).limit(4 * sample_rows).toArrow()
-    if not picked.num_rows:
-        return set()
+        chosen = chosen | ((F.pmod(F.xxhash64(F.col(f"_2_{i}"), F.lit(5)), F.lit(slices)) == 0) & (row_draw < share))
+    picked = rel.coded.where(chosen).select(codes(rel).alias("codes")).limit(4 * sample_rows).toArrow()
     flat = picked.column("codes").combine_chunks().flatten().to_numpy().reshape(-1, rel.m)
-    flags = picked.column("chosen").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, rel.m)
-    dense = np.stack([np.unique(flat[:, i], return_inverse=True)[1] for i in range(rel.m)], axis=1)
-    rng, seen = np.random.default_rng(seed), set()
-
-    def neighbours(rows: np.ndarray, lead: list[int], times: int) -> None:
-        others = [x for x in range(rel.m) if x not in lead]
-        for _ in range(times):
-            order = [*lead, *rng.permutation(others).tolist()]
+    return np.stack([np.unique(flat[:, i], return_inverse=True)[1] for i in range(rel.m)], axis=1)
+
+
+def _masks(differ: np.ndarray) -> set[int]:
+    if not len(differ):
+        return set()
+    packed = np.unique(np.packbits(differ, axis=1, bitorder="little"), axis=0)
+    return {int.from_bytes(b.tobytes(), "little") for b in packed} - {0}
+
+
+def edges_of_sample(rows: np.ndarray, sorts: int = SORTS, seed: int = 20) -> set[int]:
+    """Difference sets of neighbours in sort orders that each attribute leads in turn: they agree on long prefixes, so their difference sets are small and say most."""
+    rng, found = np.random.default_rng(seed), set()
+    m = rows.shape[1]
+    for lead in [*range(m), *[None] * sorts]:
+        for _ in range(sorts if lead is not None else 1):
+            order = rng.permutation(m).tolist()
+            if lead is not None:
+                order = [lead, *[x for x in order if x != lead]]
             at = rows[np.lexsort([rows[:, x] for x in reversed(order)])]
             for lag in (1, 2):
-                differ = at[lag:] != at[:-lag]
-                if len(differ):
-                    packed = np.unique(np.packbits(differ, axis=1, bitorder="little"), axis=0)
-                    seen.update(int.from_bytes(b.tobytes(), "little") for b in packed)
+                found |= _masks(at[lag:] != at[:-lag])
+    return found
 
-    for i in range(rel.m):
-        neighbours(dense[flags[:, i]], [i], sorts)
-    neighbours(dense, [], 4 * sorts)
-    seen.discard(0)
-    return seen
+
+def refute_on_sample(rows: np.ndarray, lhs: int, rhs: int, most: int = 16) -> set[int]:
+    """Difference sets of sampled rows that agree on lhs and differ on rhs: neighbours when sorted by lhs, then rhs, then the rest. Empty if the sample doesn't refute."""
+    left = list(bits(lhs))
+    rest = [i for i in range(rows.shape[1]) if i != rhs and not lhs >> i & 1]
+    order = [*left, rhs, *rest]
+    at = rows[np.lexsort([rows[:, x] for x in reversed(order)])]
+    same = (at[1:][:, left] == at[:-1][:, left]).all(axis=1) & (at[1:, rhs] != at[:-1, rhs])
+    differ = at[1:][same] != at[:-1][same]
+    few = differ[np.argsort(differ.sum(axis=1), kind="stable")[:most]]
+    return _masks(few)
+
+
+def sample_difference_sets(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, sorts: int = SORTS, seed: int = 20) -> set[int]:
+    """Difference sets of sampled row pairs that agree on some attributes."""
+    rows = take_sample(rel, n, cards, sample_rows, seed)
+    return edges_of_sample(rows, sorts, seed) if len(rows) else set()
 
 
 def violating_edges(rel: Relation, broken: Iterable[tuple[int, int, tuple[int, int]]]) -> dict[tuple[int, int], int]:
@@ -98,13 +116,14 @@ def violating_edges(rel: Relation, broken: Iterable[tuple[int, int, tuple[int, i
     broken = list(broken)
     if not broken:
         return {}
-    aggs = []
+    aggs, anywhere = [], F.lit(False)
     for k, (lhs, a, (x1, x2)) in enumerate(broken):
         key = rel.key(lhs)
         here = (key[0] == F.lit(x1)) & (key[1] == F.lit(x2))
+        anywhere = anywhere | here
         order = F.when(here, F.struct(F.col(f"_1_{a}").alias("v"), F.col("_codes").alias("c")))
         aggs += [F.min(order).alias(f"lo{k}"), F.max(order).alias(f"hi{k}")]
-    row = rel.coded.withColumn("_codes", codes(rel)).agg(*aggs).first()
+    row = rel.coded.where(anywhere).withColumn("_codes", codes(rel)).agg(*aggs).first()
     found = {}
     for k, (lhs, a, _) in enumerate(broken):
         edge = mask_between(row[f"lo{k}"]["c"], row[f"hi{k}"]["c"])

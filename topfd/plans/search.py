@@ -28,6 +28,8 @@ VARIANTS = {
     "full": {"order": "ascending", "bound": "pairs", "scheduler": "global"},
 }
 BATCH = 24
+#: Rows of a slice, about, and the smallest slice's share: relations of fewer than four slices are checked whole at once.
+SLICE_ROWS, MOST_SLICES = 25_000, 64
 
 
 class TopK:
@@ -115,7 +117,11 @@ class _Run:
     pairs_s: float = 0.0
     queue_s: float = 0.0
     trace: list = field(default_factory=list)
-    checked: dict = field(default_factory=dict)
+    sample: object = None
+    unrefuted: set = field(default_factory=set)
+    unsliced: set = field(default_factory=set)
+    sample_refuted: int = 0
+    slice_refuted: int = 0
 
     def over(self) -> bool:
         x = self.limits
@@ -128,6 +134,38 @@ class _Run:
     def mark(self) -> None:
         self.trace.append((len(self.trace), time.monotonic() - self.began, self.validations, self.top.tau))
 
+    def refute_early(self, candidates: list[tuple[int, int]]) -> set[tuple[int, int]]:
+        """Candidates that the driver's bounded sample of rows already refutes, at no job's cost; if there is none, those that a slice of the classes refutes.
+        Their difference sets are added."""
+        out = self._refute_on_sample(candidates)
+        one_in = min(MOST_SLICES, self.n // SLICE_ROWS)
+        fresh = [c for c in candidates if c not in self.unsliced]
+        if out or one_in < 4 or not fresh:
+            return out
+        self.jobs += 1
+        broken = cardinality.refute_on_slice(self.rel, fresh, one_in)
+        self.unsliced |= set(fresh) - set(broken)
+        if broken:
+            self.jobs += 1
+            self.edges |= set(evidence.violating_edges(self.rel, [(lhs, a, x) for (lhs, a), x in broken.items()]).values())
+            self.slice_refuted += len(broken)
+        return set(broken)
+
+    def _refute_on_sample(self, candidates: list[tuple[int, int]]) -> set[tuple[int, int]]:
+        out = set()
+        if self.sample is None or not len(self.sample):
+            return out
+        for lhs, a in candidates:
+            if (lhs, a) not in self.unrefuted:
+                found = evidence.refute_on_sample(self.sample, lhs, a)
+                if found:
+                    self.edges |= found
+                    out.add((lhs, a))
+                else:
+                    self.unrefuted.add((lhs, a))
+        self.sample_refuted += len(out)
+        return out
+
     def check(self, candidates: list[tuple[int, int]]) -> list[tuple[int, int]]:
         """Validates; offers what holds; adds the edges of what doesn't. Returns the refuted."""
         self.rounds += 1
@@ -165,11 +203,12 @@ def _search_trees(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: boo
         if not pending:
             return
         known = len(run.edges)
-        broken = set(run.check(pending))
-        run.counters.refuted += len(broken)
         valid: dict[int, set[int]] = {}
-        for lhs, a in set(pending) - broken:
-            valid.setdefault(a, set()).add(lhs)
+        if not run.refute_early(pending):
+            broken = set(run.check(pending))
+            run.counters.refuted += len(broken)
+            for lhs, a in set(pending) - broken:
+                valid.setdefault(a, set()).add(lhs)
         pending.clear()
         for a, t in trees.items():
             t.resume(valid.get(a, set()))
@@ -223,9 +262,9 @@ def _search_trees(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: boo
         _, _, a = heapq.heappop(queue)
         if not trees[a].stack:
             continue
-        held, spent = run.rounds, time.monotonic()
+        held, spent = (run.rounds, run.sample_refuted, run.slice_refuted), time.monotonic()
         advance(a)
-        if run.rounds != held:
+        if (run.rounds, run.sample_refuted, run.slice_refuted) != held:
             # a round may have reopened trees: bounds and tops are stale
             began += time.monotonic() - spent
             queue.clear()
@@ -250,10 +289,11 @@ def _search_antichains(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs
             return False
         chosen = [(lhs, a) for *_, lhs, a in heapq.nsmallest(run.batch, found)]
         run.counters.visited += len(chosen)
-        broken = set(run.check(chosen))
-        for lhs, a in chosen:
-            if (lhs, a) not in broken:
-                chains[a].settled.add(lhs)
+        if not run.refute_early(chosen):
+            broken = set(run.check(chosen))
+            for lhs, a in chosen:
+                if (lhs, a) not in broken:
+                    chains[a].settled.add(lhs)
         for a, c in chains.items():
             c.add_edges(evidence.induce(run.edges, a), top.below)
         return True
@@ -313,7 +353,8 @@ def discover(
         run.pairs_s = time.monotonic() - spent
         run.jobs += 1
     if sample and edges is None:
-        run.edges |= evidence.sample_difference_sets(rel, n, cards, seed=seed)
+        run.sample = evidence.take_sample(rel, n, cards, seed=seed)
+        run.edges |= evidence.edges_of_sample(run.sample, seed=seed) if len(run.sample) else set()
         run.jobs += 1
     run.mark()
     if n:
@@ -327,7 +368,7 @@ def discover(
     stats = {
         "variant": variant if k is not None else "exhaustive", "k": k or 0, "n_rows": n, "n_attributes": rel.m, "status": status, "nodes_generated": c.generated, "nodes_visited": c.visited,
         "validations": run.validations, "valid_found": run.valid, "valid_until_last_change": run.valid_at_change, "pruned_expand": c.pruned_expand, "pruned_validate": c.pruned_validate,
-        "pruned_pop": c.pruned_pop, "edges": len(run.edges), "rounds": run.rounds, "spark_jobs": run.jobs, "wall_s": time.monotonic() - began, "pairs_s": run.pairs_s, "queue_s": run.queue_s,
+        "pruned_pop": c.pruned_pop, "edges": len(run.edges), "sample_refuted": run.sample_refuted, "slice_refuted": run.slice_refuted, "rounds": run.rounds, "spark_jobs": run.jobs, "wall_s": time.monotonic() - began, "pairs_s": run.pairs_s, "queue_s": run.queue_s,
         "peak_heap_mb": peak_heap_mb(rel.df),
     }
     if own:
