@@ -58,7 +58,8 @@ def install(monkeypatch):
     def sample(rel, n, cards, seed=20, **_):
         rows = [rel.rows[i] for i in sorted(rel.rng.sample(range(n), rel.rng.randint(0, n)))] if n > 1 else []
         codes = [{v: k for k, v in enumerate(dict.fromkeys(r[i] for r in rows))} for i in range(rel.m)]
-        return np.array([[codes[i][r[i]] for i in range(rel.m)] for r in rows], np.int64).reshape(len(rows), rel.m)
+        rows = np.array([[codes[i][r[i]] for i in range(rel.m)] for r in rows], np.int64).reshape(len(rows), rel.m)
+        return rows, rows
 
     monkeypatch.setattr(search.cardinality, "check_batch", check)
     monkeypatch.setattr(search.cardinality, "profile", lambda rel: (len(rel.rows), [rel.card(1 << i) for i in range(rel.m)]))

@@ -15,6 +15,8 @@ from pyspark.sql import functions as F
 from ..model import Relation, bits
 
 SAMPLE_ROWS, SORTS = 40_000, 4
+#: Rows and cells that are taken for lower bounds of class counts.
+COUNT_ROWS, COUNT_CELLS = 200_000, 3_000_000
 #: Rows up to which all pairs may be compared; for tests and toy relations.
 ALL_PAIRS_ROWS = 2_000
 WORD_BITS = 62
@@ -51,13 +53,13 @@ def mask_of_words(words: list[int]) -> int:
     return sum(w << (WORD_BITS * k) for k, w in enumerate(words))
 
 
-def take_sample(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, seed: int = 20) -> np.ndarray:
-    """A bounded number of rows, as small integers for each attribute's values, from one scan.
+def take_sample(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, seed: int = 20) -> tuple[np.ndarray, np.ndarray]:
+    """(rows for pairs, rows for counts): a bounded number of rows, as small integers for each attribute's values, from one scan. The second are all that were taken.
 
     Of each attribute, a slice of its *classes* is taken whole where the slice is small, and of large classes a hash sample of rows; so near-keys
     and two-valued columns both give pairs that agree, and the rows that reach the driver stay near sample_rows."""
     if n < 2 or not rel.m:
-        return np.zeros((0, rel.m), np.int64)
+        return (np.zeros((0, rel.m), np.int64),) * 2
     each = max(64.0, sample_rows / rel.m)
     row_draw = F.pmod(F.xxhash64(codes(rel), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
     chosen = F.lit(False)
@@ -65,9 +67,27 @@ def take_sample(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMP
         slices = max(1, min(max(1, cards[i] // 4), int(n / each)))
         share = min(1.0, each * slices / n)
         chosen = chosen | ((F.pmod(F.xxhash64(F.col(f"_2_{i}"), F.lit(5)), F.lit(slices)) == 0) & (row_draw < share))
-    picked = rel.coded.where(chosen).select(codes(rel).alias("codes")).limit(4 * sample_rows).toArrow()
+    counted = min(COUNT_ROWS, COUNT_CELLS // rel.m)
+    taken = rel.coded.select(codes(rel).alias("codes"), chosen.alias("paired")).where(F.col("paired") | (row_draw_of("codes", seed + 1) < counted / n))
+    picked = taken.limit(4 * sample_rows + 2 * counted).toArrow()
     flat = picked.column("codes").combine_chunks().flatten().to_numpy().reshape(-1, rel.m)
-    return np.stack([np.unique(flat[:, i], return_inverse=True)[1] for i in range(rel.m)], axis=1)
+    dense = np.stack([np.unique(flat[:, i], return_inverse=True)[1] for i in range(rel.m)], axis=1)
+    return dense[picked.column("paired").to_numpy()], dense
+
+
+def row_draw_of(column: str, seed: int) -> Column:
+    return F.pmod(F.xxhash64(F.col(column), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
+
+
+def distinct_in_sample(rows: np.ndarray, lhs: int) -> int:
+    """Classes of the sampled rows: never more than the relation has, so a safe lower bound. A collision of the combined codes only lowers it."""
+    if not len(rows):
+        return 0
+    key = np.zeros(len(rows), np.uint64)
+    for i in bits(lhs):
+        key = (key ^ rows[:, i].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
+        key ^= key >> np.uint64(29)
+    return len(np.unique(key))
 
 
 def _masks(differ: np.ndarray) -> set[int]:
@@ -106,7 +126,7 @@ def refute_on_sample(rows: np.ndarray, lhs: int, rhs: int, most: int = 16) -> se
 
 def sample_difference_sets(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, sorts: int = SORTS, seed: int = 20) -> set[int]:
     """Difference sets of sampled row pairs that agree on some attributes."""
-    rows = take_sample(rel, n, cards, sample_rows, seed)
+    rows, _ = take_sample(rel, n, cards, sample_rows, seed)
     return edges_of_sample(rows, sorts, seed) if len(rows) else set()
 
 

@@ -12,6 +12,7 @@ from collections.abc import Iterable
 
 from ..model import Relation, bits
 from ..operators.cardinality import set_cardinalities
+from ..operators.evidence import distinct_in_sample
 
 
 def attribute_order(cards: list[int], how: str = "ascending", seed: int = 20) -> list[int]:
@@ -41,6 +42,16 @@ class PairMatrix:
         self.pairs: dict[int, int] = {}
         self.origin: dict[int, str] = {}
         self.larger: dict[int, int] = {}
+        self.sample = None
+        self._sampled: dict[int, int] = {}
+
+    def sampled(self, lhs: int) -> int:
+        """Classes of lhs among the sampled rows; 0 without a sample. Counted once for each set."""
+        if self.sample is None:
+            return 0
+        if lhs not in self._sampled:
+            self._sampled[lhs] = distinct_in_sample(self.sample, lhs)
+        return self._sampled[lhs]
 
     def precompute(self, rel: Relation, order: list[int], d: int | None = None) -> None:
         """Pairs among the first d attributes of the order, the rounded-up root of their number by default: about half as many sets as attributes, one job."""

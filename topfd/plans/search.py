@@ -323,6 +323,7 @@ def discover(
     ties: str = "canonical",
     empty_lhs: bool = True,
     sample: bool = True,
+    sample_bound: bool = True,
     edges: set[int] | None = None,
     limits: Limits | None = None,
     persist: bool = True,
@@ -332,7 +333,7 @@ def discover(
     """The k dependencies of largest redundancy of a DataFrame; with k=None all minimal ones, by the same kernel without pruning.
 
     edges: stored difference sets of the same rows. batch=1 validates one by one. max_lhs: leave larger left-hand sides out. limits: end early with status over_budget.
-    strict_counts: don't test a node's bound again when it is popped."""
+    strict_counts: don't test a node's bound again when it is popped. sample_bound: also bound by the classes that a set has among the sampled rows."""
     if variant not in VARIANTS:
         raise ValueError(f"unknown variant {variant}")
     if kernel not in ("tree", "antichain"):
@@ -353,7 +354,9 @@ def discover(
         run.pairs_s = time.monotonic() - spent
         run.jobs += 1
     if sample and edges is None:
-        run.sample = evidence.take_sample(rel, n, cards, seed=seed)
+        run.sample, counted = evidence.take_sample(rel, n, cards, seed=seed)
+        if sample_bound and k is not None:
+            matrix.sample = counted
         run.edges |= evidence.edges_of_sample(run.sample, seed=seed) if len(run.sample) else set()
         run.jobs += 1
     run.mark()

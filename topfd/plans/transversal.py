@@ -82,6 +82,8 @@ class Tree:
         self.counters.visited += 1
         if self.recheck:
             node.largest = max(node.largest, self.matrix.largest(node.lhs))
+            if node.lhs.bit_count() > 2 and not below(self.matrix.bound(node.largest, self.rhs)):
+                node.largest = max(node.largest, self.matrix.sampled(node.lhs))
         bound = self.matrix.bound(node.largest, self.rhs)
         unhit = [e for e in self.edges if not e & node.lhs]
         if not unhit and (node.lhs or self.empty_lhs):
@@ -164,7 +166,7 @@ class Antichain:
         """(bound, lhs) of what is still to be validated."""
         out = []
         for s in sorted(self.sets - self.settled, key=lambda s: tuple(sorted(self.rank[i] for i in bits(s)))):
-            bound = self.matrix.bound(self.matrix.largest(s), self.rhs)
+            bound = self.matrix.bound(max(self.matrix.largest(s), self.matrix.sampled(s)), self.rhs)
             if below(bound):
                 self.counters.pruned_validate += 1
                 self.sets.discard(s)
