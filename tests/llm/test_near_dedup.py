@@ -103,6 +103,24 @@ def test_one_of_each_keeps_columns_and_one_row(spark):
     assert sorted(r["doc_id"] for r in out.collect()) == [1, 3, 4, 5]
 
 
+def test_one_of_each_brings_rows_back_by_id_and_text(spark):
+    """Several null ids, one id on different texts, ids that a kept and a removed row share."""
+    long = [" ".join(f"{c}{i}" for i in range(40)) for c in "abcdefg"]
+    near = [t + " more" for t in long]
+    rows = [
+        (None, long[0]), (None, long[1]), (None, None), (None, ""), (None, near[1]),  # one of the two that are alike
+        (7, long[2]), (7, long[3]),
+        (1, long[4]), (9, near[4]), (9, long[5]),  # of id 9, only the second
+        (2, long[6]), (None, near[6]),  # this null id goes, the others stay
+        (7, long[2]),
+    ]
+    got = sorted(((r["doc_id"], r["text"]) for r in N.one_of_each(docs(spark, rows, extra=True).repartition(3)).collect()), key=str)
+    alike = [r for r in got if r[1] in (long[1], near[1])]
+    assert len(alike) == 1
+    want = [(None, long[0]), (None, None), (None, ""), (7, long[2]), (7, long[3]), (1, long[4]), (9, long[5]), (2, long[6])]
+    assert sorted((r for r in got if r not in alike), key=str) == sorted(want, key=str)
+
+
 def test_empty_table(spark):
     assert N.groups(docs(spark, [(1, "a")]).limit(0)).collect() == []
 

@@ -113,7 +113,16 @@ def band_hashes(sig: np.ndarray, bands: int) -> np.ndarray:
 
 
 def _key(df: DataFrame) -> DataFrame:
-    return df.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))).alias("did"), "text")
+    return df.select(_did().alias("did"), "text")
+
+
+def _did() -> Column:
+    return F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST)))
+
+
+def _text_keys() -> list[Column]:
+    """128 bits of the text itself: with the id, the key of a row up to rows that repeat both."""
+    return [F.xxhash64("text").alias("text_1"), F.xxhash64(F.lit(1), "text").alias("text_2")]
 
 
 def _set_hashes(h: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -126,22 +135,23 @@ def _set_hashes(h: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 def facts(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """did, n_shingles, node and node2 (128 bits of the set), bands (null for an empty set)."""
+    """did, text_1 and text_2 (128 bits of the text), n_shingles, node and node2 (128 bits of the set), bands (null for an empty set)."""
     n_bands, rows = banding(percent)
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            for lo, hi, data, bounds in chunks(batch.column(1)):
+            for lo, hi, data, bounds in chunks(batch.column(3)):
                 h, first = shingle_sets(data, bounds, width)
                 n = np.diff(first)
                 a, b = _set_hashes(h, first)
                 bands = pa.FixedSizeListArray.from_arrays(pa.array(band_hashes(signatures(h, first, n_bands * rows), n_bands).ravel()), n_bands).cast(pa.list_(pa.int64()))
                 bands = pa.compute.if_else(pa.array(n > 0), bands, pa.nulls(len(n), bands.type))
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(n, pa.int64()), pa.array(a), pa.array(b), bands], ["did", "n_shingles", "node", "node2", "bands"])
+                keys = [batch.column(k)[lo:hi] for k in range(3)]
+                yield pa.RecordBatch.from_arrays([*keys, pa.array(n, pa.int64()), pa.array(a), pa.array(b), bands], ["did", "text_1", "text_2", "n_shingles", "node", "node2", "bands"])
 
         return each
 
-    return arrow_map(_key(docs), ["did", "text"], "did long, n_shingles long, node long, node2 long, bands array<long>", make)
+    return arrow_map(_key(docs), ["did", *_text_keys(), "text"], "did long, text_1 long, text_2 long, n_shingles long, node long, node2 long, bands array<long>", make)
 
 
 def _linked(pairs: DataFrame, docs: DataFrame, reps: DataFrame, width: int, percent: int) -> DataFrame:
@@ -245,8 +255,8 @@ def _sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
     return arrow_map(texts, ["node", "text"], "node long, elements binary", make).dropDuplicates(["node"])
 
 
-def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, n_shingles, component_id, kept."""
+def _named(docs: DataFrame, width: int, percent: int) -> DataFrame:
+    """facts() with the group of each row; null for an empty set, which is in no group."""
     known = written(facts(docs, width, percent))
     reps = written(known.where(F.col("n_shingles") > 0).groupBy("node").agg(F.min("did").alias("did"), F.min("n_shingles").alias("n_shingles")))
     banded = known.where(F.col("n_shingles") > 0).dropDuplicates(["node"]).select("node", "n_shingles", F.posexplode("bands").alias("band", "bucket"))
@@ -271,7 +281,12 @@ def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
         more = written(meet.groupBy("bucket", "b0", "b1").applyInArrow(_block_links(percent), "a long, b long"))
         if more.limit(1).count():
             parts = components(links.unionByName(more))
-    named = known.join(parts, "node", "left").withColumn("group", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")))
+    return known.join(parts, "node", "left").withColumn("group", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")))
+
+
+def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """docs(doc_id, text) -> doc_id, n_shingles, component_id, kept."""
+    named = _named(docs, width, percent)
     least = named.where(F.col("group").isNotNull()).groupBy("group").agg(F.min("did").alias("least"))
     out = named.join(least, "group", "left").withColumn("component", F.coalesce("least", "did"))
     real = lambda c: F.when(F.col(c) < F.lit(int(_LAST)), F.col(c))
@@ -279,12 +294,19 @@ def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """The documents, with all their columns, that have the smallest id of their group; of repeated rows with one id, one."""
-    judged = written(groups(docs, width, percent).where("kept").select(F.coalesce("doc_id", F.lit(int(_LAST))).alias("_kept_id")))
-    ids = judged.distinct()
-    kept = docs.join(ids, F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))) == F.col("_kept_id"), "left_semi")
-    again = judged.groupBy("_kept_id").count().where(F.col("count") > 1).limit(1).count()
-    return kept.dropDuplicates(["doc_id"]) if again else kept
+    """One document of each group, with all its columns: of those with the group's smallest id (null is the largest) the one with the least hash
+    of the text. Documents in no group stay. Rows come back by id and text, never by the id alone; of rows that repeat both, one stays."""
+    row = F.struct("did", "text_1", "text_2")
+    named = _named(docs, width, percent).select("group", row.alias("row"))
+    grouped = F.col("group").isNotNull()
+    first = named.where(grouped).groupBy("group").agg(F.min("row").alias("first"))
+    chosen = named.where(grouped).join(first, "group").where(F.col("row") == F.col("first")).unionByName(named.where(~grouped), allowMissingColumns=True)
+    chosen = written(chosen.select(*[F.col(f"row.{k}").alias(f"_kept_{k}") for k in ("did", "text_1", "text_2")]))
+    keys = chosen.distinct()
+    one, two = _text_keys()
+    kept = docs.join(keys, (_did() == F.col("_kept_did")) & (one == F.col("_kept_text_1")) & (two == F.col("_kept_text_2")), "left_semi")
+    again = chosen.groupBy(*chosen.columns).count().where(F.col("count") > 1).limit(1).count()
+    return kept.dropDuplicates(["doc_id", "text"]) if again else kept
 
 
 def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
