@@ -72,5 +72,38 @@ def test_nearest_pages_lose_what_they_share(spark):
     assert all(n == len(t) for _, _, t, n in got)
 
 
+def _site(n_copies):
+    page = lambda body: f"<div><p>Our site</p><p>Follow us</p>{body}<p>All rights</p></div>"
+    rows = [(1, "http://a.org/a", page("<p>first</p>"))]
+    rows += [(10 + i, f"http://a.org/c/{i:03}", page("<p>copy</p>")) for i in range(n_copies)]
+    rows += [(900, "http://a.org/z", page("<p>last</p>"))] * 3 + [(None, "http://b.org/1", page("<p>b</p>")), (901, "http://b.org/2", page("<p>c</p>"))]
+    return rows, {1: "first", 900: "last", None: "b", 901: "c"}
+
+
+def test_copies_are_differenced_against_the_nearest_other_page(spark, monkeypatch):
+    """Runs of copies in one range, and over several whole ranges; hosts that a cut divides."""
+    rows, want = _site(40)
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    for pages in (400, 10, 3):
+        monkeypatch.setattr(H, "PARTITION_PAGES", pages)
+        got = [(r["page_id"], r["text"]) for r in H.extract(df).collect()]
+        assert len(got) == len(rows)
+        assert {t for i, t in got if i not in want} == {"copy"}, pages
+        assert all(t == want[i] for i, t in got if i in want), pages
+
+
+def test_every_number_of_ranges_gives_the_same_texts(spark, monkeypatch):
+    rng = random.Random(5)
+    body = lambda: "".join(f"<p>{rng.choice('abcdef')}</p>" for _ in range(rng.randint(0, 3)))
+    rows = [(i // 2, f"http://h{rng.randrange(3)}.org/{rng.randrange(4)}/{rng.randrange(30)}", f"<p>top</p>{body()}<p>end</p>") for i in range(150)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    found = []
+    for pages, cuts in ((400, 128), (12, 128), (9, 3)):
+        monkeypatch.setattr(H, "PARTITION_PAGES", pages)
+        monkeypatch.setattr(H, "CUTS", cuts)
+        found.append(sorted(map(tuple, H.extract(df).collect()), key=str))
+    assert len(found[0]) == 150 and found[0] == found[1] == found[2]
+
+
 def test_empty_table(spark):
     assert H.extract(spark.createDataFrame([], "page_id long, url string, html string")).collect() == []

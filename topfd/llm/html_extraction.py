@@ -2,9 +2,9 @@
 
 1. A page becomes lines, one a block, in page order. Elements that can't be part of an article (scripts, menus, forms,
    asides, adverts, notices, comments and the like, by element, role, class or id) give no line.
-2. Pages are sorted by host, path and id across range partitions, so that a host of any size is spread over many tasks. Each page is
-   paired with the neighbour of its host whose path has the longest common start and whose lines differ; a longest common subsequence
-   aligns the two pages' lines, and shared lines are deleted.
+2. Pages are sorted by host, path and id across ranges, so that a host of any size is spread over many tasks. On both sides the nearest page
+   of the host whose lines differ is looked for, past copies and past the ends of a range, and the one whose path has the longer common
+   start is the partner; a longest common subsequence aligns the two pages' lines, and shared lines are deleted.
 3. Lines inside the page's own article element are never deleted, whether shared or not: on the given pages articles share passages
    that belong to them. What differencing removes are the template's lines around an article that the mark-up doesn't name.
 
@@ -15,6 +15,7 @@ never each other's partner, so copies don't erase each other. Repeated rows give
 
 from __future__ import annotations
 
+import hashlib
 import html as entities
 import re
 from collections.abc import Iterator
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..ship import ship
-from .common import table
+from .common import arrow_map, table, written
 from .url_filter import host_and_path
 
 #: Elements by their part in a page. Fixed values of HTML.
@@ -44,8 +45,12 @@ _ENDS = {name: re.compile(rf"</{name}\s*[^>]*>", re.I) for name in RAW}
 _SPLIT = re.compile(r"[^a-z0-9]+")
 #: A second article counts if it has this share of the longest one's characters.
 SECOND = 0.3
-#: Pages of a partition, at least.
+#: Pages of a range, at least.
 PARTITION_PAGES = 400
+#: What pages are sorted by; mark keeps equal pages together.
+KEY = ("host", "path", "place", "mark")
+#: Cuts between ranges are searched in blocks of so many.
+CUTS = 128
 
 
 def _unwanted(name: str, attributes: str, inside: bool) -> bool:
@@ -217,48 +222,142 @@ def _alike(a: str, b: str) -> int:
 
 
 def _differenced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pages in order of host and path; holds one page before and one after the page in hand."""
-    before = here = None
+    """Pages in order of range, side and key. A run of pages with equal lines waits for the next page that differs; the page before the run is held too.
+    Rows whose side isn't 0 are the neighbours of the range: partners alone."""
+    before = now = None
+    run: list[tuple] = []
     done: list[tuple] = []
-
-    def settle(before, here, after) -> tuple:
-        near = [p for p in (before, after) if p and p[2] == here[2] and [t for t, _ in p[4]] != [t for t, _ in here[4]]]
-        partner = max(near, key=lambda p: _alike(p[3], here[3]), default=None)
-        text = main_text(here[4], partner and partner[4])
-        return here[0], here[1], text, len(text)
+    size = 0
 
     def out() -> pa.RecordBatch:
         batch = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*done, strict=True), (pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)], ["page_id", "url", "text", "n_chars"])
         done.clear()
         return batch
 
-    size = 0
+    def settled(after) -> Iterator[pa.RecordBatch]:
+        nonlocal size
+        near, texts = [p for p in (before, after) if p], {}
+        for page_id, url, path, side, inside in run:
+            if side:
+                continue
+            k = max(range(len(near)), key=lambda k: _alike(near[k][0], path), default=None)
+            if (k, inside) not in texts:
+                texts[k, inside] = main_text([(t, a) for (t, _), a in zip(now[1], inside, strict=True)], None if k is None else near[k][1])
+            text = texts[k, inside]
+            done.append((page_id, url, text, len(text)))
+            size += len(text)
+            if size > 4_000_000:
+                yield out()
+                size = 0
+
     for batch in batches:
-        for row in zip(*(batch.column(k).to_pylist() for k in range(4)), batch.column(4), strict=True):
-            after = (*row[:4], lines_of(row[4].as_py()))
-            if here:
-                done.append(settle(before, here, after))
-                size += done[-1][3]
-                if size > 4_000_000:
-                    yield out()
-                    size = 0
-            before, here = here, after
-    if here:
-        done.append(settle(before, here, None))
+        for page_id, url, path, side, part, host, page in zip(*(batch.column(k).to_pylist() for k in range(6)), batch.column(6), strict=True):
+            lines = lines_of(page.as_py())
+            same_host = now and now[0] == (part, host)
+            if not (same_host and [t for t, _ in lines] == [t for t, _ in now[1]]):
+                if now:
+                    yield from settled((path, lines) if same_host else None)
+                before, now = (run[-1][2], now[1]) if same_host else None, ((part, host), lines)
+                run.clear()
+            # copies may differ in what an article element holds, so a line's place stays with its page
+            run.append((page_id, url, path, side, tuple(a for _, a in lines)))
+    if now:
+        yield from settled(None)
     if done:
         yield out()
     pa.default_memory_pool().release_unused()
 
 
+def _ends(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Keys and line hashes in order -> at most four of a range: the first page and the first of its host that differs from it; the last and the last that differs."""
+    first = first_other = last = last_other = None
+    for batch in batches:
+        for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if first is None:
+                first = row
+            elif first_other is None and row[0] == first[0] and row[4] != first[4]:
+                first_other = row
+            if last and row[0] != last[0]:
+                last_other = None
+            elif last and row[4] != last[4]:
+                last_other = last
+            last = row
+    found = [(k, first[:4], *row) for k, row in enumerate((first, first_other, last, last_other)) if row] if first else []
+    kinds = (pa.int32(), None, pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64())
+    if found:
+        start = pa.StructArray.from_arrays([pa.array(c, k) for c, k in zip(zip(*(f[1] for f in found), strict=True), kinds[2:6], strict=True)], list(KEY))
+        rest = [pa.array(c, k) for c, k in zip(zip(*(f[2:] for f in found), strict=True), kinds[2:], strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], pa.int32()), start, *rest], ["kind", "start", *KEY, "lines"])
+
+
+def neighbours(ranges: list[dict[int, tuple]]) -> list[tuple[int, int, tuple]]:
+    """ranges: in order, what _ends found, each (host, path, place, mark, lines) -> (range, side, key) of the last page before it (side -1) that
+    has the host and not the lines of its first page, and of the first page after it (side 1) against its last page."""
+    out = []
+    for side, near, near_other, far in ((-1, 2, 3, 0), (1, 0, 1, 2)):
+        held = None
+        order = range(len(ranges)) if side < 0 else range(len(ranges) - 1, -1, -1)
+        previous = None
+        for q in order:
+            page = ranges[q][far]
+            if previous is not None:
+                p = ranges[previous]
+                if p[near][0] != page[0]:
+                    held = None
+                elif p[near][4] != page[4]:
+                    held = p[near]
+                elif near_other in p:
+                    held = p[near_other]
+                elif p[far][0] != page[0]:
+                    held = None
+                # else the range before is one run with these lines: its own neighbour is this one's too
+                if held:
+                    out.append((q, side, held[:4]))
+            previous = q
+    return out
+
+
+def _line_hashes(keyed: DataFrame) -> DataFrame:
+    def make():
+        def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+            marks = [int.from_bytes(hashlib.blake2b("\n".join(t for t, _ in lines_of(x.as_py())).encode(errors="surrogatepass"), digest_size=8).digest(), "little", signed=True) for x in batch.column(4)]
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(4)), pa.array(marks, pa.int64())], [*KEY, "lines"])
+
+        return each
+
+    return arrow_map(keyed, [*KEY, "html"], "host string, path string, place long, mark long, lines long", make)
+
+
+def _ranged(keyed: DataFrame, parts: int) -> DataFrame:
+    """The pages with their range (part) and side 0, and each range's neighbours with their side."""
+    spark, fields = keyed.sparkSession, "host string, path string, place long, mark long"
+    narrow = written(_line_hashes(keyed)).repartitionByRange(parts, *KEY).sortWithinPartitions(*KEY)
+    by_start: dict[tuple, dict[int, tuple]] = {}
+    for r in narrow.mapInArrow(_ends, f"kind int, start struct<{fields.replace(' ', ':')}>, {fields}, lines long".replace(",:", ", ")).collect():
+        by_start.setdefault(tuple(r["start"]), {})[r["kind"]] = (*(r[k] for k in KEY), r["lines"])
+    starts = sorted(by_start)
+    blocks = [starts[k : k + CUTS] for k in range(0, len(starts), CUTS)]
+    cut = "array<struct<host:string,path:string,place:bigint,mark:bigint>>"
+    cuts = spark.createDataFrame([([x[0] for x in blocks], blocks)], f"firsts {cut}, blocks array<{cut}>")
+    reached = lambda cuts: F.size(F.filter(cuts, lambda c: c <= F.struct(*KEY)))
+    placed = keyed.crossJoin(F.broadcast(cuts)).withColumn("_block", F.greatest(reached(F.col("firsts")), F.lit(1)))
+    part = (F.col("_block") - 1) * CUTS + reached(F.element_at("blocks", F.col("_block"))) - 1
+    own = placed.select("*", part.cast("int").alias("part"), F.lit(0).alias("side")).drop("firsts", "blocks", "_block")
+    ends = spark.createDataFrame([(*key, q, side) for q, side, key in neighbours([by_start[s] for s in starts])], f"{fields}, part int, side int")
+    guests = keyed.join(F.broadcast(ends), list(KEY)).dropDuplicates(["part", "side"]).select(own.columns)
+    return own.unionByName(guests).repartitionById(len(starts), "part")
+
+
 def extract(pages: DataFrame) -> DataFrame:
     """pages(page_id, url, html) -> page_id, url, text, n_chars."""
     ship(pages.sparkSession)
     host, path = host_and_path(F.col("url"))
     keyed = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", host.alias("host"), path.alias("path"), "html")
-    # up to four times the usual number of partitions, as pages are long rows of which a task holds a batch on either side of Arrow; but
-    # not fewer than some hundred pages each, since the pages at a partition's ends have a partner on one side only
+    keyed = keyed.select("*", F.coalesce("page_id", F.lit(-(2**63))).alias("place"), F.xxhash64("html").alias("mark"))
+    # up to four times the usual number of ranges, as pages are long rows of which a task holds a batch on either side of Arrow
     parts = max(1, min(4 * int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")), pages.count() // PARTITION_PAGES))
-    near = keyed.repartitionByRange(parts, "host", "path", "page_id").sortWithinPartitions("host", "path", "page_id")
+    ranged = _ranged(keyed, parts) if parts > 1 else keyed.select("*", F.lit(0).alias("part"), F.lit(0).alias("side")).repartitionByRange(1, *KEY)
+    near = ranged.sortWithinPartitions("part", "side", *KEY).select("page_id", "url", "path", "side", "part", "host", "html")
     return near.mapInArrow(_differenced, "page_id long, url string, text string, n_chars long")
 
 
