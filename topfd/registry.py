@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from . import oracle, workloads
 from .functions import udx
-from .model import Limits, Relation, mask_of
+from .model import Relation, mask_of
 from .operators import apply, cardinality, definitions, evidence
 from .plans import baseline, bounds, metrics
 from .plans.search import VARIANTS, discover
@@ -385,15 +385,14 @@ def tau_trace(spark, sf):
 
 # ---- workloads -------------------------------------------------------------------------------------------------------------------------------
 
-_W1 = ("cust_geo", "orders_calendar", "doc_labels", "region", "nation", "labels")
-query("w1_overall")(lambda spark, sf: workloads.overall(spark, sf, _W1))
+query("w1_overall")(workloads.overall)
 query("w2_tuples")(lambda spark, sf: workloads.tuple_scaling(spark, sf, "orders_calendar", "o_orderkey"))
-query("w3_attributes")(lambda spark, sf: workloads.attribute_scaling(spark, sf, sizes=(8, 12, 16), limits=Limits(max_validations=150, max_seconds=12)))
-query("w4_k")(lambda spark, sf: workloads.k_sweep(spark, sf, "cust_geo", (1, 10, 50)))
-query("w5_ablation")(lambda spark, sf: workloads.ablation(spark, sf, ("cust_geo", "doc_labels")))
+query("w3_attributes")(workloads.attribute_scaling)
+query("w4_k")(lambda spark, sf: workloads.k_sweep(spark, sf).unionByName(workloads.k_sweep(spark, sf, "embedding_bins")))
+query("w5_ablation")(workloads.ablation)
 query("w6_traces")(lambda spark, sf: workloads.traces(spark, sf, "cust_geo"))
 query("w8_overhead")(workloads.overhead)
-query("w9_limits")(lambda spark, sf: workloads.limited(spark, sf, 16, Limits(max_validations=150, max_seconds=20)))
+query("w9_limits")(workloads.limited)
 
 
 @query("w1_counts", " UNION ALL ".join(f"SELECT '{v}' AS relation, * FROM ({oracle.over_fds(v, 'SELECT count(*) AS n_fds, count(*) FILTER (redundancy > 0) AS n_positive FROM fds')})" for v in ("region", "nation", "orders", "labels")))
