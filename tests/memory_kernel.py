@@ -8,6 +8,7 @@ import numpy as np
 
 from topfd.model import bits
 from topfd.operators.cardinality import Verdict
+from topfd.operators.evidence import Sample
 
 
 class MemoryRelation:
@@ -59,14 +60,13 @@ def install(monkeypatch):
         rows = [rel.rows[i] for i in sorted(rel.rng.sample(range(n), rel.rng.randint(0, n)))] if n > 1 else []
         codes = [{v: k for k, v in enumerate(dict.fromkeys(r[i] for r in rows))} for i in range(rel.m)]
         rows = np.array([[codes[i][r[i]] for i in range(rel.m)] for r in rows], np.int64).reshape(len(rows), rel.m)
-        return rows, rows
+        return Sample.of(rows)
 
     monkeypatch.setattr(search.cardinality, "check_batch", check)
     monkeypatch.setattr(search.cardinality, "profile", lambda rel: (len(rel.rows), [rel.card(1 << i) for i in range(rel.m)]))
     monkeypatch.setattr(search.evidence, "violating_edges", edges)
     monkeypatch.setattr(search.evidence, "take_sample", sample)
-    monkeypatch.setattr(search, "peak_heap_mb", lambda df: 0.0)
-    monkeypatch.setattr(bounds, "set_cardinalities", lambda rel, sets: {s: rel.card(s) for s in sets})
+    monkeypatch.setattr(bounds, "coded_cardinalities", lambda rel, sets: {s: rel.card(s) for s in sets})
     monkeypatch.setattr(search.Relation, "release", lambda self: None)
 
 

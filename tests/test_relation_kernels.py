@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tests.memory_kernel import MemoryRelation, brute_force, listed
-from topfd.model import Relation, bits, mask_of
+from topfd.model import Limits, Relation, bits, mask_of
 from topfd.operators import cardinality as C
 from topfd.operators import definitions as D
 from topfd.operators import evidence as E
@@ -190,3 +190,78 @@ def test_slices_change_no_answer(spark, monkeypatch):
 
 def test_bits():
     assert list(bits(0b1011)) == [0, 1, 3] and list(bits(0)) == []
+
+
+def _mixed(n=400):
+    rng = random.Random(11)
+    rows = [tuple(rng.randrange(k) for k in (3, 4, 5, 40)) for _ in range(n)]
+    return [(a, b, c, d, (a * 7 + b) % 5, a * 10, None if d % 7 else d) for a, b, c, d in rows], "a int, b int, c int, d int, e int, f int, g int"
+
+
+def test_spread_kernels_lower_profile_and_warm_start_change_no_answer(spark):
+    rows, schema = _mixed()
+    want = [x for x in brute_force(rows, list("abcdefg")) if x[0] < 0][:8]
+    for options in ({}, {"spread": True}, {"spread": True, "warm_start": False, "sample": False}, {"warm_start": False}, {"persist": True}, {"kernel": "tree", "warm_start": True}):
+        found = discover(rel_of(spark, rows, schema), 8, **options)
+        assert listed(found) == want and found.stats["exact"], options
+    lower = discover(rel_of(spark, rows, schema), 8, profile="lower")
+    assert listed(lower) == want and not lower.stats["exact"]
+    n, cards = C.lower_profile(rel_of(spark, rows, schema))
+    assert n == 400 and all(x <= len({r[i] for r in rows}) for i, x in enumerate(cards))
+
+
+def test_an_antichain_that_outgrows_its_share_leaves_the_rest_to_the_trees(spark, monkeypatch):
+    from topfd.plans import search
+
+    rows, schema = _mixed()
+    want = [x for x in brute_force(rows, list("abcdefg")) if x[0] < 0][:8]
+    monkeypatch.setattr(search, "MOST_SETS", 2)
+    assert listed(discover(rel_of(spark, rows, schema), 8, warm_start=False)) == want
+
+
+def test_a_run_goes_on_from_its_folder(spark, tmp_path):
+    rows, schema = _mixed()
+    want = [x for x in brute_force(rows, list("abcdefg")) if x[0] < 0][:8]
+    folder = f"{tmp_path}/progress"
+    cut = discover(rel_of(spark, rows, schema), 8, batch=2, warm_start=False, limits=Limits(max_validations=6), resume=folder)
+    assert cut.status == "over_budget"
+    again = discover(rel_of(spark, rows, schema), 8, batch=2, warm_start=False, resume=folder)
+    whole = discover(rel_of(spark, rows, schema), 8, batch=2, warm_start=False)
+    assert listed(again) == listed(whole) == want and again.stats["validations"] < whole.stats["validations"]
+    other = discover(rel_of(spark, rows[:-1], schema), 8, resume=folder)
+    assert listed(other) == [x for x in brute_force(rows[:-1], list("abcdefg")) if x[0] < 0][:8]
+
+
+def test_stored_evidence_is_for_its_rows_alone(spark, tmp_path):
+    rows, schema = _mixed(50)
+    rel = rel_of(spark, rows, schema)
+    edges = E.sample_difference_sets(rel, *C.profile(rel))
+    E.save_evidence(rel, edges, f"{tmp_path}/e")
+    assert E.load_evidence(rel_of(spark, rows[::-1], schema), f"{tmp_path}/e") == edges
+    with pytest.raises(ValueError):
+        E.load_evidence(rel_of(spark, rows[1:], schema), f"{tmp_path}/e")
+
+
+def test_sampled_edges_are_difference_sets_of_rows_and_the_sample_repeats(spark):
+    rows, schema = _mixed(300)
+    rel = rel_of(spark, rows + [rows[0]] * 200, schema)
+    n, cards = C.profile(rel)
+    a, b = (E.take_sample(rel, n, cards, 500) for _ in range(2))
+    assert (a.rows == b.rows).all() and all((x == y).all() for x, y in zip(a.slices, b.slices, strict=True)) and len(a) <= 300
+    pairs = {sum(1 << i for i in range(7) if r[i] != s[i]) for r in rows for s in rows}
+    assert E.edges_of_sample(a) <= pairs
+
+
+def test_measures_are_of_one_run(spark):
+    small, large = rel_of(spark, [(1, 2), (1, 2)], "a int, b int"), Relation.bind(spark.range(400_000).selectExpr("id AS a", "id % 1000 AS b", "id % 1000 * 2 AS c", "uuid() AS d"))
+    peaks = [discover(r, 3).stats for r in (large, small)]
+    assert peaks[1]["peak_heap_mb"] < peaks[0]["peak_heap_mb"]
+    assert peaks[1]["shuffle_mb"] < peaks[0]["shuffle_mb"] and peaks[0]["stages"] > 0 and peaks[0]["rows_read"] >= 0
+
+
+def test_a_wrong_answer_would_be_an_error(spark, monkeypatch):
+    rows, schema = _mixed(50)
+    monkeypatch.setattr(C, "recheck", lambda rel, fds: list(fds)[:1])
+    with pytest.raises(RuntimeError):
+        discover(rel_of(spark, rows, schema), 3)
+    assert discover(rel_of(spark, rows, schema), 3, recheck=False).fds

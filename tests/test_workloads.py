@@ -45,4 +45,4 @@ def test_registered_workloads_are_whole(spark, monkeypatch):
     ask("w5_ablation")
     assert [v for v, _ in bound] == ["order_lines", "doc_labels"]
     ask("w9_limits")
-    assert bound == [("wide_star", 31)]
+    assert bound == [("wide_star", 40)] and [x[2] is None for x in runs] == [True, False]

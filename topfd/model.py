@@ -28,11 +28,15 @@ FD_SCHEMA = "rank int, lhs array<string>, lhs_text string, rhs string, lhs_size
 STATS_SCHEMA = (
     "variant string, k int, n_rows long, n_attributes int, status string, nodes_generated long, nodes_visited long, validations long, valid_found long, "
     "valid_until_last_change long, pruned_expand long, pruned_validate long, pruned_pop long, edges long, sample_refuted long, slice_refuted long, rounds long, spark_jobs long, wall_s double, "
-    "pairs_s double, queue_s double, peak_heap_mb double"
+    "pairs_s double, queue_s double, peak_heap_mb double, stages long, shuffle_mb double, rows_read long, peak_task_mb double, exact boolean"
 )
 TRACE_SCHEMA = "seq long, elapsed_s double, validations long, tau long"
 
 
+#: Bytes of a split of the input, and from where on Spark's estimate of a table's size means that it knows none.
+SPLIT_BYTES, UNKNOWN_SIZE = 128 << 20, 1 << 62
+
+
 def bits(mask: int) -> Iterator[int]:
     """Positions of the set bits, ascending."""
     while mask:
@@ -76,10 +80,11 @@ class Relation:
     nulls: str = "eq"
     coded: DataFrame | None = None
     kept: bool = False
+    _partitions: int | None = None
 
     @classmethod
     def bind(cls, df: DataFrame, columns: list[str] | None = None, nulls: str = "eq", persist: bool = False) -> Relation:
-        """persist: keep the narrow relation (it may spill to disk) while a search runs; for views that are costly to recompute."""
+        """persist: keep the codes (they may spill to disk) while a search runs; for views that are costly to recompute."""
         if nulls not in ("eq", "neq"):
             raise ValueError("nulls is 'eq' or 'neq'")
         columns = list(df.columns if columns is None else columns)
@@ -91,12 +96,19 @@ class Relation:
         rel = cls(narrow, columns, nulls, None, persist)
         rel.coded = narrow.select(*[rel._code(i, seed).alias(f"_{seed}_{i}") for i in range(len(columns)) for seed in (1, 2)])
         if persist:
-            rel.df, rel.coded = narrow.persist(), rel.coded.persist()
+            rel.coded = rel.coded.persist()
         return rel
 
+    def partitions(self) -> int:
+        """About as many as the tables below are read in: their size over that of a split. Nothing runs."""
+        if self._partitions is None:
+            leaves = self.df._jdf.queryExecution().optimizedPlan().collectLeaves()
+            sizes = [int(leaves.apply(i).stats().sizeInBytes()) for i in range(leaves.size())]
+            self._partitions = max(1, sum(x for x in sizes if x < UNKNOWN_SIZE) // SPLIT_BYTES)
+        return self._partitions
+
     def release(self) -> None:
         if self.kept:
-            self.df.unpersist()
             self.coded.unpersist()
 
     @property
@@ -133,9 +145,12 @@ class Relation:
             code = F.when(self.col(i).isNull(), F.xxhash64(F.monotonically_increasing_id(), F.lit(i), F.lit(seed))).otherwise(code)
         return code
 
-    def key(self, mask: int) -> tuple[Column, Column]:
+    def key_sql(self, mask: int) -> tuple[str, str]:
         """128 bits of a coded row's values in these columns: its class, without the values."""
-        return tuple(F.xxhash64(F.lit(mask.bit_count()), *[F.col(f"_{seed}_{i}") for i in bits(mask)]) for seed in (1, 2))
+        return tuple(f"xxhash64({', '.join([str(mask.bit_count()), *(f'_{seed}_{i}' for i in bits(mask))])})" for seed in (1, 2))
+
+    def key(self, mask: int) -> tuple[Column, Column]:
+        return tuple(map(F.expr, self.key_sql(mask)))
 
     def frame(self, fds: list[FD]) -> DataFrame:
         """Dependencies, in canonical order, as rows of FD_SCHEMA."""

@@ -83,18 +83,39 @@ def exploded_cardinalities(rel: Relation, sets: list[int]) -> dict[int, int]:
     return {s: got.get(s, 0) for s in sets}
 
 
+def coded_cardinalities(rel: Relation, sets: Iterable[int]) -> dict[int, int]:
+    """The kernel of the search: number of classes of each set by 128-bit keys over codes, one branch a set, so a job reads only the columns of its sets and
+    a task's hash table holds one set. Exact up to 128-bit collisions; answers are counted again by raw values."""
+    wanted = list(dict.fromkeys(sets))
+    found = {0: int(rel.coded.limit(1).count())} if 0 in wanted else {}
+    wanted = [s for s in wanted if s]
+    per_job = _sets_in_a_job(rel)
+    for at in range(0, len(wanted), per_job):
+        some = wanted[at : at + per_job]
+        keyed = [rel.coded.selectExpr(f"{k} AS s", *(f"{x} AS x{i}" for i, x in enumerate(rel.key_sql(s), 1))) for k, s in enumerate(some)]
+        counted = reduce(DataFrame.unionAll, keyed).distinct().groupBy("s").count()
+        found |= dict.fromkeys(some, 0) | {some[r["s"]]: r["count"] for r in counted.collect()}
+    return found
+
+
 def profile(rel: Relation) -> tuple[int, list[int]]:
     """(rows, classes of each attribute)."""
-    cards = set_cardinalities(rel, [1 << i for i in range(rel.m)])
-    return rel.df.count(), [cards[1 << i] for i in range(rel.m)]
+    cards = coded_cardinalities(rel, [1 << i for i in range(rel.m)])
+    return rel.coded.count(), [cards[1 << i] for i in range(rel.m)]
 
 
 def approximate_profile(rel: Relation, error: float = 0.02) -> list[int]:
-    """Sketched numbers of classes, one narrow pass without a wide shuffle; for attribute order only, never for a bound."""
-    row = rel.df.agg(*[(F.approx_count_distinct(rel.col(i), error) + F.max(rel.col(i).isNull().cast("int"))).alias(f"c{i}") for i in range(rel.m)]).first()
+    """Sketched numbers of classes, one narrow pass without a wide shuffle."""
+    row = rel.coded.agg(*[F.approx_count_distinct(f"_1_{i}", error).alias(f"c{i}") for i in range(rel.m)]).first()
     return [row[f"c{i}"] or 0 for i in range(rel.m)]
 
 
+def lower_profile(rel: Relation, error: float = 0.02, margin: float = 4.0) -> tuple[int, list[int]]:
+    """(rows, lower estimates of the classes of each attribute) without the shuffle of near-keys: sketches less `margin` standard errors. Pruning needs no more than
+    a lower bound, but these hold with high probability only, so a run that uses them says it isn't exact."""
+    return rel.coded.count(), [max(1, int(c * (1 - margin * error))) if c else 0 for c in approximate_profile(rel, error)]
+
+
 @dataclass(frozen=True)
 class Verdict:
     valid: bool
@@ -102,33 +123,42 @@ class Verdict:
     example: tuple[int, int] | None  # fingerprints of a class of the left-hand side that breaks the dependency
 
 
-#: Sets in one job, and right-hand sides that a class keeps.
-SETS_IN_A_JOB, VALUES_IN_A_CLASS = 64, 3
+#: Sets in one job, tasks of one job that read them, and right-hand sides that a class keeps.
+SETS_IN_A_JOB, TASKS_IN_A_JOB, VALUES_IN_A_CLASS = 64, 100_000, 3
+
+
+def _sets_in_a_job(rel: Relation) -> int:
+    """Every set is a branch with a task for each partition; a job's tasks are bounded whatever the number of rows."""
+    return max(1, min(SETS_IN_A_JOB, TASKS_IN_A_JOB // max(1, rel.partitions())))
 
 
-def _plan_checks(candidates: Iterable[tuple[int, int]]) -> list[list[tuple[int, list[int]]]]:
+def _plan_checks(rel: Relation, candidates: Iterable[tuple[int, int]]) -> list[list[tuple[int, list[int]]]]:
     by_lhs: dict[int, list[int]] = {}
     for lhs, a in dict.fromkeys(candidates):
         by_lhs.setdefault(lhs, []).append(a)
     entries = [(lhs, rhs[i : i + VALUES_IN_A_CLASS]) for lhs, rhs in sorted(by_lhs.items()) for i in range(0, len(rhs), VALUES_IN_A_CLASS)]
-    return [entries[i : i + SETS_IN_A_JOB] for i in range(0, len(entries), SETS_IN_A_JOB)]
+    per_job = _sets_in_a_job(rel)
+    return [entries[i : i + per_job] for i in range(0, len(entries), per_job)]
 
 
-def check_frame(rel: Relation, entries: list[tuple[int, list[int]]], one_in: int = 1) -> DataFrame:
+def check_frame(rel: Relation, entries: list[tuple[int, list[int]]], one_in: int = 1, cards: list[int] | None = None) -> DataFrame:
     """s (place in entries), card, and for each right-hand side the two key halves of a class that breaks it (null if none does).
 
-    A row gives one narrow row for each entry: the key of its class, 128 bits, and the codes of the right-hand values. Classes keep minimum and maximum of each, all of
-    them 64-bit numbers, so both aggregations stay hash aggregations that combine before the shuffle. one_in: only that part of the classes, whole."""
+    Each entry is a branch that reads its own columns alone and gives narrow rows: the key of its class, 128 bits, and the codes of the right-hand values. Classes
+    keep minimum and maximum of each, all of them 64-bit numbers, so both aggregations stay hash aggregations that combine before the shuffle, and
+    a task's hash table holds one entry's classes. one_in: only that part of the classes, whole; by cards, the attribute of the left-hand side
+    with most classes decides, so a row that isn't of the slice is dropped before any key is built."""
     width = max(len(rhs) for _, rhs in entries)
-    none = F.lit(None).cast("long")
-    sent = []
+    branches = []
     for k, (lhs, rhs) in enumerate(entries):
-        x1, x2 = rel.key(lhs)
-        values = [F.col(f"_1_{a}") for a in rhs] + [none] * (width - len(rhs))
-        sent.append(F.struct(F.lit(k).alias("s"), x1.alias("x1"), x2.alias("x2"), *[v.alias(f"v{i}") for i, v in enumerate(values)]))
-    rows = rel.coded.select(F.explode(F.array(*sent)).alias("e")).select("e.*")
-    if one_in > 1:
-        rows = rows.where(F.pmod(F.col("x1"), F.lit(one_in)) == 0)
+        rows = rel.coded
+        if one_in > 1 and lhs:
+            lead = max(bits(lhs), key=lambda i: cards[i] if cards else 0)
+            rows = rows.where(f"pmod(xxhash64(_2_{lead}, 7), {one_in}) = 0")
+        values = [f"_1_{a}" for a in rhs] + ["CAST(NULL AS BIGINT)"] * (width - len(rhs))
+        # as text: a plan of many branches is built by one call a branch
+        branches.append(rows.selectExpr(f"{k} AS s", *(f"{x} AS x{i}" for i, x in enumerate(rel.key_sql(lhs), 1)), *(f"{v} AS v{i}" for i, v in enumerate(values))))
+    rows = reduce(DataFrame.unionAll, branches)
     classes = rows.groupBy("s", "x1", "x2").agg(*[f(f"v{i}").alias(f"{n}{i}") for i in range(width) for f, n in ((F.min, "lo"), (F.max, "hi"))])
     # both halves of an example are first values under one condition, hence of one class
     examples = [F.first(F.when(F.col(f"lo{i}") != F.col(f"hi{i}"), F.col(x)), ignorenulls=True).alias(f"{x}_{i}") for i in range(width) for x in ("x1", "x2")]
@@ -138,7 +168,7 @@ def check_frame(rel: Relation, entries: list[tuple[int, list[int]]], one_in: int
 def check_batch(rel: Relation, candidates: Iterable[tuple[int, int]]) -> dict[tuple[int, int], Verdict]:
     """Decides (lhs, attribute) candidates, one job for up to SETS_IN_A_JOB left-hand sides."""
     found: dict[tuple[int, int], Verdict] = {}
-    for entries in _plan_checks(candidates):
+    for entries in _plan_checks(rel, candidates):
         rows = {r["s"]: r for r in check_frame(rel, entries).collect()}
         for k, (lhs, rhs) in enumerate(entries):
             for i, a in enumerate(rhs):
@@ -149,18 +179,25 @@ def check_batch(rel: Relation, candidates: Iterable[tuple[int, int]]) -> dict[tu
 
 
 def recheck(rel: Relation, fds: Iterable[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
-    """(lhs, attribute, n_classes) of an answer, counted once more by raw values: those that don't agree. Codes have 128 bits a class and 64 a value, so none is expected."""
+    """(lhs, attribute, n_classes) of an answer, counted once more by raw values: those that don't agree. A left-hand side is counted alone and with all
+    its right-hand sides together, which agree just if each of them follows; only where they don't, one by one."""
     fds = list(fds)
-    card = set_cardinalities(rel, {s for lhs, a, _ in fds for s in (lhs, lhs | 1 << a)})
-    return [(lhs, a, n) for lhs, a, n in fds if not card[lhs] == card[lhs | 1 << a] == n]
+    together: dict[int, int] = {}
+    for lhs, a, _ in fds:
+        together[lhs] = together.get(lhs, 0) | 1 << a
+    card = set_cardinalities(rel, {s for lhs, rhs in together.items() for s in (lhs, lhs | rhs)})
+    wrong = [(lhs, a, n) for lhs, a, n in fds if not card[lhs] == card[lhs | together[lhs]] == n]
+    if wrong:
+        card |= set_cardinalities(rel, {s for lhs, a, _ in wrong for s in (lhs, lhs | 1 << a)})
+    return [(lhs, a, n) for lhs, a, n in wrong if not card[lhs] == card[lhs | 1 << a] == n]
 
 
-def refute_on_slice(rel: Relation, candidates: Iterable[tuple[int, int]], one_in: int) -> dict[tuple[int, int], tuple[int, int]]:
+def refute_on_slice(rel: Relation, candidates: Iterable[tuple[int, int]], one_in: int, cards: list[int] | None = None) -> dict[tuple[int, int], tuple[int, int]]:
     """Candidates that already fail on a slice of the classes, each with a class that breaks it. A slice keeps whole classes of each left-hand side, so a violation
-    there is one of the relation; what survives needs the full pass. All rows' keys are computed, but only 1/one_in of them are grouped and shuffled."""
+    there is one of the relation; what survives needs the full pass. Only 1/one_in of the rows get a key."""
     broken = {}
-    for entries in _plan_checks(candidates):
-        for r in check_frame(rel, entries, one_in).collect():
+    for entries in _plan_checks(rel, candidates):
+        for r in check_frame(rel, entries, one_in, cards).collect():
             lhs, rhs = entries[r["s"]]
             broken |= {(lhs, a): (r[f"x1_{i}"], r[f"x2_{i}"]) for i, a in enumerate(rhs) if r[f"x1_{i}"] is not None}
     return broken

@@ -6,6 +6,7 @@ Rows are compared by a 64-bit fingerprint of each value. Only a bounded number o
 from __future__ import annotations
 
 from collections.abc import Iterable
+from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
@@ -14,9 +15,12 @@ from pyspark.sql import functions as F
 
 from ..model import Relation, bits
 
-SAMPLE_ROWS, SORTS = 40_000, 4
-#: Rows and cells that are taken for lower bounds of class counts.
+#: Sampled rows of an attribute's slice of classes, at most, and cells of all slices; sort orders that an attribute leads.
+SLICE_ROWS, SLICE_CELLS, SORTS = 25_000, 12_000_000, 4
+#: Rows and cells that are drawn evenly, for lower bounds of class counts.
 COUNT_ROWS, COUNT_CELLS = 200_000, 3_000_000
+#: Up to so many rows their classes are counted by sorting, beyond by a bit table of so many slots.
+SORTED_ROWS, COUNT_SLOTS = 20_000, 1 << 23
 #: Rows up to which all pairs may be compared; for tests and toy relations.
 ALL_PAIRS_ROWS = 2_000
 WORD_BITS = 62
@@ -53,41 +57,66 @@ def mask_of_words(words: list[int]) -> int:
     return sum(w << (WORD_BITS * k) for k, w in enumerate(words))
 
 
-def take_sample(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, seed: int = 20) -> tuple[np.ndarray, np.ndarray]:
-    """(rows for pairs, rows for counts): a bounded number of rows, as small integers for each attribute's values, from one scan. The second are all that were taken.
+@dataclass
+class Sample:
+    """Rows on the driver, as small integers for each attribute's values, and for each attribute the rows of its slice of classes."""
 
-    Of each attribute, a slice of its *classes* is taken whole where the slice is small, and of large classes a hash sample of rows; so near-keys
-    and two-valued columns both give pairs that agree, and the rows that reach the driver stay near sample_rows."""
-    if n < 2 or not rel.m:
-        return (np.zeros((0, rel.m), np.int64),) * 2
-    each = max(64.0, sample_rows / rel.m)
-    row_draw = F.pmod(F.xxhash64(codes(rel), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
-    chosen = F.lit(False)
-    for i in range(rel.m):
-        slices = max(1, min(max(1, cards[i] // 4), int(n / each)))
-        share = min(1.0, each * slices / n)
-        chosen = chosen | ((F.pmod(F.xxhash64(F.col(f"_2_{i}"), F.lit(5)), F.lit(slices)) == 0) & (row_draw < share))
-    counted = min(COUNT_ROWS, COUNT_CELLS // rel.m)
-    taken = rel.coded.select(codes(rel).alias("codes"), chosen.alias("paired")).where(F.col("paired") | (row_draw_of("codes", seed + 1) < counted / n))
-    picked = taken.limit(4 * sample_rows + 2 * counted).toArrow()
-    flat = picked.column("codes").combine_chunks().flatten().to_numpy().reshape(-1, rel.m)
-    dense = np.stack([np.unique(flat[:, i], return_inverse=True)[1] for i in range(rel.m)], axis=1)
-    return dense[picked.column("paired").to_numpy()], dense
+    rows: np.ndarray
+    slices: list[np.ndarray]
 
+    @classmethod
+    def of(cls, rows: np.ndarray) -> Sample:
+        return cls(rows, [np.arange(len(rows))] * rows.shape[1])
 
-def row_draw_of(column: str, seed: int) -> Column:
-    return F.pmod(F.xxhash64(F.col(column), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
+    def __len__(self) -> int:
+        return len(self.rows)
 
 
-def distinct_in_sample(rows: np.ndarray, lhs: int) -> int:
-    """Classes of the sampled rows: never more than the relation has, so a safe lower bound. A collision of the combined codes only lowers it."""
-    if not len(rows):
-        return 0
+def _draw(seed: int, *columns: str) -> Column:
+    return F.pmod(F.xxhash64(*[F.col(c) for c in columns], F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
+
+
+def take_sample(rel: Relation, n: int, cards: list[int], slice_rows: int = SLICE_ROWS, seed: int = 20) -> Sample:
+    """A bounded number of rows, the same in every run.
+
+    Of each attribute, a slice of its *classes* is taken whole, and where that slice holds more than its share of rows (few or large classes), a hash
+    sample of it; so near-keys and two-valued columns both give pairs that agree. Some more rows are drawn evenly, for counts. A first narrow
+    pass counts what the slices hold, so that a class with a third of all rows can't flood the driver; repeated rows are combined before they are sent."""
+    m = rel.m
+    if n < 2 or not m:
+        return Sample.of(np.zeros((0, m), np.int32))
+    each = max(500, min(slice_rows, SLICE_CELLS // (m * m)))
+    own = [F.pmod(F.xxhash64(F.col(f"_2_{i}"), F.lit(5)), F.lit(max(1, min(max(1, cards[i] // 4), n // each)))) == 0 for i in range(m)]
+    held = rel.coded.agg(*[F.coalesce(F.sum(own[i].cast("long")), F.lit(0)).alias(f"n{i}") for i in range(m)]).first()
+    row = _draw(seed, *[f"_1_{i}" for i in range(m)])
+    taken = [own[i] & (F.col("draw") < each / max(1, held[f"n{i}"])) for i in range(m)]
+    words = [reduce(lambda x, y: x.bitwiseOR(y), [F.when(taken[i], F.lit(1 << (i % WORD_BITS))).otherwise(F.lit(0)).cast("long") for i in range(w, min(w + WORD_BITS, m))]) for w in range(0, m, WORD_BITS)]
+    counted = min(COUNT_ROWS, COUNT_CELLS // m)
+    some = rel.coded.withColumn("draw", row).select(codes(rel).alias("codes"), F.array(*words).alias("of"), "draw")
+    some = some.where((F.col("draw") < counted / n) | F.exists("of", lambda w: w != 0)).select("codes", "of").distinct()
+    picked = some.toArrow()
+    flat, flags = (picked.column(c).combine_chunks().flatten().to_numpy().reshape(picked.num_rows, -1) for c in ("codes", "of"))
+    order = np.lexsort(flat.T[::-1]) if len(flat) else np.zeros(0, np.int64)
+    dense = np.stack([np.unique(flat[order, i], return_inverse=True)[1].astype(np.int32) for i in range(m)], axis=1)
+    return Sample(dense, [np.flatnonzero(flags[order, i // WORD_BITS] >> np.int64(i % WORD_BITS) & 1) for i in range(m)])
+
+
+def _class_keys(rows: np.ndarray, lhs: int) -> np.ndarray:
     key = np.zeros(len(rows), np.uint64)
     for i in bits(lhs):
         key = (key ^ rows[:, i].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
         key ^= key >> np.uint64(29)
-    return len(np.unique(key))
+    return key
+
+
+def distinct_in_sample(rows: np.ndarray, lhs: int) -> int:
+    """At least so many classes of the sampled rows, and never more than the relation has: a safe lower bound. Keys that share a slot only lower it."""
+    keys = _class_keys(rows, lhs)
+    if len(keys) <= SORTED_ROWS:
+        return len(np.unique(keys))
+    seen = np.zeros(COUNT_SLOTS, bool)
+    seen[keys & np.uint64(COUNT_SLOTS - 1)] = True
+    return int(np.count_nonzero(seen))
 
 
 def _masks(differ: np.ndarray) -> set[int]:
@@ -97,37 +126,42 @@ def _masks(differ: np.ndarray) -> set[int]:
     return {int.from_bytes(b.tobytes(), "little") for b in packed} - {0}
 
 
-def edges_of_sample(rows: np.ndarray, sorts: int = SORTS, seed: int = 20) -> set[int]:
-    """Difference sets of neighbours in sort orders that each attribute leads in turn: they agree on long prefixes, so their difference sets are small and say most."""
+def edges_of_sample(sample: Sample, sorts: int = SORTS, seed: int = 20) -> set[int]:
+    """Difference sets of neighbours in sort orders that each attribute leads in turn, over its slice: they agree on long prefixes, so their difference sets are small and say most."""
     rng, found = np.random.default_rng(seed), set()
-    m = rows.shape[1]
+    m = sample.rows.shape[1]
+    some = sample.rows[:: max(1, len(sample) // SLICE_ROWS)]
     for lead in [*range(m), *[None] * sorts]:
+        rows = some if lead is None else sample.rows[sample.slices[lead]]
         for _ in range(sorts if lead is not None else 1):
             order = rng.permutation(m).tolist()
             if lead is not None:
                 order = [lead, *[x for x in order if x != lead]]
-            at = rows[np.lexsort([rows[:, x] for x in reversed(order)])]
+            at = rows[np.lexsort([rows[:, x] for x in reversed(order[:8])])]
             for lag in (1, 2):
                 found |= _masks(at[lag:] != at[:-lag])
     return found
 
 
-def refute_on_sample(rows: np.ndarray, lhs: int, rhs: int, most: int = 16) -> set[int]:
-    """Difference sets of sampled rows that agree on lhs and differ on rhs: neighbours when sorted by lhs, then rhs, then the rest. Empty if the sample doesn't refute."""
+def refute_on_sample(sample: Sample, cards: list[int], lhs: int, rhs: int, most: int = 16) -> set[int]:
+    """Difference sets of sampled rows that agree on lhs and differ on rhs, of the slice of lhs's attribute with most classes: whole classes of it are there, hence
+    of lhs too. Neighbours when sorted by class, then rhs. Empty if the sample doesn't refute."""
+    if lhs:
+        lead = max(bits(lhs), key=lambda i: cards[i])
+        rows = sample.rows[sample.slices[lead]]
+    else:
+        rows = sample.rows
     left = list(bits(lhs))
-    rest = [i for i in range(rows.shape[1]) if i != rhs and not lhs >> i & 1]
-    order = [*left, rhs, *rest]
-    at = rows[np.lexsort([rows[:, x] for x in reversed(order)])]
-    same = (at[1:][:, left] == at[:-1][:, left]).all(axis=1) & (at[1:, rhs] != at[:-1, rhs])
-    differ = at[1:][same] != at[:-1][same]
-    few = differ[np.argsort(differ.sum(axis=1), kind="stable")[:most]]
-    return _masks(few)
+    at = rows[np.lexsort((rows[:, rhs], _class_keys(rows, lhs)))]
+    differ = at[1:] != at[:-1]
+    differ = differ[differ[:, rhs] & ~differ[:, left].any(axis=1)]
+    return _masks(differ[np.argsort(differ.sum(axis=1), kind="stable")[:most]])
 
 
-def sample_difference_sets(rel: Relation, n: int, cards: list[int], sample_rows: int = SAMPLE_ROWS, sorts: int = SORTS, seed: int = 20) -> set[int]:
+def sample_difference_sets(rel: Relation, n: int, cards: list[int], slice_rows: int = SLICE_ROWS, sorts: int = SORTS, seed: int = 20) -> set[int]:
     """Difference sets of sampled row pairs that agree on some attributes."""
-    rows, _ = take_sample(rel, n, cards, sample_rows, seed)
-    return edges_of_sample(rows, sorts, seed) if len(rows) else set()
+    sample = take_sample(rel, n, cards, slice_rows, seed)
+    return edges_of_sample(sample, sorts, seed) if len(sample) else set()
 
 
 def violating_edges(rel: Relation, broken: Iterable[tuple[int, int, tuple[int, int]]]) -> dict[tuple[int, int], int]:
@@ -160,25 +194,49 @@ def induce(edges: Iterable[int], rhs: int) -> set[int]:
 
 def minimise(edges: Iterable[int]) -> list[int]:
     """Inclusion-minimal edges, smallest first: hitting these hits all."""
+    left = sorted(set(edges), key=lambda e: (e.bit_count(), e))
+    if not left or left[0] == 0:
+        return left[:1]
+    words = words_of(left)
     kept: list[int] = []
-    for e in sorted(set(edges), key=lambda e: (e.bit_count(), e)):
-        if not any(k & e == k for k in kept):
-            kept.append(e)
+    at = np.arange(len(left))
+    while len(at):
+        kept.append(left[at[0]])
+        first = words[at[0]]
+        at = at[((words[at] & first) != first).any(axis=1)]
     return kept
 
 
+def words_of(masks: list[int]) -> np.ndarray:
+    """uint64[masks, words], 62 bits a word."""
+    n = max(1, -(-max((x.bit_length() for x in masks), default=1) // WORD_BITS))
+    low = (1 << WORD_BITS) - 1
+    return np.array([[x >> (WORD_BITS * k) & low for k in range(n)] for x in masks], np.uint64).reshape(len(masks), n)
+
+
 def edge_frame(rel: Relation, edges: Iterable[int], rhs: int | None = None) -> DataFrame:
     """attrs (sorted names joined by commas), size, and the right-hand side if given."""
     rows = [(rel.lhs_text(e), e.bit_count(), None if rhs is None else rel.columns[rhs]) for e in sorted(edges)]
     return rel.df.sparkSession.createDataFrame(rows, "attrs string, size int, rhs string")
 
 
+def snapshot(rel: Relation) -> str:
+    """Names the rows of a relation, whatever their order: their number, attributes, and a sum of row hashes, in one narrow pass."""
+    total = rel.coded.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64(*[F.col(f"_{s}_{i}") for i in range(rel.m) for s in (1, 2)]).cast("decimal(38,0)")).alias("h")).first()
+    return f"{total['n']}:{','.join(rel.columns)}:{total['h'] or 0}"
+
+
 def save_evidence(rel: Relation, edges: Iterable[int], path: str) -> None:
-    rows = [([rel.columns[i] for i in bits(e)],) for e in sorted(edges)]
-    rel.df.sparkSession.createDataFrame(rows, "attrs array<string>").write.mode("overwrite").parquet(path)
+    """With the snapshot of the rows that they were found in: an edge is a fact about two of them."""
+    mark = snapshot(rel)
+    rows = [(mark, [rel.columns[i] for i in bits(e)]) for e in sorted(edges)]
+    rel.df.sparkSession.createDataFrame(rows or [(mark, None)], "snapshot string, attrs array<string>").write.mode("overwrite").parquet(path)
 
 
 def load_evidence(rel: Relation, path: str) -> set[int]:
-    """Stored edges over this relation's columns. Only for the same rows: an edge is a fact about two of them."""
+    """Stored edges over this relation's columns; an error if the rows aren't those that they were found in."""
     at = {c: i for i, c in enumerate(rel.columns)}
-    return {sum(1 << at[c] for c in r["attrs"]) for r in rel.df.sparkSession.read.parquet(path).collect()}
+    rows = rel.df.sparkSession.read.parquet(path).collect()
+    if {r["snapshot"] for r in rows} != {snapshot(rel)}:
+        raise ValueError("stored evidence belongs to other rows")
+    return {sum(1 << at[c] for c in r["attrs"]) for r in rows if r["attrs"] is not None}

@@ -11,7 +11,7 @@ import random
 from collections.abc import Iterable
 
 from ..model import Relation, bits
-from ..operators.cardinality import set_cardinalities
+from ..operators.cardinality import coded_cardinalities
 from ..operators.evidence import distinct_in_sample
 
 
@@ -59,7 +59,7 @@ class PairMatrix:
         head = order[:d]
         wanted = [1 << a | 1 << b for k, a in enumerate(head) for b in head[k + 1 :]]
         if wanted:
-            for mask, card in set_cardinalities(rel, wanted).items():
+            for mask, card in coded_cardinalities(rel, wanted).items():
                 self.learn(mask, card, "first")
 
     def learn(self, mask: int, card: int, origin: str = "validated") -> None:

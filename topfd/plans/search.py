@@ -19,6 +19,9 @@ from pyspark.sql import DataFrame
 from ..model import FD, FD_SCHEMA, STATS_SCHEMA, TRACE_SCHEMA, Limits, Relation, mask_of
 from ..operators import cardinality, evidence
 from .bounds import PairMatrix, attribute_order
+from .cost import Meter
+from .progress import Progress
+from .spread import spread_candidates
 from .transversal import Antichain, Counters, Tree
 
 VARIANTS = {
@@ -27,9 +30,13 @@ VARIANTS = {
     "ordered_pairs": {"order": "ascending", "bound": "pairs", "scheduler": "sequential"},
     "full": {"order": "ascending", "bound": "pairs", "scheduler": "global"},
 }
-BATCH = 24
-#: Rows of a slice, about, and the smallest slice's share: relations of fewer than four slices are checked whole at once.
+#: Candidates of a round; more where k asks for more answers.
+BATCH, MOST_BATCH = 24, 192
+#: Rows of a slice, about, and the smallest slice's share: relations of fewer than four slices are checked whole at once. Where the driver's sample holds
+#: slices of that size, they are not asked for again.
 SLICE_ROWS, MOST_SLICES = 25_000, 64
+#: Candidates that the antichains of a run may hold together; beyond, the trees go on, which hold a stack alone.
+MOST_SETS = 30_000
 
 
 class TopK:
@@ -117,19 +124,24 @@ class _Run:
     pairs_s: float = 0.0
     queue_s: float = 0.0
     trace: list = field(default_factory=list)
-    sample: object = None
+    sample: evidence.Sample | None = None
     unrefuted: set = field(default_factory=set)
     unsliced: set = field(default_factory=set)
+    known: set = field(default_factory=set)
     sample_refuted: int = 0
     slice_refuted: int = 0
+    cut: bool = False
+    progress: Progress | None = None
 
     def over(self) -> bool:
+        """Whether a limit is reached. A loop that has work left asks, so a run that ends just at a limit is complete."""
         x = self.limits
-        return bool(
+        self.cut = self.cut or bool(
             (x.max_validations is not None and self.validations >= x.max_validations)
             or (x.max_nodes is not None and self.counters.generated >= x.max_nodes)
             or (x.max_seconds is not None and time.monotonic() - self.began >= x.max_seconds)
         )
+        return self.cut
 
     def mark(self) -> None:
         self.trace.append((len(self.trace), time.monotonic() - self.began, self.validations, self.top.tau))
@@ -139,11 +151,11 @@ class _Run:
         Their difference sets are added."""
         out = self._refute_on_sample(candidates)
         one_in = min(MOST_SLICES, self.n // SLICE_ROWS)
-        fresh = [c for c in candidates if c not in self.unsliced]
-        if out or one_in < 4 or not fresh:
+        fresh = [c for c in candidates if c not in self.unsliced and c not in self.known]
+        if out or one_in < 4 or not fresh or (self.sample is not None and one_in < MOST_SLICES):
             return out
         self.jobs += 1
-        broken = cardinality.refute_on_slice(self.rel, fresh, one_in)
+        broken = cardinality.refute_on_slice(self.rel, fresh, one_in, self.cards)
         self.unsliced |= set(fresh) - set(broken)
         if broken:
             self.jobs += 1
@@ -156,8 +168,8 @@ class _Run:
         if self.sample is None or not len(self.sample):
             return out
         for lhs, a in candidates:
-            if (lhs, a) not in self.unrefuted:
-                found = evidence.refute_on_sample(self.sample, lhs, a)
+            if (lhs, a) not in self.unrefuted and (lhs, a) not in self.known:
+                found = evidence.refute_on_sample(self.sample, self.cards, lhs, a)
                 if found:
                     self.edges |= found
                     out.add((lhs, a))
@@ -166,31 +178,60 @@ class _Run:
         self.sample_refuted += len(out)
         return out
 
+    def accept(self, fd: FD) -> None:
+        """A dependency that holds and is minimal."""
+        self.known.add((fd.lhs, fd.rhs))
+        self.valid += 1
+        tau = self.top.tau
+        if self.top.offer(fd):
+            self.valid_at_change = self.valid
+        if self.top.tau != tau:
+            self.mark()
+
     def check(self, candidates: list[tuple[int, int]]) -> list[tuple[int, int]]:
         """Validates; offers what holds; adds the edges of what doesn't. Returns the refuted."""
+        fresh = [c for c in candidates if c not in self.known]
+        if not fresh:
+            return []
         self.rounds += 1
-        self.validations += len(candidates)
+        self.validations += len(fresh)
         self.jobs += 1
-        verdicts = cardinality.check_batch(self.rel, candidates)
+        verdicts = cardinality.check_batch(self.rel, fresh)
         broken = []
-        for lhs, a in candidates:
+        for lhs, a in fresh:
             v = verdicts[lhs, a]
             self.matrix.learn(lhs, v.n_classes)
             if v.valid:
-                self.valid += 1
-                tau = self.top.tau
-                if self.top.offer(FD(lhs, a, v.n_classes, self.n)):
-                    self.valid_at_change = self.valid
-                if self.top.tau != tau:
-                    self.mark()
+                self.accept(FD(lhs, a, v.n_classes, self.n))
             else:
                 broken.append((lhs, a, v.example))
         if broken:
             self.jobs += 1
             self.edges |= set(evidence.violating_edges(self.rel, broken).values())
+        if self.progress is not None:
+            self.progress.save(self)
         return [(lhs, a) for lhs, a, _ in broken]
 
 
+def _warm_start(run: _Run, max_lhs: int | None, empty_lhs: bool) -> None:
+    """Constants and single attributes as left-hand sides first: m^2 candidates at most, of which the sample leaves few. What holds there is minimal, fills the answer
+    with large redundancies, and so gives the search a threshold before it has to hold any larger set."""
+    every = range(run.rel.m)
+    constant = {a for a in every if run.cards[a] <= 1}
+    found = [(run.n - 1, 0, a) for a in constant] if empty_lhs else []
+    if max_lhs is None or max_lhs >= 1:
+        left = [a for a in every if a not in constant or not empty_lhs]
+        found += [(run.n - run.cards[x], 1 << x, a) for a in left for x in every if x != a and run.cards[x] >= run.cards[a]]
+    found.sort(key=lambda f: (-f[0], f[1], f[2]))
+    while found and not run.top.below(found[0][0]) and not run.over():
+        batch, found = found[: 4 * run.batch], found[4 * run.batch :]
+        batch = [(lhs, a) for bound, lhs, a in batch if not run.top.below(bound)]
+        run.counters.generated += len(batch)
+        run.counters.visited += len(batch)
+        refuted = run._refute_on_sample(batch)
+        run.check([c for c in batch if c not in refuted])
+
+
 def _search_trees(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: bool, recheck: bool) -> None:
     rel, top = run.rel, run.top
     rank = [run.order.index(i) for i in range(rel.m)]
@@ -224,13 +265,13 @@ def _search_trees(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: boo
 
     def drain(some: Iterable[int]) -> None:
         for a in some:
-            while not run.over():
+            while trees[a].top_bound() is not None or any(b == a for _, b in pending):
+                if run.over():
+                    return
                 if trees[a].top_bound() is None:
                     # the pending candidates of this tree may reopen it
-                    if any(b == a for _, b in pending):
-                        settle()
-                        continue
-                    break
+                    settle()
+                    continue
                 advance(a)
 
     if scheduler == "sequential":
@@ -248,10 +289,10 @@ def _search_trees(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: boo
 
     for a in run.order:
         push(a)
-    while not run.over():
+    while queue or pending:
+        if run.over():
+            break
         if not queue:
-            if not pending:
-                break
             spent = time.monotonic()
             settle()
             began += time.monotonic() - spent
@@ -275,18 +316,37 @@ def _search_trees(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: boo
     run.queue_s = time.monotonic() - began
 
 
-def _search_antichains(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: bool) -> None:
+def _search_antichains(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs: bool, spread: bool) -> bool:
+    """False if the antichains outgrew their share of memory; what was settled stays settled."""
     rel, top = run.rel, run.top
     rank = [run.order.index(i) for i in range(rel.m)]
-    chains = {a: Antichain(a, rel.m, evidence.induce(run.edges, a), rank, run.matrix, run.counters, max_lhs, empty_lhs) for a in run.order}
+    most = MOST_SETS if run.limits.max_antichain is None else run.limits.max_antichain
+    if spread:
+        while found := spread_candidates(run, rank, max_lhs, empty_lhs, most):
+            if run.over():
+                return True
+            chosen = [(lhs, a) for *_, lhs, a in found[: run.batch]]
+            run.counters.visited += len(chosen)
+            if not run.refute_early(chosen):
+                run.check(chosen)
+        return True
+    chains: dict[int, Antichain] = {}
+
+    def outgrown() -> bool:
+        return sum(len(c.sets) for c in chains.values()) > most or any(c.overgrown for c in chains.values())
+
+    for a in run.order:
+        chains[a] = Antichain(a, rel.m, evidence.induce(run.edges, a), rank, run.matrix, run.counters, max_lhs, empty_lhs, top.below, most)
+        chains[a].settled |= {lhs for lhs, b in run.known if b == a}
+        if outgrown():
+            return False
 
     def round_of(some: list[int]) -> bool:
+        if outgrown():
+            return False
         found = [(-bound, rank[a], lhs.bit_count(), lhs, a) for a in some for bound, lhs in chains[a].candidates(top.below)]
         if not found or run.over():
             return False
-        if run.limits.max_antichain is not None and sum(len(c.sets) for c in chains.values()) > run.limits.max_antichain:
-            run.limits = Limits(max_nodes=0)
-            return False
         chosen = [(lhs, a) for *_, lhs, a in heapq.nsmallest(run.batch, found)]
         run.counters.visited += len(chosen)
         if not run.refute_early(chosen):
@@ -305,6 +365,7 @@ def _search_antichains(run: _Run, scheduler: str, max_lhs: int | None, empty_lhs
     else:
         while round_of(run.order):
             pass
+    return not outgrown()
 
 
 def discover(
@@ -316,8 +377,8 @@ def discover(
     order: str | None = None,
     bound: str | None = None,
     scheduler: str | None = None,
-    kernel: str = "tree",
-    batch: int = BATCH,
+    kernel: str | None = None,
+    batch: int | None = None,
     max_lhs: int | None = None,
     nulls: str = "eq",
     ties: str = "canonical",
@@ -326,66 +387,91 @@ def discover(
     sample_bound: bool = True,
     edges: set[int] | None = None,
     limits: Limits | None = None,
-    persist: bool = True,
+    persist: bool = False,
     strict_counts: bool = False,
     seed: int = 20,
+    warm_start: bool | None = None,
+    spread: bool = False,
+    profile: str = "exact",
+    recheck: bool = True,
+    resume: str | None = None,
 ) -> Discovery:
     """The k dependencies of largest redundancy of a DataFrame; with k=None all minimal ones, by the same kernel without pruning.
 
-    edges: stored difference sets of the same rows. batch=1 validates one by one. max_lhs: leave larger left-hand sides out. limits: end early with status over_budget.
-    strict_counts: don't test a node's bound again when it is popped. sample_bound: also bound by the classes that a set has among the sampled rows."""
+    kernel: tree or antichain; without a choice, antichains where candidates are validated in batches, and the published trees one by one or without k.
+    edges: stored difference sets of the same rows. batch: candidates of a round; 1 validates one by one. max_lhs: leave larger left-hand sides out. limits: end early with status over_budget.
+    strict_counts: don't test a node's bound again when it is popped. sample_bound: also bound by the classes that a set has among the sampled rows.
+    persist: keep the codes of a DataFrame while the search runs. warm_start: single attributes first (default: where batches are used).
+    spread: the antichains are multiplied on the executors, one task a right-hand side. profile="lower": sketched lower estimates instead of exact
+    counts of near-keys; the run then says that it isn't exact. recheck: the answer is counted again by raw values, and a difference is an error.
+    resume: a folder that each round is appended to; a run over the same rows goes on from there."""
     if variant not in VARIANTS:
         raise ValueError(f"unknown variant {variant}")
-    if kernel not in ("tree", "antichain"):
+    if kernel not in (None, "tree", "antichain"):
         raise ValueError(f"unknown kernel {kernel}")
+    if profile not in ("exact", "lower"):
+        raise ValueError(f"unknown profile {profile}")
+    batch = batch if batch is not None else BATCH if k is None else max(BATCH, min(MOST_BATCH, k // 2))
+    batched = batch > 1 and k is not None
+    kernel = kernel or ("antichain" if batched else "tree")
     choice = VARIANTS[variant] | {x: v for x, v in (("order", order), ("bound", bound), ("scheduler", scheduler)) if v is not None}
     own = isinstance(source, DataFrame)
     rel = Relation.bind(source, columns, nulls, persist) if own else source
     top = TopK(rel, k, ties)
+    meter = Meter(rel.df.sparkSession)
     began = time.monotonic()
-    n, cards = cardinality.profile(rel) if rel.m else (rel.df.count(), [])
+    progress = Progress(rel, resume) if resume is not None else None
+    held = progress.load() if progress is not None else None
+    if held:
+        n, cards = held.n, held.cards
+    elif profile == "lower" and rel.m:
+        n, cards = cardinality.lower_profile(rel)
+    else:
+        n, cards = cardinality.profile(rel) if rel.m else (rel.df.count(), [])
     access = attribute_order(cards, choice["order"], seed)
     matrix = PairMatrix(n, cards, choice["bound"])
-    run = _Run(rel, top, n, cards, access, matrix, set(edges or ()), max(1, batch), limits or Limits(), began)
-    run.jobs = 2 + (rel.m > cardinality.EXPAND)
-    if choice["bound"] != "single" and k is not None:
+    run = _Run(rel, top, n, cards, access, matrix, set(edges or ()), max(1, batch), limits or Limits(), began, progress=progress)
+    run.jobs = 0 if held else 2
+    if held:
+        run.edges |= held.edges
+        for mask, card in held.pairs.items():
+            matrix.learn(mask, card)
+        for fd in held.fds:
+            run.accept(fd)
+    if choice["bound"] != "single" and k is not None and not (held and held.pairs):
         spent = time.monotonic()
         matrix.precompute(rel, access)
         run.pairs_s = time.monotonic() - spent
         run.jobs += 1
     if sample and edges is None:
-        run.sample, counted = evidence.take_sample(rel, n, cards, seed=seed)
+        run.sample = evidence.take_sample(rel, n, cards, seed=seed)
         if sample_bound and k is not None:
-            matrix.sample = counted
+            matrix.sample = run.sample.rows[: evidence.COUNT_CELLS // max(1, rel.m)]
         run.edges |= evidence.edges_of_sample(run.sample, seed=seed) if len(run.sample) else set()
-        run.jobs += 1
+        run.jobs += 2
     run.mark()
     if n:
-        if kernel == "tree":
+        if (batched if warm_start is None else warm_start) and k is not None:
+            _warm_start(run, max_lhs, empty_lhs)
+        if kernel == "tree" or not _search_antichains(run, choice["scheduler"], max_lhs, empty_lhs, spread):
             _search_trees(run, choice["scheduler"], max_lhs, empty_lhs, not strict_counts)
-        else:
-            _search_antichains(run, choice["scheduler"], max_lhs, empty_lhs)
-    status = "over_budget" if run.over() else "complete"
+    status = "over_budget" if run.cut else "complete"
     run.mark()
+    answer = top.answer()
+    if recheck and k is not None and rel.df.sparkSession is not None and answer:
+        if wrong := cardinality.recheck(rel, [(f.lhs, f.rhs, f.n_classes) for f in answer]):
+            raise RuntimeError(f"codes and raw values disagree on {wrong}")
+        run.jobs += 1
     c = run.counters
     stats = {
         "variant": variant if k is not None else "exhaustive", "k": k or 0, "n_rows": n, "n_attributes": rel.m, "status": status, "nodes_generated": c.generated, "nodes_visited": c.visited,
         "validations": run.validations, "valid_found": run.valid, "valid_until_last_change": run.valid_at_change, "pruned_expand": c.pruned_expand, "pruned_validate": c.pruned_validate,
         "pruned_pop": c.pruned_pop, "edges": len(run.edges), "sample_refuted": run.sample_refuted, "slice_refuted": run.slice_refuted, "rounds": run.rounds, "spark_jobs": run.jobs, "wall_s": time.monotonic() - began, "pairs_s": run.pairs_s, "queue_s": run.queue_s,
-        "peak_heap_mb": peak_heap_mb(rel.df),
-    }
+        "exact": profile == "exact",
+    } | meter.read()
     if own:
         rel.release()
-    return Discovery(rel, variant, k, top.answer(), stats, run.trace, run.edges, cards, matrix, status)
-
-
-def peak_heap_mb(df: DataFrame) -> float:
-    """Largest heap of the driver's JVM so far, from its memory beans; in local mode that is all of the engine."""
-    try:
-        beans = df.sparkSession.sparkContext._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans()
-        return sum(b.getPeakUsage().getUsed() for b in beans if str(b.getType()) == "Heap memory") / 1e6
-    except AttributeError:
-        return float("nan")
+    return Discovery(rel, variant, k, answer, stats, run.trace, run.edges, cards, matrix, status)
 
 
 def holding(rel: Relation, lhs: list[str], rhs: str) -> bool:
@@ -395,4 +481,4 @@ def holding(rel: Relation, lhs: list[str], rhs: str) -> bool:
     return cardinality.check_batch(rel, [(lhs_mask, a)])[lhs_mask, a].valid
 
 
-__all__ = ["BATCH", "FD_SCHEMA", "VARIANTS", "Discovery", "TopK", "discover", "holding", "peak_heap_mb"]
+__all__ = ["BATCH", "FD_SCHEMA", "VARIANTS", "Discovery", "TopK", "discover", "holding"]

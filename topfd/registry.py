@@ -154,12 +154,15 @@ query("topk_wide_star_lhs2", oracle.topk("wide_star", 10, 2, _WIDE))(answer("wid
 for _k in (1, 50, 100):
     query(f"topk_k{_k}", oracle.topk("cust_geo", _k))(answer("cust_geo", _k))
 for _v in VARIANTS:
-    query(f"topk_{_v}", oracle.topk("doc_labels", 10))(answer("doc_labels", variant=_v))
-query("topk_sequential", oracle.topk("doc_labels", 10))(answer("doc_labels", scheduler="sequential"))
+    query(f"topk_{_v}", oracle.topk("cust_geo", 10))(answer("cust_geo", variant=_v, batch=1))
+query("topk_sequential", oracle.topk("cust_geo", 10))(answer("cust_geo", scheduler="sequential", warm_start=False))
 query("topk_tree_kernel", oracle.topk("cust_geo", 10))(answer("cust_geo", kernel="tree"))
 query("topk_antichain_kernel", oracle.topk("cust_geo", 10))(answer("cust_geo", kernel="antichain"))
-query("topk_batch1", oracle.topk("doc_labels", 10))(answer("doc_labels", batch=1))
-query("topk_batch16", oracle.topk("doc_labels", 10))(answer("doc_labels", batch=16))
+query("topk_batch1", oracle.topk("order_lines", 10, 2))(answer("order_lines", batch=1, max_lhs=2))
+query("topk_batch16", oracle.topk("order_lines", 10, 2))(answer("order_lines", batch=16, max_lhs=2, warm_start=False))
+query("topk_spread_kernel", oracle.topk("cust_geo", 10))(answer("cust_geo", spread=True, warm_start=False))
+query("topk_lower_profile", oracle.topk("cust_geo", 10))(answer("cust_geo", profile="lower"))
+query("topk_embedding_bins", oracle.topk("embedding_bins", 10, 2))(answer("embedding_bins", max_lhs=2))
 query("topk_cache_bound", oracle.topk("orders_calendar", 10))(answer("orders_calendar", bound="cache"))
 query("topk_random_order", oracle.topk("orders_calendar", 10))(answer("orders_calendar", order="random"))
 query("topk_no_sample", oracle.topk("doc_labels", 10))(answer("doc_labels", sample=False))
@@ -386,15 +389,28 @@ def tau_trace(spark, sf):
 # ---- workloads -------------------------------------------------------------------------------------------------------------------------------
 
 query("w1_overall")(workloads.overall)
-query("w2_tuples")(lambda spark, sf: workloads.tuple_scaling(spark, sf, "orders_calendar", "o_orderkey"))
+query("w2_tuples")(lambda spark, sf: workloads.tuple_scaling(spark, sf, limits=workloads.EXHAUSTIVE))
+query("w2_lineitem")(lambda spark, sf: workloads.tuple_scaling(spark, sf, "lineitem", limits=workloads.EXHAUSTIVE))
 query("w3_attributes")(workloads.attribute_scaling)
 query("w4_k")(lambda spark, sf: workloads.k_sweep(spark, sf).unionByName(workloads.k_sweep(spark, sf, "embedding_bins")))
 query("w5_ablation")(workloads.ablation)
 query("w6_traces")(lambda spark, sf: workloads.traces(spark, sf, "cust_geo"))
+query("w7_case_studies")(workloads.cases)
 query("w8_overhead")(workloads.overhead)
 query("w9_limits")(workloads.limited)
 
 
+@query("w2_prefix_cards", " UNION ALL ".join(
+    f"SELECT CAST({share} AS DOUBLE) AS share, a AS attribute, c AS card FROM (SELECT {', '.join(f'count(DISTINCT {c}) + max(CASE WHEN {c} IS NULL THEN 1 ELSE 0 END) AS {c}' for c in COLUMNS['lineitem'])} FROM lineitem WHERE l_orderkey <= (SELECT quantile_disc(l_orderkey, {share}) FROM lineitem)) UNPIVOT (c FOR a IN ({', '.join(COLUMNS['lineitem'])}))"
+    for share in workloads.SHARES))
+def w2_prefix_cards(spark, sf):
+    out = []
+    for share in workloads.SHARES:
+        rel = Relation.bind(views.prefix(VIEWS["lineitem"](spark, sf), "l_orderkey", share), list(COLUMNS["lineitem"]))
+        out += [(share, c, card) for c, card in zip(rel.columns, cardinality.profile(rel)[1], strict=True)]
+    return spark.createDataFrame(out, "share double, attribute string, card long")
+
+
 @query("w1_counts", " UNION ALL ".join(f"SELECT '{v}' AS relation, * FROM ({oracle.over_fds(v, 'SELECT count(*) AS n_fds, count(*) FILTER (redundancy > 0) AS n_positive FROM fds')})" for v in ("region", "nation", "orders", "labels")))
 def w1_counts(spark, sf):
     out = None
