@@ -1,4 +1,5 @@
 import random
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -16,8 +17,16 @@ CASES = {
     "reader comments": ("<article><p>" + "text " * 30 + "</p></article><section class='comments'><article><p>nice " + "very " * 40 + "</p></article></section>", ("text " * 30).strip()),
     "comments inside": ("<article><p>a</p><div id='comments'><p>b</p></div><p>c</p></article>", "a\nc"),
     "own header": ("<article><header><h1>T</h1></header><p>a</p></article>", "T\na"),
-    "main": ("<nav>n</nav><main><p>a</p><p>b</p></main><div>after</div>", "a\nb"),
+    "main": ("<nav>n</nav><main><p>a</p><p>b</p></main><div class='footer'>after</div>", "a\nb"),
     "bare": ("<p>a</p><p hidden>h</p><p style='display: none'>i</p><p>b", "a\nb"),
+    "after main": ("<nav>n</nav><main><p>a</p></main><p>after</p>", "a\nafter"),
+    "above": ("<h1>Headline</h1><article><p>a</p></article><section><p>unshared</p></section>", "Headline\na\nunshared"),
+    "two articles": ("<article><p>" + "long " * 50 + "</p></article><article><p>short</p></article>", ("long " * 50).strip() + "\nshort"),
+    "classes inside": ("<article><p class='share-prices'>a</p><p id='alert'>b</p><div class='related'>c</div><div class='comments'>no</div><ul class='social work'><li>d</ul></article>", "a\nb\nc\nd"),
+    "formula": ("<article><p>x <math><mi>y</mi></math> <object>z</object><noscript>w</noscript></article>", "x y zw"),
+    "slash closes no script": ("<script src='a.js'/>code</script><p>a</p>", "a"),
+    "open quote": ("<p title=\"x>a</p><p>b</p>", "a\nb"),
+    "no end": ("<p>a</p><a x <b y", "a\n<a x <b y"),
     "notice": ("<article><p>a</p><div class='cookie-notice'>we use</div></article>", "a"),
     "unclosed": ("<article><p>a<p>b<div>c<p>d</article><footer>f", "a\nb\nc\nd"),
     "void and case": ("<ARTICLE><P>a<IMG SRC='x>y'>b<HR>c</P></ARTICLE>", "ab\nc"),
@@ -32,7 +41,7 @@ CASES = {
 @pytest.mark.parametrize("name", CASES)
 def test_main_text(name):
     page, want = CASES[name]
-    assert H.main_text(H.lines_of(page), None) == want
+    assert H.main_text(H.lines_of(page), None)[0] == want
 
 
 def test_shared_lines_are_a_longest_common_subsequence():
@@ -49,6 +58,77 @@ def test_shared_lines_are_a_longest_common_subsequence():
         assert all(a[i] in rest for i in sorted(found))
 
 
+@pytest.mark.parametrize("unit", ["<a x ", "<a x='", '<a x="<b>"', "<b>", "<p><b>", "</i>", "<script>", "</script ", "<!-- ", "<hr", "<a xxxx", "<p a", "<td><b>", "<li>", "<a b=c ", "<x", "<a '\"", "&", "<p><td><b><hr>"])
+def test_a_long_page_is_read_in_linear_time(unit):
+    for page in (unit * (1_000_000 // len(unit)), "<p>" + "<a " + "y" * 1_000_000 + ">", "<b>" * 150_000 + "<hr>" * 150_000 + "</u>" * 50_000):
+        began = time.perf_counter()
+        H.lines_of(page)
+        assert time.perf_counter() - began < 5
+
+
+def test_halved_alignments_are_as_long(monkeypatch):
+    rng = random.Random(3)
+    for _ in range(300):
+        a, b = ([rng.choice("abcd") for _ in range(rng.randint(0, 20))] for _ in range(2))
+        monkeypatch.setattr(H, "CELLS", 1 << 28)
+        whole = H.shared_lines(a, b)
+        monkeypatch.setattr(H, "CELLS", 3)
+        halved = H.shared_lines(a, b)
+        assert len(halved) == len(whole)
+        rest = iter(b)
+        assert all(a[i] in rest for i in sorted(halved))
+
+
+def _by_definition(rows):
+    """The whole query over a list of pages: a quadratic search for the partner and a table for the alignment."""
+    from urllib.parse import urlsplit
+
+    def parts(url):
+        if not url or "://" not in url:
+            return "", ""
+        u = urlsplit(url)
+        return u.netloc.lower(), u.path
+
+    lines = {k: H.lines_of(page) for k, (_, _, page) in enumerate(rows)}
+    order = sorted(range(len(rows)), key=lambda k: (*parts(rows[k][1]), rows[k][0]))
+    out = {}
+    for place, k in enumerate(order):
+        host, path = parts(rows[k][1])
+        near = []
+        for side in (order[:place][::-1], order[place + 1 :]):
+            for q in side:
+                if parts(rows[q][1])[0] != host:
+                    break
+                if [t for t, _ in lines[q]] != [t for t, _ in lines[k]]:
+                    near.append(q)
+                    break
+        alike = lambda q: next((i for i, (x, y) in enumerate(zip(path, parts(rows[q][1])[1], strict=False)) if x != y), min(len(path), len(parts(rows[q][1])[1])))
+        gone = 0
+        if near:
+            a, b = ([t for t, _ in lines[x]] for x in (k, max(near, key=alike)))
+            gone = H.shared_lines(a, b)
+        out[rows[k][0]] = "\n".join(t for i, (t, w) in enumerate(lines[k]) if w == H.ARTICLE or (w == H.PLAIN and (not near or i not in gone)))
+    return out
+
+
+def test_whole_query_equals_the_definition(spark, monkeypatch):
+    rng = random.Random(9)
+    word = lambda: rng.choice(["alpha", "beta", "gamma", "delta", "epsilon"])
+    rows = []
+    for i in range(120):
+        around = [f"<p>{rng.choice(['Site', 'Top', 'News'])}</p>", f"<nav><a>{word()}</a></nav>"]
+        body = "".join(f"<p>{word()} {word()}</p>" for _ in range(rng.randint(0, 4)))
+        body = f"<article>{body}</article>" if rng.random() < 0.5 else body
+        rows.append((i, f"http://h{rng.randrange(4)}.org/{rng.randrange(5)}/{rng.randrange(60):02}x{i}", "".join(around) + body + "<p>All rights</p>"))
+    want = _by_definition(rows)
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(4)
+    for pages in (400, 20):
+        monkeypatch.setattr(H, "PARTITION_PAGES", pages)
+        got = H.extract(df).collect()
+        assert {r["page_id"]: r["text"] for r in got} == want
+        assert sum(r["n_shared"] for r in got) > 100
+
+
 def test_nearest_pages_lose_what_they_share(spark):
     page = lambda body: f"<div><p>Our site</p><p>Follow us</p>{body}<p>All rights</p></div>"
     rows = [

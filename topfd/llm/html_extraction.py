@@ -1,16 +1,22 @@
-"""Main text of web pages: mark-up structure, then differencing against the page with the nearest URL.
+"""Main text of web pages by differencing each page against the page with the nearest URL of its host.
 
-1. A page becomes lines, one a block, in page order. Elements that can't be part of an article (scripts, menus, forms,
-   asides, adverts, notices, comments and the like, by element, role, class or id) give no line.
+1. A page becomes lines, one a block, in page order, menus, adverts and all else included; only what no browser shows (scripts, styles, comments) gives none.
+   A line knows where it stands: in a page's article (or main) element, in an element that can't be part of one, or in neither.
 2. Pages are sorted by host, path and id across ranges, so that a host of any size is spread over many tasks. On both sides the nearest page
    of the host whose lines differ is looked for, past copies and past the ends of a range, and the one whose path has the longer common
-   start is the partner; a longest common subsequence aligns the two pages' lines, and shared lines are deleted.
-3. Lines inside the page's own article element are never deleted, whether shared or not: on the given pages articles share passages
-   that belong to them. What differencing removes are the template's lines around an article that the mark-up doesn't name.
+   start is the partner.
+3. Every page is differenced: a longest common subsequence aligns the lines of the two pages, and a shared line is deleted unless it stands in the page's own
+   article. On the given pages articles share passages that belong to them, so there the text of an article is safe from its neighbour.
+4. Of the lines that the partner doesn't share, those in an element that can't be part of an article (a menu, footer, form, aside, advert, notice or
+   reader comment, by element, role or class) are deleted too: the given menus, adverts and footers are different on every page, and
+   differencing alone would keep them. All other lines stay. ``n_shared`` and ``n_marked`` say how many lines each of the two rules deleted.
+
+Inside an article only containers are judged by their class, and only by words that name nothing else; paragraphs, headings and list items never are.
 
 Character references are decoded; white space inside a block becomes one space; blocks are joined by one line break. Null and empty
 pages, and pages without any such line, give the empty text. Null URLs count as an empty host and path. Pages with equal lines are
-never each other's partner, so copies don't erase each other. Repeated rows give equal texts. An empty table gives an empty result; other columns are not read.
+never each other's partner, so copies don't erase each other. Repeated rows give equal texts. A page of any length is read in time that grows
+with its length, unfinished tags included. An empty table gives an empty result; other columns are not read.
 """
 
 from __future__ import annotations
@@ -19,6 +25,7 @@ import hashlib
 import html as entities
 import re
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -30,27 +37,36 @@ from .url_filter import host_and_path
 
 #: Elements by their part in a page. Fixed values of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style textarea title noscript template iframe svg math object canvas select xmp noembed noframes".split())
+#: Their content is no mark-up and is not shown as text.
+RAW = frozenset("script style textarea title iframe template select xmp noembed noframes".split())
 NEVER = frozenset("nav footer aside form button dialog menu head label fieldset".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
 #: Start tags that end an open paragraph.
 ENDS_P = BLOCK - {"body", "html", "caption", "tbody", "td", "tfoot", "th", "thead", "tr", "option", "legend"}
-#: Words in class or id, and roles, of what isn't article text.
+#: Elements that hold others, whose class may name them inside an article too.
+CONTAINERS = frozenset("div section ul ol dl table span ins center details figure".split())
+#: Words in class or id, and roles, of what isn't article text: outside an article; and, as whole class names, inside of one.
 MARKS = frozenset("ad ads adv advert adverts advertisement advertising banner sponsor sponsored promo promotion cookie cookies consent gdpr notice notices alert newsletter subscribe subscription signup login paywall sidebar sidebars menu menus nav navbar navigation breadcrumb breadcrumbs pagination pager comment comments replies reply disqus respond share sharing social related recommended recommendations popup modal overlay toolbar footer masthead topbar widget widgets skip".split())
+MARKS_INSIDE = frozenset("ad ads advert adverts advertisement advertising sponsored cookie-notice cookie-banner cookies consent newsletter newsletter-signup paywall sidebar navbar breadcrumb breadcrumbs pagination pager comments comment-list disqus disqus_thread respond".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar".split())
-
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^\"'>]|\"[^\"]*\"|'[^']*')*)>", re.S)
-_ATTR = re.compile(r"([^\s=/\"'>]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
-_ENDS = {name: re.compile(rf"</{name}\s*[^>]*>", re.I) for name in RAW}
+#: What a line is part of.
+PLAIN, ARTICLE, MARKED = 0, 1, 2
+
+_NAME = re.compile(r"/?[a-zA-Z][^\s/>]*+")
+_UNQUOTED = re.compile(r"[^\"'>]*+")
+#: A name and perhaps a value; every match goes on where the last one ended, so a tag of any length is read once.
+_ATTR = re.compile(r"([^\s=/\"'>]++)(?:\s*+=\s*+(?:\"([^\"]*+)\"|'([^']*+)'|([^\s\"'>]++)))?")
+_ENDS = {name: re.compile(rf"</{name}(?=[\s/>])", re.I) for name in RAW}
 _SPLIT = re.compile(r"[^a-z0-9]+")
-#: A second article counts if it has this share of the longest one's characters.
-SECOND = 0.3
+_CLASSES = re.compile(r"[^a-z0-9_-]+")
 #: Pages of a range, at least.
 PARTITION_PAGES = 400
 #: What pages are sorted by; mark keeps equal pages together.
 KEY = ("host", "path", "place", "mark")
 #: Cuts between ranges are searched in blocks of so many.
 CUTS = 128
+#: Cells of an alignment whose rows are held at once; larger ones are halved.
+CELLS = 1 << 28
 
 
 def _unwanted(name: str, attributes: str, inside: bool) -> bool:
@@ -62,66 +78,141 @@ def _unwanted(name: str, attributes: str, inside: bool) -> bool:
     for m in _ATTR.finditer(attributes):
         key, value = m[1].lower(), (m[2] or m[3] or m[4] or "").lower()
         if key in ("class", "id"):
+            if inside:
+                if name in CONTAINERS and not MARKS_INSIDE.isdisjoint(_CLASSES.split(value)):
+                    return True
+                continue
             words = _SPLIT.split(value)
-            if not MARKS.isdisjoint(words) or ("header" in words and not inside and name == "div"):
+            if not MARKS.isdisjoint(words) or ("header" in words and name == "div"):
                 return True
-        elif (key == "role" and value in ROLES) or (key == "aria-hidden" and value == "true") or (key == "style" and "display:none" in value.replace(" ", "")):
+        elif key == "hidden" or (key == "role" and value in ROLES) or (key == "aria-hidden" and value == "true") or (key == "style" and "display:none" in value.replace(" ", "")):
             return True
-    return bool(re.search(r"(?:^|\s)hidden(?:\s|=|$)", _ATTR.sub(" ", attributes)))
+    return False
+
+
+class _Tags:
+    """The tags of a page from left to right. A tag whose quotes never end is read as ending at the next '>'; from then on all are, so no page is read more than twice."""
+
+    def __init__(self, page: str):
+        self.page, self.end = page, len(page)
+        self.last = {c: page.rfind(c) for c in "\"'>"}
+        self.quotes = True
+
+    def next(self, at: int) -> tuple[int, int, str, str] | None:
+        """(start, end, name with a leading / of an end tag, attributes) of the first tag from `at` on; the name is empty for a comment or declaration."""
+        page = self.page
+        while True:
+            start = page.find("<", at)
+            if start < 0:
+                return None
+            if page.startswith("<!--", start):
+                end = page.find("-->", start + 4)
+                return start, (end + 3 if end >= 0 else self.end), "", ""
+            if page[start + 1 : start + 2] in ("!", "?"):
+                end = page.find(">", start)
+                return start, (end + 1 if end >= 0 else self.end), "", ""
+            if start > self.last[">"]:
+                return None
+            name = _NAME.match(page, start + 1)
+            if not name:
+                at = start + 1
+                continue
+            end = self._end(name.end())
+            return start, end + 1, name[0].lower(), page[name.end() : end]
+
+    def _end(self, begun: int) -> int:
+        at = begun
+        while self.quotes:
+            at = _UNQUOTED.match(self.page, at).end()
+            if at >= self.end:
+                self.quotes = False
+            elif self.page[at] == ">":
+                return at
+            elif at >= self.last[self.page[at]]:
+                self.quotes = False
+            else:
+                at = self.page.find(self.page[at], at + 1) + 1
+        return self.page.find(">", begun)
+
+
+class _Open:
+    """The open elements. Where the last of each name stands is known, so nothing is searched for."""
+
+    def __init__(self) -> None:
+        self.names: list[str] = []
+        self.unwanted: list[bool] = []
+        self.at: dict[str, list[int]] = {}
+        self.skipping = 0
+
+    def push(self, name: str, unwanted: bool) -> None:
+        self.at.setdefault(name, []).append(len(self.names))
+        self.names.append(name)
+        self.unwanted.append(unwanted)
+        self.skipping += unwanted
+
+    def last(self, *names: str) -> int:
+        return max((self.at[n][-1] for n in names if self.at.get(n)), default=-1)
+
+    def close(self, upto: int) -> None:
+        while len(self.names) > upto:
+            self.at[self.names.pop()].pop()
+            self.skipping -= self.unwanted.pop()
+
+    def holds(self, name: str) -> bool:
+        return bool(self.at.get(name))
+
+
+_P_WALLS = ("article", "main", "section", "div", "td", "li", "blockquote")
 
 
 def lines_of(page: str | None) -> list[tuple[str, int]]:
-    """(text, article) of each block; article: 0 outside, else the number of the article element that holds it; main elements count if there is no article."""
+    """(text, place) of each block; place: ARTICLE in an article element (a main element if the page has no article), MARKED in an element that can't be part of one, else PLAIN."""
     if not page:
         return []
-    out: list[tuple[str, int]] = []
-    stack: list[tuple[str, bool]] = []
-    parts: list[str] = []
-    skipping = articles = now = mains = in_main = 0
-    at = 0
+    out: list[tuple[str, bool, bool, bool]] = []
+    elements, tags, parts = _Open(), _Tags(page), []
 
     def end_block() -> None:
         if parts:
             text = " ".join(entities.unescape("".join(parts)).split())
             if text:
-                out.append((text, now or -in_main))
+                out.append((text, elements.skipping > 0, elements.holds("article"), elements.holds("main")))
             parts.clear()
 
     def close(upto: int) -> None:
-        nonlocal skipping, now, in_main
-        while len(stack) > upto:
-            name, unwanted = stack.pop()
-            skipping -= unwanted
-            if name == "article" and not any(n == "article" for n, _ in stack):
-                now = 0
-            if name == "main":
-                in_main = 0
-
-    end = len(page)
-    while at < end:
-        m = _TAG.search(page, at)
-        if not m:
-            if not skipping:
-                parts.append(page[at:])
+        # text of an unwanted element doesn't run on into what follows
+        if any(elements.unwanted[upto:]) or any(n in ("article", "main") for n in elements.names[upto:]):
+            end_block()
+        elements.close(upto)
+
+    at = 0
+    while True:
+        tag = tags.next(at)
+        if tag is None:
+            parts.append(page[at:])
             break
-        if m.start() > at and not skipping:
-            parts.append(page[at : m.start()])
-        at = m.end()
-        if m[2] is None:
+        start, end, name, attributes = tag
+        if start > at:
+            parts.append(page[at:start])
+        at = end
+        if not name:
             continue
-        name = m[2].lower()
-        if m[1]:
+        if name[0] == "/":
+            name = name[1:]
             if name in BLOCK:
                 end_block()
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == name:
-                    close(i)
-                    break
+            if (last := elements.last(name)) >= 0:
+                close(last)
             continue
         if name in RAW:
-            if not m[3].rstrip().endswith("/"):
-                found = _ENDS[name].search(page, at)
-                at = found.end() if found else end
+            # a slash at its end doesn't close it
+            found = _ENDS[name].search(page, at)
+            if not found:
+                break
+            at = page.find(">", found.end())
+            if at < 0:
+                break
+            at += 1
             continue
         if name == "br":
             parts.append(" ")
@@ -129,65 +220,49 @@ def lines_of(page: str | None) -> list[tuple[str, int]]:
             end_block()
         if name in VOID:
             continue
-        if name in ENDS_P:
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == "p":
-                    close(i)
-                    break
-                if stack[i][0] in ("article", "main", "section", "div", "td", "li", "blockquote"):
-                    break
-        if name == "li":
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == "li":
-                    close(i)
-                    break
-                if stack[i][0] in ("ul", "ol"):
-                    break
-        unwanted = _unwanted(name, m[3], now > 0)
-        if name == "article" and not skipping and not now:
-            articles += 1
-            now = articles
-        if name == "main" and not skipping:
-            mains += 1
-            in_main = mains
-        skipping += unwanted
-        stack.append((name, unwanted))
+        if name in ENDS_P and elements.last("p") > elements.last(*_P_WALLS):
+            close(elements.last("p"))
+        if name == "li" and elements.last("li") > elements.last("ul", "ol"):
+            close(elements.last("li"))
+        unwanted = _unwanted(name, attributes, elements.holds("article") and not elements.skipping)
+        if unwanted:
+            end_block()
+        elements.push(name, unwanted)
     end_block()
-    if any(a > 0 for _, a in out):
-        lengths: dict[int, int] = {}
-        for text, a in out:
-            if a > 0:
-                lengths[a] = lengths.get(a, 0) + len(text)
-        least = SECOND * max(lengths.values())
-        return [(t, a if a > 0 and lengths[a] >= least else 0) for t, a in out]
-    return [(t, -a) for t, a in out]
+    articles = any(article and not marked for _, marked, article, _ in out)
+    return [(text, MARKED if marked else ARTICLE if (article if articles else main) else PLAIN) for text, marked, article, main in out]
 
 
-def shared_lines(a: list[str], b: list[str]) -> set[int]:
-    """Positions in a of a longest common subsequence of a and b. Equal starts and ends are taken first; the rest by bit-parallel rows."""
-    top = 0
-    while top < min(len(a), len(b)) and a[top] == b[top]:
-        top += 1
-    tail = 0
-    while tail < min(len(a), len(b)) - top and a[-1 - tail] == b[-1 - tail]:
-        tail += 1
-    found = {*range(top), *range(len(a) - tail, len(a))}
-    x, y = a[top : len(a) - tail], b[top : len(b) - tail]
-    common = set(x) & set(y)
-    xs = [i for i, t in enumerate(x) if t in common]
-    ys = [t for t in y if t in common]
-    if not xs or not ys:
-        return found
+def _rows(xs: list[int], x: list[str], ys: list[str], keep: bool) -> tuple[list[int], int]:
+    """Bit-parallel alignment of x[xs] and ys: row i has a 0 at j where the common length of x[..i] and ys[..j] exceeds that of ys[..j-1]. (rows if kept, the last)."""
     places: dict[str, int] = {}
     for j, t in enumerate(ys):
         places[t] = places.get(t, 0) | 1 << j
     full = (1 << len(ys)) - 1
     rows, v = [], full
     for i in xs:
-        hit = v & places[x[i]]
+        hit = v & places.get(x[i], 0)
         v = ((v + hit) | (v - hit)) & full
-        rows.append(v)
-    # row i has a 0 at j where the common length of x[..i] and ys[..j] exceeds that of ys[..j-1]
+        if keep:
+            rows.append(v)
+    return rows, v
+
+
+def _aligned(xs: list[int], x: list[str], ys: list[str]) -> list[int]:
+    """Those of xs that are in a longest common subsequence of x[xs] and ys."""
+    if not xs or not ys:
+        return []
+    if len(xs) * len(ys) > CELLS and len(xs) > 1:
+        half = len(xs) // 2
+        _, front = _rows(xs[:half], x, ys, False)
+        _, back = _rows(xs[half:][::-1], x, ys[::-1], False)
+        n = len(ys)
+        front_upto = [0, *accumulate(1 - (front >> j & 1) for j in range(n))]
+        back_upto = [0, *accumulate(1 - (back >> j & 1) for j in range(n))]
+        cut = max(range(n + 1), key=lambda j: front_upto[j] + back_upto[n - j])
+        return _aligned(xs[:half], x, ys[:cut]) + _aligned(xs[half:], x, ys[cut:])
+    rows, _ = _rows(xs, x, ys, True)
+    found = []
     i, j = len(xs) - 1, len(ys) - 1
     length = lambda i, j: (~rows[i] & ((1 << (j + 1)) - 1)).bit_count() if i >= 0 and j >= 0 else 0
     while i >= 0 and j >= 0:
@@ -195,7 +270,7 @@ def shared_lines(a: list[str], b: list[str]) -> set[int]:
         if not here:
             break
         if x[xs[i]] == ys[j] and length(i - 1, j - 1) == here - 1:
-            found.add(top + xs[i])
+            found.append(xs[i])
             i, j = i - 1, j - 1
         elif length(i - 1, j) == here:
             i -= 1
@@ -204,12 +279,26 @@ def shared_lines(a: list[str], b: list[str]) -> set[int]:
     return found
 
 
-def main_text(lines: list[tuple[str, int]], partner: list[tuple[str, int]] | None) -> str:
-    """The lines of the page's articles; without one, all lines that the partner doesn't share."""
-    if any(a for _, a in lines):
-        return "\n".join(t for t, a in lines if a)
+def shared_lines(a: list[str], b: list[str]) -> set[int]:
+    """Positions in a of a longest common subsequence of a and b. Equal starts and ends are taken first."""
+    top = 0
+    while top < min(len(a), len(b)) and a[top] == b[top]:
+        top += 1
+    tail = 0
+    while tail < min(len(a), len(b)) - top and a[-1 - tail] == b[-1 - tail]:
+        tail += 1
+    found = {*range(top), *range(len(a) - tail, len(a))}
+    x, y = a[top : len(a) - tail], b[top : len(b) - tail]
+    common = set(x) & set(y)
+    return found | {top + i for i in _aligned([i for i, t in enumerate(x) if t in common], x, [t for t in y if t in common])}
+
+
+def main_text(lines: list[tuple[str, int]], partner: list[tuple[str, int]] | None) -> tuple[str, int, int]:
+    """(text, lines deleted as shared with the partner, further lines deleted as marked)."""
     gone = shared_lines([t for t, _ in lines], [t for t, _ in partner]) if partner else set()
-    return "\n".join(t for i, (t, _) in enumerate(lines) if i not in gone)
+    shared = {i for i in gone if lines[i][1] != ARTICLE}
+    marked = {i for i, (_, place) in enumerate(lines) if place == MARKED} - shared
+    return "\n".join(t for i, (t, _) in enumerate(lines) if i not in shared and i not in marked), len(shared), len(marked)
 
 
 def _alike(a: str, b: str) -> int:
@@ -230,7 +319,8 @@ def _differenced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     size = 0
 
     def out() -> pa.RecordBatch:
-        batch = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*done, strict=True), (pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)], ["page_id", "url", "text", "n_chars"])
+        kinds = (pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int32(), pa.int32())
+        batch = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*done, strict=True), kinds, strict=True)], ["page_id", "url", "text", "n_chars", "n_shared", "n_marked"])
         done.clear()
         return batch
 
@@ -243,8 +333,8 @@ def _differenced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             k = max(range(len(near)), key=lambda k: _alike(near[k][0], path), default=None)
             if (k, inside) not in texts:
                 texts[k, inside] = main_text([(t, a) for (t, _), a in zip(now[1], inside, strict=True)], None if k is None else near[k][1])
-            text = texts[k, inside]
-            done.append((page_id, url, text, len(text)))
+            text, n_shared, n_marked = texts[k, inside]
+            done.append((page_id, url, text, len(text), n_shared, n_marked))
             size += len(text)
             if size > 4_000_000:
                 yield out()
@@ -349,7 +439,7 @@ def _ranged(keyed: DataFrame, parts: int) -> DataFrame:
 
 
 def extract(pages: DataFrame) -> DataFrame:
-    """pages(page_id, url, html) -> page_id, url, text, n_chars."""
+    """pages(page_id, url, html) -> page_id, url, text, n_chars, n_shared, n_marked."""
     ship(pages.sparkSession)
     host, path = host_and_path(F.col("url"))
     keyed = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", host.alias("host"), path.alias("path"), "html")
@@ -358,7 +448,7 @@ def extract(pages: DataFrame) -> DataFrame:
     parts = max(1, min(4 * int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")), pages.count() // PARTITION_PAGES))
     ranged = _ranged(keyed, parts) if parts > 1 else keyed.select("*", F.lit(0).alias("part"), F.lit(0).alias("side")).repartitionByRange(1, *KEY)
     near = ranged.sortWithinPartitions("part", "side", *KEY).select("page_id", "url", "path", "side", "part", "host", "html")
-    return near.mapInArrow(_differenced, "page_id long, url string, text string, n_chars long")
+    return near.mapInArrow(_differenced, "page_id long, url string, text string, n_chars long, n_shared int, n_marked int")
 
 
 def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
