@@ -30,7 +30,7 @@ def frame(spark, rows):
     return spark.createDataFrame(rows, SCHEMA).withColumn("score", F.lit("x")).withColumn("vec", F.lit(1)).withColumn("ids", F.lit(1)).repartition(3)
 
 
-@pytest.mark.parametrize("block", [64, 4096])
+@pytest.mark.parametrize("block", [16, 64, 4096])
 def test_exact_search_is_brute_force(spark, block):
     rows = vectors(1)
     v = {i: np.floor(256 * x).astype(np.int64) for i, x in usable(rows, True).items()}
@@ -56,6 +56,30 @@ def test_exact_search_of_few_or_no_rows(spark):
     assert X.top_k(X.integers(few.limit(0)), F.col("vec_id") % 50 == 0, 5).collect() == []
 
 
+def test_ids_with_several_vectors_and_huge_components(spark):
+    rows = [(0, [1.0, 0.0], 0), (0, [0.0, 1.0], 0), (1, [2.0, 0.0], 0), (1, [3.0, 0.0], 0), (2, [0.0, 5.0], 0), (3, [1e300, 0.0], 0), (4, [-1e18, 1.0], 0), (5, [1e6, 1e6], 0)]
+    got = X.top_k(X.integers(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")), F.col("vec_id") == 0, 5).collect()
+    assert sorted((r["rank"], r["vec_id"], r["score"]) for r in got) == [(1, 5, 256 * 256_000_000), (2, 2, 256 * 1280), (3, 1, 256 * 768)]
+    found = ann.search(ann.doubles(spark.createDataFrame(rows[:5], "vec_id long, embedding array<double>, label int")), F.col("vec_id") == 0, 5).collect()
+    assert sorted((r["rank"], r["vec_id"], r["score"]) for r in found) == [(1, 2, 5.0), (2, 1, 3.0)]
+
+
+@pytest.mark.parametrize("rows_of_task", [50, 16_384])
+def test_boughs_and_blocks_of_any_size_give_the_same_result(spark, monkeypatch, rows_of_task):
+    rows = vectors(4, 600)
+    monkeypatch.setattr(ann, "BOUGH_ROWS", rows_of_task)
+    monkeypatch.setattr(ann, "QUERY_ROWS", 7 if rows_of_task == 50 else 16_384)
+    got = sorted(map(tuple, ann.search(ann.doubles(frame(spark, rows)), F.col("vec_id") % 20 == 0, 5, share=1.0).collect()))
+    v = usable(rows, False)
+    want = [(q, r, c) for q in sorted(v) if q % 20 == 0 for r, (_, c) in enumerate(sorted((-float(np.cumsum(v[q] * v[c])[-1]), c) for c in v if c != q)[:5], 1)]
+    assert [x[:3] for x in got] == want
+
+
+def test_visits_fall_behind_the_table(spark):
+    shares = [ann.share_at(n) for n in (500, 2_000, 10_000, 50_000, 1_000_000)]
+    assert shares == sorted(shares, reverse=True) and shares[1] == ann.SHARE and shares[-1] < shares[1] / 3
+
+
 def test_forest_recall_scores_and_order(spark):
     rows = vectors(2, 3000)
     v = usable(rows, False)

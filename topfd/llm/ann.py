@@ -1,13 +1,13 @@
 """Approximate nearest neighbours by inner product: a forest of random-projection trees under one priority queue.
 
 * Inner products become angles, as in the exact search: candidates are lifted to the norm of the longest one.
-* Each tree splits a bounded sample at the median of a random projection until a leaf holds LEAF of its points. The trees (split vectors and
-  thresholds) don't grow with the table; every row of the table is filed in a leaf of each tree, and leaves that hold more
-  than BLOCK rows are dealt to several tasks.
+* Each tree splits a bounded sample at the median of a random projection until a leaf holds LEAF of its points. Every row of the table is filed in
+  a leaf of each tree. Subtrees of bounded size, in rows, are boughs: what a task holds. Leaves beyond that size are dealt to several tasks.
 * A query walks all trees at once: one queue holds the open branches of all of them, keyed by the smallest margin met on the way, and the
-  best branch is opened next, until the leaves reached stand for the wanted share of the sample.
-* Leaves score their rows for the queries that came, on the original vectors in double precision, and send each query's best k on. Merging
-  these, without repeats from other trees, is the exact rerank of all candidates.
+  best branch is opened next, until the leaves reached hold the wanted share of all (tree, row) entries. That share falls as the table grows, by
+  SHARE * (SHARE_ROWS / rows) ** FALL, so the work of a query grows more slowly than the table.
+* A bough scores its rows, leaf by leaf, for the queries that came there, on the original vectors in double precision, and sends each query's best k
+  on. Its queries are dealt to several tasks where they are many. Merging these, without repeats from other trees, is the exact rerank of all candidates.
 
 Vectors that are null, empty, zero or hold a null or non-finite component take no part. Copies are one candidate with its k + 1 smallest
 ids, which loses no result. Vectors of different length are compared as if the shorter ended in zeros. Ties go to the smaller id.
@@ -27,8 +27,17 @@ from pyspark.sql import functions as F
 from .common import table, written
 from .vectors import finite, matrix, smallest_ids
 
-#: Sample rows, trees, sample points in a leaf, and the share of all (tree, point) entries that a query's leaves have to hold.
-SAMPLE, TREES, LEAF, SHARE, BLOCK = 16_384, 8, 256, 0.22, 4096
+#: Sample rows, trees, sample points in a leaf.
+SAMPLE, TREES, LEAF = 32_768, 8, 32
+#: Share of all (tree, row) entries that a query's leaves have to hold: at so many rows, and the power by which it falls with more.
+SHARE, SHARE_ROWS, FALL = 0.16, 2_000, 0.2
+#: Rows of a bough, and queries that one task takes.
+BOUGH_ROWS, QUERY_ROWS = 16_384, 16_384
+
+
+def share_at(rows: int) -> float:
+    """SHARE at SHARE_ROWS rows; more for smaller tables, less for larger ones."""
+    return min(1.0, SHARE * (SHARE_ROWS / max(1, rows)) ** FALL)
 
 
 @dataclass
@@ -43,6 +52,29 @@ class Forest:
     held: np.ndarray  # sample points of each leaf
     top: float
 
+    def boughs(self, most: float) -> np.ndarray:
+        """The bough of each leaf: largest subtrees of no more than `most` sample points, or single leaves."""
+        out, n = np.zeros(len(self.held), np.int64), 0
+        below_of: dict[int, list[int]] = {}
+
+        def leaves(node: int) -> list[int]:
+            if node < 0:
+                return [~node]
+            if node not in below_of:
+                below_of[node] = leaves(int(self.below[node])) + leaves(int(self.above[node]))
+            return below_of[node]
+
+        queue = list(self.roots)
+        while queue:
+            node = queue.pop()
+            some = leaves(node)
+            if node < 0 or self.held[some].sum() <= most:
+                out[some] = n
+                n += 1
+            else:
+                queue += [int(self.below[node]), int(self.above[node])]
+        return out
+
     def lift(self, x: np.ndarray) -> np.ndarray:
         """Candidates with the coordinate that makes all norms equal; queries get 0 there."""
         return np.sqrt(np.maximum(0, self.top - (x * x).sum(axis=1)))[:, None]
@@ -116,78 +148,118 @@ def plant(sample: np.ndarray, top: float, trees: int = TREES, leaf: int = LEAF,
     return Forest(roots, np.array(normals).reshape(-1, width), np.array(cuts), np.array(below, int), np.array(above, int), np.array(held), top)
 
 
-def _filed(distinct: DataFrame, forest) -> DataFrame:
-    """vec, ids, leaf: one row for each tree."""
+def _filed(distinct: DataFrame, forest, boughs) -> DataFrame:
+    """vec, ids, leaf, bough: one row for each tree."""
 
     def run(batches):
         for batch in batches:
             if batch.num_rows:
-                f = forest.value
-                leaves = f.leaves(matrix(batch.column(0)))
-                lists = pa.FixedSizeListArray.from_arrays(pa.array(leaves.ravel()), leaves.shape[1]).cast(pa.list_(pa.int64()))
-                yield pa.RecordBatch.from_arrays([*batch.columns, lists], ["vec", "ids", "leaves"])
+                leaves = forest.value.leaves(matrix(batch.column(0)))
+                lists = [pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), leaves.shape[1]).cast(pa.list_(pa.int64())) for x in (leaves, boughs.value[leaves])]
+                yield pa.RecordBatch.from_arrays([*batch.columns, *lists], ["vec", "ids", "leaves", "boughs"])
+
+    filed = distinct.select("vec", "ids").mapInArrow(run, "vec array<double>, ids array<long>, leaves array<long>, boughs array<long>")
+    return filed.select("vec", "ids", F.explode(F.arrays_zip("leaves", "boughs")).alias("at")).select("vec", "ids", F.col("at.leaves").alias("leaf"), F.col("at.boughs").alias("bough"))
 
-    return distinct.select("vec", "ids").mapInArrow(run, "vec array<double>, ids array<long>, leaves array<long>")
 
+def _routed(queries: DataFrame, forest, boughs, wanted: float) -> DataFrame:
+    """query_id, vec_hash, bough, leaves: what a query visits of each bough. The vector itself isn't repeated here."""
 
-def _routed(queries: DataFrame, forest, wanted: float) -> DataFrame:
     def run(batches):
         for batch in batches:
             if batch.num_rows:
-                f = forest.value
-                found = [f.visits(q, wanted) for q in matrix(batch.column(1))]
-                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.list_(pa.int64()))], ["query_id", "vec", "leaves"])
+                rows: list[tuple] = []
+                for q, own, mark in zip(matrix(batch.column(1)), batch.column(0).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                    found = np.array(forest.value.visits(q, wanted), np.int64)
+                    at = boughs.value[found]
+                    order = np.argsort(at, kind="stable")
+                    cuts = np.flatnonzero(np.diff(at[order])) + 1
+                    rows += [(own, mark, int(at[part[0]]), found[part]) for part in np.split(order, cuts) if len(part)]
+                ids, marks, where, leaves = zip(*rows, strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(marks, pa.int64()), pa.array(where, pa.int64()), pa.array(leaves, pa.list_(pa.int64()))], ["query_id", "mark", "bough", "leaves"])
 
-    return queries.select("query_id", "vec").mapInArrow(run, "query_id long, vec array<double>, leaves array<long>")
+    return queries.select("query_id", "vec", "mark").mapInArrow(run, "query_id long, mark long, bough long, leaves array<long>")
 
 
-def _leaf_search(k: int):
+def _bough_search(k: int):
+    """Best k of each query among the rows of its leaves in one bough; scored counts these rows."""
+
     def of(queries: pa.Table, candidates: pa.Table) -> pa.Table:
-        out_q, out_v, out_s = [], [], []
+        out_q, out_v, out_s, out_n = [], [], [], []
         if len(queries) and len(candidates):
             q, x = matrix(queries.column("vec")), matrix(candidates.column("vec"))
             width = max(q.shape[1], x.shape[1])
             q, x = (np.pad(m, ((0, 0), (0, width - m.shape[1]))) for m in (q, x))
-            ids = candidates.column("ids").to_pylist()
-            lead = np.array([v[0] for v in ids])
+            ids, leaf = candidates.column("ids").to_pylist(), candidates.column("leaf").to_numpy()
+            names, place = np.unique(leaf, return_inverse=True)
+            members = np.split(np.argsort(place, kind="stable"), np.cumsum(np.bincount(place))[:-1])
+            visits = queries.column("leaves").combine_chunks()
+            visitor = np.repeat(np.arange(len(q)), visits.value_lengths().to_numpy())
+            seen = np.searchsorted(names, visits.flatten().to_numpy())
+            own_ids = queries.column("query_id").to_pylist()
             for a in range(0, len(q), 256):
-                scores = q[a : a + 256] @ x.T
-                for i, own in enumerate(queries.column("query_id")[a : a + 256].to_pylist()):
-                    # ties beyond the (k+1)-th best score may not be cut by position: all rows at its score stay
+                scores = np.full((min(256, len(q) - a), len(x)), -np.inf)
+                here = (visitor >= a) & (visitor < a + 256) & (seen < len(names))
+                # leaves without a row in this task have no place among the names
+                here[here] = names[seen[here]] == visits.flatten().to_numpy()[here]
+                order = np.argsort(seen[here], kind="stable")
+                who, what = visitor[here][order] - a, seen[here][order]
+                for part in np.split(np.arange(len(what)), np.flatnonzero(np.diff(what)) + 1):
+                    if len(part):
+                        rows = members[what[part[0]]]
+                        scores[np.ix_(who[part], rows)] = q[a + who[part]] @ x[rows].T
+                for i in range(len(scores)):
                     s = scores[i]
-                    some = np.flatnonzero(s >= np.partition(s, -k - 1)[-k - 1] - 1e-9 * abs(s).max()) if len(s) > k + 1 else np.arange(len(s))
+                    n = int((s > -np.inf).sum())
+                    if not n:
+                        continue
+                    # ties beyond the (k+1)-th best score may not be cut by position: all rows at its score stay
+                    some = np.flatnonzero(s >= np.partition(s, -k - 1)[-k - 1] - 1e-9 * abs(s[s > -np.inf]).max()) if n > k + 1 else np.flatnonzero(s > -np.inf)
+                    own = own_ids[a + i]
                     # the sum in a fixed order, so that every copy and tree gives the same double
-                    exact = np.array([float(np.cumsum(q[a + i] * x[c])[-1]) for c in some.tolist()])
+                    exact = np.cumsum(q[a + i] * x[some], axis=1)[:, -1]
                     pairs = sorted((-e, v) for e, c in zip(exact.tolist(), some.tolist(), strict=True) for v in ids[c] if v != own)[:k]
                     out_q += [own] * len(pairs)
                     out_v += [v for _, v in pairs]
                     out_s += [-e for e, _ in pairs]
-        return pa.table({"query_id": pa.array(out_q, pa.int64()), "vec_id": pa.array(out_v, pa.int64()), "score": pa.array(out_s, pa.float64())})
+                    out_n += [n] * len(pairs)
+        return pa.table({"query_id": pa.array(out_q, pa.int64()), "vec_id": pa.array(out_v, pa.int64()), "score": pa.array(out_s, pa.float64()), "scored": pa.array(out_n, pa.int64())})
 
     return of
 
 
-def search(rows: DataFrame, is_query: Column, k: int, share: float = SHARE, trees: int = TREES, leaf: int = LEAF, sample: int = SAMPLE) -> DataFrame:
-    """rows(vec_id, vec of doubles) -> query_id, rank, vec_id, score."""
-    queries = written(rows.where(is_query).select(F.col("vec_id").alias("query_id"), "vec").distinct())
+def _parts(rows: DataFrame, most: int) -> Column:
+    """How many parts a bough's rows are dealt to. At most one number a leaf of the bounded trees is collected."""
+    sizes = rows.groupBy("bough").agg(F.ceil(F.count(F.lit(1)) / F.lit(most)).alias("parts")).where(F.col("parts") > 1).collect()
+    if not sizes:
+        return F.lit(1)
+    return F.coalesce(F.try_element_at(F.create_map(*[F.lit(int(r[c])) for r in sizes for c in ("bough", "parts")]), F.col("bough").cast("int")), F.lit(1))
+
+
+def search(rows: DataFrame, is_query: Column, k: int, share: float | None = None, trees: int = TREES, leaf: int = LEAF, sample: int = SAMPLE) -> DataFrame:
+    """rows(vec_id, vec of doubles) -> query_id, rank, vec_id, score. share: of the (tree, row) entries, in place of share_at."""
+    mark = F.xxhash64("vec")
+    queries = written(rows.where(is_query).select(F.col("vec_id").alias("query_id"), "vec", mark.alias("mark")).distinct())
     distinct = written(smallest_ids(rows, k))
     facts = distinct.agg(F.count(F.lit(1)).alias("n"), F.max(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x)).alias("top")).first()
-    spark, schema = rows.sparkSession, "query_id long, vec_id long, score double"
+    spark, schema = rows.sparkSession, "query_id long, vec_id long, score double, scored long"
     if not facts["n"]:
         return spark.createDataFrame([], schema).select("query_id", F.lit(1).alias("rank"), "vec_id", "score")
     drawn = matrix(pa.array([r["vec"] for r in distinct.orderBy(F.xxhash64("vec"), "vec").limit(sample).select("vec").collect()], pa.list_(pa.float64())))
     forest = plant(drawn, float(facts["top"]), trees, leaf)
-    shared = spark.sparkContext.broadcast(forest)
+    shared, boughs = spark.sparkContext.broadcast(forest), spark.sparkContext.broadcast(forest.boughs(BOUGH_ROWS * len(drawn) / facts["n"]))
     # a share of the sample's entries, but never so few that k rows of a small table could be missed
-    wanted = max(share * len(drawn) * trees, 4.0 * (k + 1) * trees * len(drawn) / facts["n"])
-    filed = _filed(distinct, shared).select("vec", "ids", F.explode("leaves").alias("leaf"))
-    filed = written(filed)
-    sizes = filed.groupBy("leaf").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("parts"))
-    parts = {r["leaf"]: r["parts"] for r in sizes.where(F.col("parts") > 1).collect()}  # at most one number a leaf of the bounded trees
-    n_parts = F.coalesce(F.try_element_at(F.create_map(*[F.lit(int(v)) for kv in parts.items() for v in kv]), F.col("leaf").cast("int")), F.lit(1)) if parts else F.lit(1)
-    c = filed.withColumn("part", F.pmod(F.xxhash64("vec"), n_parts).cast("int"))
-    q = _routed(queries, shared, wanted).select("query_id", "vec", F.explode("leaves").alias("leaf")).withColumn("part", F.explode(F.sequence(F.lit(0), n_parts - 1)))
-    found = q.groupBy("leaf", "part").cogroup(c.groupBy("leaf", "part")).applyInArrow(_leaf_search(k), schema).distinct()
+    wanted = max((share_at(facts["n"]) if share is None else share) * len(drawn) * trees, 4.0 * (k + 1) * trees * len(drawn) / facts["n"])
+    filed = _filed(distinct, shared, boughs)
+    routed = written(_routed(queries, shared, boughs, wanted))
+    n_rows, n_queries = _parts(filed.select("bough"), BOUGH_ROWS), _parts(routed, QUERY_ROWS)
+    deal = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    c = filed.withColumn("part", F.pmod(F.xxhash64("vec"), n_rows).cast("int")).withColumn("side", deal(n_queries))
+    q = routed.withColumn("side", F.pmod(F.xxhash64("query_id"), n_queries).cast("int")).join(queries.select("query_id", "mark", "vec"), ["query_id", "mark"]).withColumn("part", deal(n_rows))
+    found = q.groupBy("bough", "part", "side").cogroup(c.groupBy("bough", "part", "side")).applyInArrow(_bough_search(k), schema)
+    found = found.select("query_id", "vec_id", "score").distinct()
+    # a vec_id with several vectors counts by its best
+    found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

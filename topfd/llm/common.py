@@ -23,13 +23,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir; where it is unset, as in local tests, a temporary one."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder and (own := spark.sparkContext.getCheckpointDir()):
-        folder = own
+    """The folder that the cluster names in spark.checkpoint.dir. A temporary one only in local mode, where all tasks share this machine's disk."""
+    context = spark.sparkContext
+    folder = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not folder:
+        if not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         folder = tempfile.mkdtemp(prefix="shared-")
-        spark.sparkContext.setCheckpointDir(folder)
+        context.setCheckpointDir(folder)
     return folder.rstrip("/")
 
 
@@ -39,9 +40,35 @@ def written(df: DataFrame) -> DataFrame:
     ship(spark)
     path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _tables(spark).append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _tables(spark: SparkSession) -> list[str]:
+    """Paths that `written` made in this application and that were not removed yet."""
+    context = spark.sparkContext
+    if not hasattr(context, "_topfd_tables"):
+        context._topfd_tables = []
+    return context._topfd_tables
+
+
+def marked(spark: SparkSession) -> int:
+    """Where the written tables stand now, for `removed`."""
+    return len(_tables(spark))
+
+
+def removed(spark: SparkSession, since: int = 0, keep: DataFrame | None = None) -> None:
+    """Deletes the tables written since a mark, but for the one that `keep` reads. For when what they led to is stored itself."""
+    kept = [str(f) for f in keep.inputFiles()] if keep is not None else []
+    paths = _tables(spark)
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for path in paths[since:]:
+        if not any(path.rsplit("/", 1)[1] in f for f in kept):
+            at = jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(conf).delete(at, True)
+            paths.remove(path)
+
+
 def word_count(text: Column) -> Column:
     """Words of a text as BIGINT; 0 for null."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")

@@ -2,15 +2,20 @@
 
 Inner products become distances: with M the largest norm, a candidate x gets one more coordinate sqrt(M^2 - |x|^2) and a
 query q gets 0, so that |q'-x'|^2 = |q|^2 + M^2 - 2 q.x. Every candidate's distances to some pivots are computed once and stored with
-it. |d(q',p) - d(x',p)| bounds d(q',x') from below for each pivot p; the largest of these bounds bounds the score from above. Each block
-evaluates a query's candidates in order of that bound and stops when the k-th best score exceeds every bound that is left.
+it. |d(q',p) - d(x',p)| bounds d(q',x') from below for each pivot p; the largest of these bounds bounds the score from above.
 
-Queries and candidates meet in blocks of fixed size: a task holds one block of each, so its memory doesn't depend on the input.
-Blocks return k rows a query, and these are merged. All components are floor(256 * x) and scores are exact integers.
+1. Candidates are dealt to cells by their nearest pivot, and by their second nearest where the table is large. A cell keeps the interval of its rows' distances to each
+   pivot, which bounds the score of all its rows at once; there are at most PIVOTS squared cells, however many rows.
+2. Each query is sent to its most promising cell and comes back with its k-th best score there.
+3. It is then sent to those other cells alone whose bound reaches that score. Cells beyond CANDIDATE_BLOCK rows are dealt to several tasks.
 
-Vectors that are null, empty or hold a null or non-finite component take no part. Vectors of different length are compared as if the shorter
-ended in zeros. Copies are one candidate with its smallest ids. Repeated rows with one id are one row. Components beyond 2^53 in size (after the
-factor) are not supported, as a double holds no such integer. Fewer than k candidates give fewer rows; an empty table gives none.
+In a task, a query's candidates are evaluated in order of their own bound until the k-th best score exceeds every bound that is left. Queries move, not
+the table: a candidate is copied only where more than QUERY_BLOCK queries want its cell. A task's memory doesn't depend on the input, and tasks
+return k rows a query, which are merged. All components are floor(256 * x) and scores are exact integers.
+
+Vectors that are null, empty or hold a null or non-finite component take no part, nor do those whose length as integers is 2^31 or more, as their scores need not fit a
+long. Vectors of different length are compared as if the shorter ended in zeros. Copies are one candidate with its smallest ids. Repeated rows with
+one id are one row; an id with several vectors counts by its best score. Fewer than k candidates give fewer rows; an empty table gives none.
 """
 
 from __future__ import annotations
@@ -25,12 +30,16 @@ from pyspark.sql import functions as F
 from .common import table, written
 from .vectors import finite, matrix, smallest_ids
 
-PIVOTS, QUERY_BLOCK, CANDIDATE_BLOCK, STEP = 32, 512, 4096, 64
+PIVOTS, QUERY_BLOCK, CANDIDATE_BLOCK, STEP = 32, 8192, 16_384, 64
+#: Squared length of integer vectors from which on a score need not fit a long.
+LONGEST = float(2**62)
 
 
 def integers(rows: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
     """vec_id, vec: floor(256 * x) of each component, of the vectors that take part."""
-    return rows.where(finite(embedding) & F.col(vec_id).isNotNull()).select(F.col(vec_id).cast("long").alias("vec_id"), F.transform(embedding, lambda x: F.floor(x.cast("double") * 256).cast("long")).alias("vec"))
+    floors = F.transform(embedding, lambda x: F.floor(F.least(F.greatest(x.cast("double") * 256, F.lit(-4e18)), F.lit(4e18))).cast("double"))
+    short = F.aggregate(floors, F.lit(0.0), lambda s, x: s + x * x) < LONGEST
+    return rows.where(finite(embedding) & F.col(vec_id).isNotNull() & short).select(F.col(vec_id).cast("long").alias("vec_id"), F.transform(floors, lambda x: x.cast("long")).alias("vec"))
 
 
 def choose_pivots(candidates: DataFrame, n: int) -> list[list[int]]:
@@ -47,20 +56,53 @@ def choose_pivots(candidates: DataFrame, n: int) -> list[list[int]]:
     return [sample[i] for i in picked]
 
 
-def pivot_table(candidates: DataFrame, pivots: list[list[int]], top: float) -> DataFrame:
-    """candidates(vec, ids) with to_pivots: distances, in the space with one more coordinate, to the pivots (as points of that space)."""
-    width = max(map(len, pivots))
-    p = np.array([v + [0] * (width - len(v)) for v in pivots], float)
-    lift_p = np.sqrt(np.maximum(0, top - (p * p).sum(axis=1)))
+def pivot_table(candidates: DataFrame, pivots: list[list[int]], top: float, pairs: bool = False) -> DataFrame:
+    """candidates(vec, ids) with to_pivots: distances, in the space with one more coordinate, to the pivots (as points of that space); and the
+    cell: the nearest pivot, or with `pairs` the two nearest."""
+    p, lift_p = _points(pivots, top)
 
     def run(batches):
         for batch in batches:
             if batch.num_rows:
                 x = matrix(batch.column(0))
                 d = _distances(x, np.sqrt(np.maximum(0, top - (x * x).sum(axis=1))), p, lift_p)
-                yield pa.RecordBatch.from_arrays([*batch.columns, pa.FixedSizeListArray.from_arrays(pa.array(d.ravel()), len(p)).cast(pa.list_(pa.float64()))], ["vec", "ids", "to_pivots"])
+                order = np.argsort(d, axis=1, kind="stable")
+                cell = order[:, 0] * len(p) + order[:, 1] if pairs and len(p) > 1 else order[:, 0]
+                yield pa.RecordBatch.from_arrays([*batch.columns, pa.FixedSizeListArray.from_arrays(pa.array(d.ravel()), len(p)).cast(pa.list_(pa.float64())), pa.array(cell.astype(np.int32))], ["vec", "ids", "to_pivots", "cell"])
+
+    return candidates.select("vec", "ids").mapInArrow(run, "vec array<long>, ids array<long>, to_pivots array<double>, cell int")
+
+
+def _points(pivots: list[list[int]], top: float) -> tuple[np.ndarray, np.ndarray]:
+    """The pivots and their further coordinate."""
+    width = max(map(len, pivots), default=0)
+    p = np.array([v + [0] * (width - len(v)) for v in pivots], float).reshape(len(pivots), width)
+    return p, np.sqrt(np.maximum(0, top - (p * p).sum(axis=1)))
+
+
+def _upper(gap: np.ndarray, norm: np.ndarray | float, top: float) -> np.ndarray:
+    """No score is larger, given the distance that is certain; rounding of the distances never hides a candidate."""
+    return (norm + top - gap * gap) / 2 + 1e-9 * (norm + top) + 0.5
+
 
-    return candidates.select("vec", "ids").mapInArrow(run, "vec array<long>, ids array<long>, to_pivots array<double>")
+def _ranked_cells(queries: DataFrame, pivots: list[list[int]], top: float, cells: list[tuple]) -> DataFrame:
+    """queries(query_id, vec) with the cells in order of their bounds, best first, and these bounds. cells: (cell, least distances, largest distances), of a bounded number."""
+    p, lift_p = _points(pivots, top)
+    names = np.array([c[0] for c in cells], np.int32)
+    low, high = (np.array([c[k] for c in cells], float) for k in (1, 2))
+
+    def run(batches):
+        for batch in batches:
+            if batch.num_rows:
+                q = matrix(batch.column(1))
+                near = _distances(q, np.zeros(len(q)), p, lift_p)
+                gap = np.stack([np.maximum(0, np.maximum(low - row, row - high)).max(axis=1) for row in near])
+                bound = _upper(gap, (q * q).sum(axis=1)[:, None], top)
+                order = np.argsort(-bound, axis=1, kind="stable")
+                lists = [pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), len(names)).cast(pa.list_(kind)) for x, kind in ((names[order], pa.int32()), (np.take_along_axis(bound, order, 1), pa.float64()))]
+                yield pa.RecordBatch.from_arrays([*batch.columns, *lists], ["query_id", "vec", "cells", "bounds"])
+
+    return queries.select("query_id", "vec").mapInArrow(run, "query_id long, vec array<long>, cells array<int>, bounds array<double>")
 
 
 def _same_width(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -74,9 +116,8 @@ def _distances(x: np.ndarray, lift: np.ndarray, p: np.ndarray, lift_p: np.ndarra
 
 
 def search_block(k: int, pivots: list[list[int]], top: float) -> Callable[[pa.Table, pa.Table], pa.Table]:
-    width = max(map(len, pivots), default=0)
-    p = np.array([v + [0] * (width - len(v)) for v in pivots], float).reshape(len(pivots), width)
-    lift_p = np.sqrt(np.maximum(0, top - (p * p).sum(axis=1)))
+    """Queries (query_id, vec, least: the score that they have already, or null) and candidates of one task -> each query's k best among them that reach it."""
+    p, lift_p = _points(pivots, top)
 
     def of(queries: pa.Table, candidates: pa.Table) -> pa.Table:
         out: list[tuple[int, int, int]] = []
@@ -88,24 +129,27 @@ def search_block(k: int, pivots: list[list[int]], top: float) -> Callable[[pa.Ta
             to_pivots = matrix(candidates.column("to_pivots"))
             near = _distances(q.astype(float), np.zeros(len(q)), p, lift_p)
             ids = candidates.column("ids").to_pylist()
-            for i, own in enumerate(queries.column("query_id").to_pylist()):
+            for i, (own, least) in enumerate(zip(queries.column("query_id").to_pylist(), queries.column("least").to_pylist(), strict=True)):
                 gap = np.abs(to_pivots - near[i]).max(axis=1)
-                norm = float((q[i].astype(float) ** 2).sum())
-                bound = (norm + top - gap * gap) / 2
-                bound += 1e-9 * (norm + top) + 0.5  # rounding of the distances never hides a candidate
+                bound = _upper(gap, float((q[i].astype(float) ** 2).sum()), top)
                 order = np.argsort(-bound, kind="stable")
                 qi = q[i].astype(object) if big else q[i].astype(float)
                 best: list[tuple[int, int]] = []
-                for a in range(0, len(order), STEP):
-                    if len(best) >= k and best[k - 1][0] < -bound[order[a]]:
+                a, step = 0, STEP
+                while a < len(order):
+                    if least is not None and bound[order[a]] < least:
                         break
-                    some = order[a : a + STEP]
+                    some = order[a : a + step]
+                    a, step = a + step, min(2 * step, 2048)
                     seen += len(some)
-                    least = best[k - 1][0] if len(best) >= k else None
-                    for s, c in zip((xf[some] @ qi).tolist(), some.tolist(), strict=True):
-                        if least is None or -s <= least:
-                            best += [(-int(s), v) for v in ids[c] if v != own]
-                    best = sorted(best)[:k]
+                    scores = xf[some] @ qi
+                    if least is not None:
+                        good = np.flatnonzero(scores >= least)
+                        scores, some = scores[good], some[good]
+                    best += [(-int(s), v) for s, c in zip(scores.tolist(), some.tolist(), strict=True) for v in ids[c] if v != own]
+                    best = _first_of_each(sorted(best), k)
+                    if len(best) == k:
+                        least = -best[-1][0] if least is None else max(least, -best[-1][0])
                 out += [(own, v, -s) for s, v in best]
         cols = list(zip(*out, strict=True)) if out else [(), (), ()]
         return pa.table({"query_id": pa.array(cols[0], pa.int64()), "vec_id": pa.array(cols[1], pa.int64()), "score": pa.array(cols[2], pa.int64()), "evaluated": pa.array([seen] * len(cols[0]), pa.int64())})
@@ -113,8 +157,19 @@ def search_block(k: int, pivots: list[list[int]], top: float) -> Callable[[pa.Ta
     return of
 
 
+def _first_of_each(best: list[tuple[int, int]], k: int) -> list[tuple[int, int]]:
+    """The k best of different ids."""
+    kept: dict[int, int] = {}
+    for s, v in best:
+        if v not in kept:
+            kept[v] = s
+            if len(kept) == k:
+                break
+    return [(s, v) for v, s in kept.items()]
+
+
 def top_k(rows: DataFrame, is_query: Column, k: int, pivots: int = PIVOTS, query_block: int = QUERY_BLOCK, candidate_block: int = CANDIDATE_BLOCK) -> DataFrame:
-    """rows(vec_id, vec of integers) -> query_id, rank, vec_id, score, evaluated (of the block that found it)."""
+    """rows(vec_id, vec of integers) -> query_id, rank, vec_id, score, evaluated (by the task that found it, over its queries)."""
     queries = written(rows.where(is_query).select(F.col("vec_id").alias("query_id"), "vec").distinct())
     distinct = written(smallest_ids(rows, k))
     facts = distinct.agg(F.count(F.lit(1)).alias("n"), F.max(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double"))).alias("top")).first()
@@ -123,13 +178,30 @@ def top_k(rows: DataFrame, is_query: Column, k: int, pivots: int = PIVOTS, query
     if not chosen:
         empty = rows.sparkSession.createDataFrame([], schema)
         return empty.select("query_id", F.lit(1).alias("rank"), "vec_id", "score", "evaluated")
-    n_queries = queries.count()
-    query_blocks, blocks = max(1, -(-n_queries // query_block)), max(1, -(-facts["n"] // candidate_block))
-    stored = pivot_table(distinct, chosen, float(facts["top"]))
-    q = queries.withColumn("qb", F.pmod(F.xxhash64("query_id"), F.lit(query_blocks))).withColumn("cb", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<long>")))
-    c = stored.withColumn("cb", F.pmod(F.xxhash64("vec"), F.lit(blocks))).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1)).cast("array<long>")))
-    found = q.groupBy("qb", "cb").cogroup(c.groupBy("qb", "cb")).applyInArrow(search_block(k, chosen, float(facts["top"])), schema)
+    top = float(facts["top"])
+    stored = written(pivot_table(distinct, chosen, top, facts["n"] > len(chosen) * candidate_block))
+    ends = [f(F.element_at("to_pivots", i + 1)).alias(f"{name}{i}") for i in range(len(chosen)) for name, f in (("low", F.min), ("high", F.max))]
+    cells = stored.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), *ends).collect()  # at most the square of the pivots' number
+    parts = {r["cell"]: -(-r["n"] // candidate_block) for r in cells}
+    n_parts = F.element_at(F.create_map(*[F.lit(int(x)) for kv in parts.items() for x in kv]), F.col("cell"))
+    ranked = written(_ranked_cells(queries, chosen, top, [(r["cell"], [r[f"low{i}"] for i in range(len(chosen))], [r[f"high{i}"] for i in range(len(chosen))]) for r in cells]))
+    candidates = stored.withColumn("part", F.pmod(F.xxhash64("vec"), n_parts).cast("int"))
+
+    def searched(wanted: DataFrame) -> DataFrame:
+        """wanted(query_id, vec, least, cell): every query against all rows of its cell. Cells that many queries want hold their rows once for each block of queries."""
+        many = wanted.groupBy("cell").agg(F.ceil(F.count(F.lit(1)) / F.lit(query_block)).cast("int").alias("blocks")).where(F.col("blocks") > 1).collect()
+        blocks = F.coalesce(F.try_element_at(F.create_map(*[F.lit(int(r[c])) for r in many for c in ("cell", "blocks")]), F.col("cell")), F.lit(1)) if many else F.lit(1)
+        q = wanted.withColumn("part", F.explode(F.sequence(F.lit(0), n_parts.cast("int") - 1))).withColumn("block", F.pmod(F.xxhash64("query_id"), blocks).cast("int"))
+        c = candidates.withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1)))
+        return q.groupBy("cell", "part", "block").cogroup(c.groupBy("cell", "part", "block")).applyInArrow(search_block(k, chosen, top), schema)
+
+    best = lambda found: found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"), F.max("evaluated").alias("evaluated"))
+    home = written(searched(ranked.select("query_id", "vec", F.lit(None).cast("long").alias("least"), F.element_at("cells", 1).alias("cell"))))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    least = best(home).withColumn("rank", rank).where(F.col("rank") == k).select(F.col("query_id").alias("of"), F.col("score").alias("least"))
+    rest = ranked.join(least, F.col("query_id") == F.col("of"), "left").select("query_id", "vec", "least", F.posexplode(F.arrays_zip("cells", "bounds")).alias("place", "at"))
+    rest = rest.where((F.col("place") > 0) & (F.col("least").isNull() | (F.col("at.bounds") >= F.col("least")))).select("query_id", "vec", "least", F.col("at.cells").alias("cell"))
+    found = best(home.unionByName(searched(rest)))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", "evaluated")
 
 

@@ -5,7 +5,7 @@ number of different lengths. Suffix sums over the histogram then answer, for eve
 length: how many documents are at least as long, all tokens, and the tokens left if each document is cut at L. Sums run inside
 blocks of lengths and over the blocks, so that no task needs the whole histogram.
 
-Null and empty texts have length 0 and are counted there. Repeated rows count as often as they appear. An empty table gives an
+Null and empty texts have length 0 and are counted there; a text of any length is encoded whole, one at a time. Repeated rows count as often as they appear. An empty table gives an
 empty result. Other columns are not read.
 """
 
@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_map, table
+from .common import arrow_map, table, written
 from .tokens import encoder
 
 BLOCK = 1024
@@ -69,4 +69,5 @@ def at_limits(hist: DataFrame, limits: list[int]) -> DataFrame:
 
 
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return totals(histogram(table(spark, sf_dir, "documents")))
+    # stored, as the sums read it twice: every text is encoded once
+    return totals(written(histogram(table(spark, sf_dir, "documents"))))
