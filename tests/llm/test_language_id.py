@@ -42,6 +42,60 @@ def test_forward_backward_is_exact():
     assert np.allclose(got, want) and np.allclose(pairs, want_pairs)
 
 
+def test_blocks_give_the_same_probabilities():
+    rng = np.random.default_rng(2)
+    for trial in range(30):
+        sizes, k = rng.integers(0, 40, rng.integers(1, 8)), int(rng.integers(1, 5))
+        first = np.concatenate(([0], np.cumsum(sizes)))
+        scores, trans, start = 3 * rng.normal(size=(first[-1], k)), rng.normal(size=(k, k)), rng.normal(size=k)
+        assert np.allclose(L.probabilities(scores, first, trans, start, 4), L.forward_backward(scores, first, trans, start)), trial
+
+
+def test_gradient_by_finite_differences():
+    rng = np.random.default_rng(3)
+    bounds, k = np.array([0, 4, 5, 9]), 3
+    y = rng.integers(0, k, 9)
+    scores, trans, start = rng.normal(size=(9, k)), rng.normal(size=(k, k)), rng.normal(size=k)
+
+    def likelihood():
+        total = 0.0
+        for a, b in itertools.pairwise(bounds.tolist()):
+            of = lambda p: start[p[0]] + sum(scores[a + t, p[t]] for t in range(b - a)) + sum(trans[p[t], p[t + 1]] for t in range(b - a - 1))  # noqa: B023, E731
+            total += of(y[a:b]) - np.log(sum(np.exp(of(p)) for p in itertools.product(range(k), repeat=b - a)))
+        return total
+
+    for x, grad in zip((scores, trans, start), L.gradient(scores, y, bounds, trans, start), strict=True):
+        for at in np.ndindex(x.shape):
+            held = x[at]
+            x[at] = held + 1e-5
+            up = likelihood()
+            x[at] = held - 1e-5
+            assert abs((up - likelihood()) / 2e-5 - grad[at]) < 1e-5
+            x[at] = held
+
+
+def test_letters_and_characters():
+    assert [L._has_letter(t) for t in ("²½ Ⅷ ① 12 _", "ª", "文", "", "é")] == [False, True, True, False, True]
+    raw = np.frombuffer("aé文 😀b".encode(), np.uint8)
+    points, sizes = L.characters(raw, np.array([0, 7]), np.array([6, 12]))
+    assert [chr(p) for p in points] == ["a", "é", "文", "😀", "b"] and sizes.tolist() == [3, 2]
+
+
+def test_words_of_mixed_texts_and_long_training_texts(spark):
+    rng = random.Random(4)
+    rows = [(i, text(rng, lang, 9000), lang, "s") for i, lang in enumerate(["aa", "bb", "cc"] * 4)]
+    assert all(len(r[1]) > L.LONGEST for r in rows)
+    field = L.train(docs(spark, rows))
+    assert field.labels == ["aa", "bb", "cc"]
+    again = L.train(docs(spark, rows).repartition(5))
+    assert (field.weights == again.weights).all()
+    mixed = f"{text(rng, 'aa', 15)}  {text(rng, 'bb', 15)}"
+    got = {r["doc_id"]: r["words"] for r in L.label_words(docs(spark, [(1, mixed, None, None), (2, None, None, None), (3, "", None, None)], extra=True), field).collect()}
+    assert [w["word"] for w in got[1]] == mixed.split() and got[2] == got[3] == []
+    assert sum(w["lang"] == "aa" for w in got[1][:15]) > 12 and sum(w["lang"] == "bb" for w in got[1][15:]) > 12 and all(0 < w["probability"] <= 1 for w in got[1])
+    assert L.label_words(docs(spark, [(1, mixed, None, None)]), None).first()["words"] == []
+
+
 def test_features_are_those_of_the_word_alone():
     def of(t):
         _, _, data, bounds = next(chunks(pa.array([t])))

@@ -72,6 +72,57 @@ def test_bounds_hold_and_packings_are_packings():
     assert P.lower_bound(np.zeros(0, int), 10) == 0
 
 
+def _optimum(lengths, cap):
+    """Fewest bins, by trying every place of every item."""
+    best = len(lengths)
+
+    def place(i, bins):
+        nonlocal best
+        if len(bins) >= best:
+            return
+        if i == len(lengths):
+            best = len(bins)
+            return
+        for k in range(len(bins)):
+            if bins[k] + lengths[i] <= cap and bins[k] not in bins[:k]:
+                bins[k] += lengths[i]
+                place(i + 1, bins)
+                bins[k] -= lengths[i]
+        place(i + 1, [*bins, lengths[i]])
+
+    place(0, [])
+    return best
+
+
+def test_bounds_and_certificates_against_the_optimum():
+    rng = np.random.default_rng(6)
+    certified = 0
+    for _ in range(300):
+        cap = int(rng.integers(6, 25))
+        lengths = np.sort(rng.integers(1, cap, rng.integers(1, 9)))[::-1]
+        best = _optimum(lengths.tolist(), cap)
+        made, bound = P.best_fit_decreasing(lengths, cap).max() + 1, P.lower_bound(lengths, cap)
+        assert bound <= best <= made
+        certified += made == bound
+    assert certified > 200
+
+
+def test_exchange_ends_by_the_certificate(spark):
+    """Groups of 20 pieces: exchange brings the whole near its bound, and certified groups keep their bins."""
+    rng = np.random.default_rng(8)
+    rows = [(i, i, 0, 0, int(n), 0) for i, n in enumerate(rng.integers(1, 100, 600))] + [(1000 + i, i, 0, 0, 100, 0) for i in range(5)]
+    cuts = P.written(spark.createDataFrame(rows, P.PIECE))
+    once, done = (P.assign(cuts, 100, 20, rounds) for rounds in (1, 8))
+    first, last = P.certificate(once, 100), P.certificate(done, 100)
+    assert last["bound"] == first["bound"] <= last["sequences"] < first["sequences"] and last["gap"] == last["sequences"] - last["bound"]
+    assert done.count() == 605 and done.groupBy("sequence_id").agg({"length": "sum"}).agg({"sum(length)": "max"}).first()[0] <= 100
+    listed = P.certificates(once).collect()
+    assert sum(r["bins"] for r in listed) == first["sequences"] - 5 and all(r["gap"] >= 0 for r in listed)
+    # bins that met their bound at once aren't packed again, but for the emptiest
+    kept = {r["grp"] for r in listed if not r["gap"]} & {r["grp"] for r in done.select("grp").distinct().collect()}
+    assert kept
+
+
 def test_cut():
     assert P.cut(1) == [(0, 1)] and P.cut(2048) == [(0, 2048)]
     assert P.cut(2049) == [(0, 1), (1, 2048)] and P.cut(4096) == [(0, 2048), (2048, 2048)]
@@ -107,3 +158,11 @@ def test_sequences_hold_the_ids(spark, reference):
     got = [x for r in P.sequences(df, plan, 64).collect() for x in r["ids"]]
     want = [x for _, t in rows for x in [*reference(t), 0]]
     assert sorted(got) == sorted(want)
+
+
+def test_sequences_of_repeated_ids(spark, reference):
+    rows = [(1, "one text " * 9), (1, "one text " * 9), (1, "another"), (None, "third text"), (None, None)]
+    df = docs(spark, rows)
+    plan = P.pack(df, 16)
+    got = [x for r in P.sequences(df, plan, 16).collect() for x in r["ids"]]
+    assert sorted(got) == sorted(x for _, t in rows for x in [*reference(t or ""), 0])

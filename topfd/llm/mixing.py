@@ -60,10 +60,13 @@ def targets(sources: DataFrame, max_epochs: float = 3.0, weights: tuple[float, .
 
 def mix(docs: DataFrame, max_epochs: float = 3.0, weights: tuple[float, ...] = WEIGHTS, seed: int = 20, carry: tuple[str, ...] = ()) -> DataFrame:
     """docs(doc_id, text, source) -> doc_id, source, size, source_size, weight, target, taken: how many of its words the mix takes, repeats counted.
-    carried: a struct of the columns of `carry`."""
-    sized = docs.select(
-        "doc_id", "source", word_count(F.col("text")).alias("size"), bucket(F.col("doc_id"), seed).alias("bucket"), F.struct(F.lit(0).alias("__none"), *[F.col(c) for c in carry]).alias("carried")
-    )
+    carried: a struct of the columns of `carry` by place (c0, c1, ...), so that no name can clash."""
+    facts = ("doc_id", "source", word_count(F.col("text")).alias("size"), bucket(F.col("doc_id"), seed).alias("bucket"))
+    if carry:
+        sized = docs.select(*facts, F.struct(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(carry)]).alias("carried"))
+    else:
+        # narrow rows, stored once: no text is read or counted twice
+        sized = written(docs.select(*facts)).withColumn("carried", F.lit(None).cast("int"))
     per_bucket = written(sized.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size"), F.count(F.lit(1)).alias("n")))
     goal = targets(per_bucket.groupBy("source").agg(F.sum("bucket_size").alias("source_size")), max_epochs, weights)
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0))
@@ -93,13 +96,14 @@ def mix(docs: DataFrame, max_epochs: float = 3.0, weights: tuple[float, ...] = W
 def sample(docs: DataFrame, max_epochs: float = 3.0, weights: tuple[float, ...] = WEIGHTS, seed: int = 20) -> DataFrame:
     """The mix itself, with the columns of docs: each document as often as it is taken whole, and once more with its first words where a part is taken."""
     names = docs.columns
+    at = names.index("text")
     mixed = mix(docs, max_epochs, weights, seed, tuple(names)).where(F.col("taken") > 0)
     times = F.explode(F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("size")).cast("int"))).alias("time")
     rows = mixed.select("size", "taken", "carried", times)
     left = F.col("taken") - (F.col("time") - 1) * F.col("size")
-    all_words = F.filter(F.split(F.col("carried.text"), r"[\x20\x09-\x0D]+"), lambda w: w != "")
-    text = F.when(left >= F.col("size"), F.col("carried.text")).otherwise(F.array_join(F.slice(all_words, 1, left.cast("int")), " "))
-    return rows.select(*[text.alias(c) if c == "text" else F.col(f"carried.`{c}`").alias(c) for c in names])
+    all_words = F.filter(F.split(F.col(f"carried.c{at}"), r"[\x20\x09-\x0D]+"), lambda w: w != "")
+    text = F.when(left >= F.col("size"), F.col(f"carried.c{at}")).otherwise(F.array_join(F.slice(all_words, 1, left.cast("int")), " "))
+    return rows.select(*[text.alias(c) if i == at else F.col(f"carried.c{i}").alias(c) for i, c in enumerate(names)])
 
 
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

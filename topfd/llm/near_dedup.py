@@ -6,10 +6,10 @@
   document leaves as soon as every slot is filled, as later steps can't lower a slot.
 * Banding: a bucket is a band's hash. Every class is paired with its bucket's least class, pairs whose sizes already rule
   them out are dropped, and the rest are verified on full sets.
-* Buckets whose classes are still in different components and that hold other pairs are searched in blocks of bounded size: signatures are
-  compared in bulk, and pairs across components that may reach the threshold are confirmed on their full sets on the spot. So no link
-  depends on who leads a bucket, and no group's pairs are emitted. A pair at the threshold is missed by all bands with a probability
-  of 1e-5, by the estimate with one of 4e-6.
+* Buckets whose classes are still in different components are searched further: what is outside a bucket's largest component meets all of it, in blocks of
+  bounded size. Signatures are compared in bulk, and pairs across components that may reach the threshold are confirmed on their full sets on the
+  spot. So no link depends on who leads a bucket, and no group's pairs are emitted. A pair at the threshold is missed by all bands with a
+  probability of MISS, and by the estimate with one of ESTIMATE_MISS; the latter's margin is derived from slots and threshold.
 
 Null and empty texts have an empty set and link with nothing. Texts of fewer words than a shingle have their whole sequence as one
 element. Rows that share a doc_id are judged each by its own text. A null doc_id counts as the largest; its component is null if
@@ -18,6 +18,7 @@ no row of its group has an id. An empty table gives an empty result. Only doc_id
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,15 +30,29 @@ from .common import arrow_map, table, written
 from .graph import components
 from .words import chunks, mix, words
 
-def banding(percent: int, miss: float = 1e-5) -> tuple[int, int]:
+#: Probabilities that a pair at the threshold shares no band, and that its signatures agree in fewer slots than are asked for in the second search.
+MISS, ESTIMATE_MISS = 1e-5, 1e-6
+
+
+def banding(percent: int, miss: float = MISS) -> tuple[int, int]:
     """(bands, rows) that miss a pair at the threshold with at most about this probability."""
     rows = 5 if percent >= 85 else 4
     return int(np.ceil(np.log(miss) / np.log(1 - (percent / 100) ** rows))), rows
 
 
-#: Signatures whose agreement lies further below the threshold are not compared in full in the second search: 4.5 standard deviations at 0.85.
-LEAST_ESTIMATE_MARGIN = 0.16
-BLOCK = 512
+def least_agreement(percent: int, slots: int, miss: float = ESTIMATE_MISS) -> int:
+    """The most slots that may be asked for if a pair at the threshold is to fall below with at most this probability. Slots count as independent draws, which
+    SuperMinHash's are better than."""
+    t, below = percent / 100, 0.0
+    for k in range(slots + 1):
+        below += math.comb(slots, k) * t**k * (1 - t) ** (slots - k)
+        if below > miss:
+            return k
+    return slots
+
+
+#: Documents of a block, and elements of their sets.
+BLOCK, BLOCK_ELEMENTS = 512, 4_000_000
 _LAST = np.iinfo(np.int64).max
 _UNSET = np.uint64(2**64 - 1)
 _STEP_BITS = np.uint64(56)
@@ -194,9 +209,10 @@ def _sizes_allow(a: Column, b: Column, percent: int) -> Column:
 
 
 def _block_links(percent: int):
-    """Links between the components of a bucket's rows: candidates by estimate, confirmed on the full sets, best estimates first. Two components that
-    a link has joined are not compared again, so what a block returns is a forest, at most one row for each of its documents."""
-    margin, (n_bands, per_band) = percent / 100 - LEAST_ESTIMATE_MARGIN, banding(percent)
+    """Links between the left rows of a block (side 0) and its right ones (side 1) in other components: candidates by estimate, confirmed on the full sets, best estimates first.
+    Two components that a link has joined are not compared again, so what a block returns is a forest, at most one row for each of its documents."""
+    n_bands, per_band = banding(percent)
+    least = least_agreement(percent, n_bands * per_band)
 
     def of(rows: pa.Table) -> pa.Table:
         node, comp, n, side = (rows.column(c).to_numpy() for c in ("node", "component", "n_shingles", "side"))
@@ -205,17 +221,15 @@ def _block_links(percent: int):
         sig = signatures(h, first, n_bands * per_band)
         bands, band = band_hashes(sig, n_bands), rows.column("band")[0].as_py()
         part = np.unique(comp, return_inverse=True)[1]
-        right = np.flatnonzero(side >= 0)
+        right = np.flatnonzero(side == 1)
         out: list[tuple[int, int]] = []
-        for i in np.flatnonzero(side <= 0).tolist():
+        for i in np.flatnonzero(side == 0).tolist():
             j = right[part[right] != part[i]]
             j = j[np.minimum(n[j], n[i]) * 100 >= np.maximum(n[j], n[i]) * percent]
-            if side[i] == 0:
-                j = j[j > i]
             if not len(j):
                 continue
-            alike = (sig[j] == sig[i]).mean(axis=1)
-            j, alike = j[alike >= margin], alike[alike >= margin]
+            alike = (sig[j] == sig[i]).sum(axis=1)
+            j, alike = j[alike >= least], alike[alike >= least]
             # buckets of other bands hold the pair too; the first of them looks at it
             mine = (bands[j] == bands[i]).argmax(axis=1) == band if len(j) else np.zeros(0, bool)
             j = j[mine][np.argsort(-alike[mine], kind="stable")]
@@ -255,9 +269,37 @@ def _sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
     return arrow_map(texts, ["node", "text"], "node long, elements binary", make).dropDuplicates(["node"])
 
 
+def _one_name_a_set(known: DataFrame) -> DataFrame:
+    """facts() in which `node` alone names a set: where two sets of different second halves share a first half, both get a name of all 128 bits."""
+    classes = known.where(F.col("n_shingles") > 0).groupBy("node").agg(F.min("node2").alias("low"), F.max("node2").alias("high"))
+    shared = classes.where(F.col("low") != F.col("high")).select("node")
+    if not shared.limit(1).count():
+        return known
+    again = known.join(shared.withColumn("clash", F.lit(True)), "node", "left")
+    node = F.when(F.col("clash"), F.xxhash64("node", "node2", F.lit(7))).otherwise(F.col("node"))
+    return written(again.withColumn("node", node).select(known.columns))
+
+
+def _met(rest: DataFrame, sets: DataFrame) -> DataFrame:
+    """rest(bucket, band, node, n_shingles, component, main) -> blocks: every row outside its bucket's main component (side 0) with every row of the bucket (side 1), their sets included."""
+    outside = F.col("component") != F.col("main")
+    count = lambda x, to: F.greatest(F.lit(1), F.ceil(F.sum(x) / F.lit(to))).cast("int")
+    sizes = rest.groupBy("bucket").agg(
+        F.greatest(count(outside.cast("int"), BLOCK), count(F.when(outside, F.col("n_shingles")).otherwise(0), BLOCK_ELEMENTS)).alias("lefts"),
+        F.greatest(count(F.lit(1), BLOCK), count(F.col("n_shingles"), BLOCK_ELEMENTS)).alias("rights"),
+    )
+    placed = rest.join(written(sizes), "bucket").join(sets, "node")
+    kept = ["bucket", "band", "node", "n_shingles", "component", "elements"]
+    own = lambda name: F.pmod(F.xxhash64("node"), F.col(name)).cast("int")
+    every = lambda name: F.explode(F.sequence(F.lit(0), F.col(name) - 1))
+    left = placed.where(outside).select(*kept, F.lit(0).alias("side"), own("lefts").alias("b0"), every("rights").alias("b1"))
+    right = placed.select(*kept, F.lit(1).alias("side"), own("rights").alias("b1"), every("lefts").alias("b0"))
+    return left.unionByName(right)
+
+
 def _named(docs: DataFrame, width: int, percent: int) -> DataFrame:
     """facts() with the group of each row; null for an empty set, which is in no group."""
-    known = written(facts(docs, width, percent))
+    known = _one_name_a_set(written(facts(docs, width, percent)))
     reps = written(known.where(F.col("n_shingles") > 0).groupBy("node").agg(F.min("did").alias("did"), F.min("n_shingles").alias("n_shingles")))
     banded = known.where(F.col("n_shingles") > 0).dropDuplicates(["node"]).select("node", "n_shingles", F.posexplode("bands").alias("band", "bucket"))
     sizes = banded.groupBy("bucket").agg(F.min(F.struct("node", "n_shingles")).alias("lead"), F.count(F.lit(1)).alias("held")).where(F.col("held") > 1)
@@ -267,18 +309,12 @@ def _named(docs: DataFrame, width: int, percent: int) -> DataFrame:
     links = written(_linked(stars, docs, reps, width, percent))
     parts = components(links)
     open_members = members.where(F.col("held") > 2).join(parts, "node", "left").withColumn("component", F.coalesce("root", "node"))
-    mixed = open_members.groupBy("bucket").agg(F.min("component").alias("c0"), F.max("component").alias("c1"), F.count(F.lit(1)).alias("n_open")).where(F.col("c0") != F.col("c1"))
-    rest = written(open_members.join(mixed, "bucket").select("bucket", "band", "node", "n_shingles", "component", "n_open"))
+    shares = open_members.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n"))
+    mixed = shares.groupBy("bucket").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.count(F.lit(1)).alias("n_parts")).where(F.col("n_parts") > 1)
+    rest = written(open_members.join(mixed, "bucket").select("bucket", "band", "node", "n_shingles", "component", "main"))
     if rest.limit(1).count():
         sets = _sets(docs, reps.join(rest.select("node").distinct(), "node"), width)
-        blocks = F.ceil(F.col("n_open") / BLOCK).cast("int")
-        placed = rest.join(sets, "node").withColumn("block", F.pmod(F.xxhash64("node"), blocks).cast("int"))
-        # a block meets itself (side 0) and every other block once: the lower number is the left side
-        meet = placed.select("*", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other")).select(
-            "bucket", "band", "node", "n_shingles", "component", "elements",
-            F.least("block", "other").alias("b0"), F.greatest("block", "other").alias("b1"), F.signum(F.col("block") - F.col("other")).cast("int").alias("side"),
-        )
-        more = written(meet.groupBy("bucket", "b0", "b1").applyInArrow(_block_links(percent), "a long, b long"))
+        more = written(_met(rest, sets).groupBy("bucket", "b0", "b1").applyInArrow(_block_links(percent), "a long, b long"))
         if more.limit(1).count():
             parts = components(links.unionByName(more))
     return known.join(parts, "node", "left").withColumn("group", F.when(F.col("n_shingles") > 0, F.coalesce("root", "node")))
@@ -287,7 +323,9 @@ def _named(docs: DataFrame, width: int, percent: int) -> DataFrame:
 def groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_shingles, component_id, kept."""
     named = _named(docs, width, percent)
-    least = named.where(F.col("group").isNotNull()).groupBy("group").agg(F.min("did").alias("least"))
+    # stored, and only of groups with more than one id: so the join has two plain shuffles, which adaptive execution can split at a hot group
+    least = named.where(F.col("group").isNotNull()).groupBy("group").agg(F.min("did").alias("least"), F.max("did").alias("most"))
+    least = written(least.where(F.col("least") < F.col("most")).select("group", "least"))
     out = named.join(least, "group", "left").withColumn("component", F.coalesce("least", "did"))
     real = lambda c: F.when(F.col(c) < F.lit(int(_LAST)), F.col(c))
     return out.select(real("did").alias("doc_id"), "n_shingles", real("component").alias("component_id"), (F.col("did") == F.col("component")).alias("kept"))
@@ -299,14 +337,17 @@ def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     row = F.struct("did", "text_1", "text_2")
     named = _named(docs, width, percent).select("group", row.alias("row"))
     grouped = F.col("group").isNotNull()
-    first = named.where(grouped).groupBy("group").agg(F.min("row").alias("first"))
-    chosen = named.where(grouped).join(first, "group").where(F.col("row") == F.col("first")).unionByName(named.where(~grouped), allowMissingColumns=True)
-    chosen = written(chosen.select(*[F.col(f"row.{k}").alias(f"_kept_{k}") for k in ("did", "text_1", "text_2")]))
-    keys = chosen.distinct()
+    first = named.where(grouped).groupBy("group").agg(F.min("row").alias("row"))
+    chosen = written(first.select("row").unionByName(named.where(~grouped).select("row")))
     one, two = _text_keys()
-    kept = docs.join(keys, (_did() == F.col("_kept_did")) & (one == F.col("_kept_text_1")) & (two == F.col("_kept_text_2")), "left_semi")
-    again = chosen.groupBy(*chosen.columns).count().where(F.col("count") > 1).limit(1).count()
-    return kept.dropDuplicates(["doc_id", "text"]) if again else kept
+    # the documents' own columns stay in a struct, so that none can clash
+    own = docs.select(F.struct(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns)]).alias("own"), _did().alias("did"), one, two)
+    keys = chosen.select("row.did", "row.text_1", "row.text_2").distinct()
+    kept = own.join(keys, ["did", "text_1", "text_2"], "left_semi")
+    # rows that repeat id and text; told from the narrow facts, so that texts are shuffled only where there are any
+    if named.groupBy("row").count().where(F.col("count") > 1).limit(1).count():
+        kept = kept.dropDuplicates(["did", "text_1", "text_2"])
+    return kept.select(*[F.col(f"own.c{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

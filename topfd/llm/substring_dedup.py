@@ -1,10 +1,10 @@
 """Removal of word passages that stand earlier in the corpus, by level-wise doubling.
 
 Windows of `size` words that repeat can only hold shorter windows that repeat. So windows of a short length are counted first,
-and only what repeats there is extended to twice that length, up to `size`:
+and only what repeats there is extended to twice that length, level by level (5, 10, 20 words), until nothing is left or `size` is reached:
 
 * At a short length, each `size`-window is stood for by the least hash among its short windows. Equal windows share it, so
-  a window whose least short window stands nowhere else can't repeat. That is about one short window in six.
+  a window whose least short window stands nowhere else can't repeat. That is about one short window in eight.
 * Each task first combines what it has read: a hash that it met in two documents is known to repeat without being sent for
   every document. One row a task and hash is shuffled, so a passage that a third of all documents share is as cheap as any other.
 * At the last length all candidate windows get 128-bit hashes, and the least document id of each decides which occurrences are first.
@@ -14,7 +14,8 @@ Documents whose whole word sequence stands in a document with a smaller id are s
 Order: doc_id, null last. Rows that share a doc_id are not earlier than each other, so repeated rows are judged alike. Null texts
 and texts of fewer than `size` words lose nothing. Removing everything leaves an empty text. An empty table gives an empty result.
 Only doc_id and text are read. Hashes have 128 bits where documents meet at the last length, and 48 before (where a collision costs time, not
-correctness); a document finds its own windows again by 64 of them.
+correctness); a document finds its own windows again by 64 of them. A row is named by 64 bits of its id and text, so rows of one id, or of none, keep their
+windows apart. Any size from 1 on will do; sizes that are no double of a shorter one are reached in a shorter step.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from pyspark.sql import functions as F
 from .common import arrow_map, table, written
 from .words import Words, chunks, mix, sums, words
 
-SIZE, SHORTEST = 20, 10
+SIZE, SHORTEST = 20, 5
 _LAST = np.iinfo(np.int64).max
 #: Rows that a task holds before it combines and sends them.
 _HELD = 1_000_000
@@ -39,15 +40,17 @@ _LOW48 = np.uint64(2**48 - 1)
 
 
 def lengths(size: int = SIZE, shortest: int = SHORTEST) -> list[int]:
-    """size, halved as long as it stays even and at least `shortest`, in ascending order."""
+    """size, halved (and rounded up) as long as it is at least `shortest`, in ascending order."""
     out = [size]
-    while out[0] % 2 == 0 and out[0] // 2 >= shortest:
-        out.insert(0, out[0] // 2)
+    while -(-out[0] // 2) >= shortest and out[0] > 1:
+        out.insert(0, -(-out[0] // 2))
     return out
 
 
-def _key(df: DataFrame) -> DataFrame:
-    return df.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))).alias("did"), "text")
+def _key(df: DataFrame, *more: str) -> DataFrame:
+    """did (null: the largest), row (the name of a row), text."""
+    did = F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST)))
+    return df.select(did.alias("did"), F.xxhash64(did, F.col("text")).alias("row"), "text", *more)
 
 
 def _docs_of(w: Words, at: np.ndarray) -> np.ndarray:
@@ -94,11 +97,11 @@ def _sequence_hash(w: Words, base: int) -> np.ndarray:
 
 
 def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """did, n_words, h1, h2 (128 bits of the word sequence), repeats_itself, sha (of the words joined by a space)."""
+    """did, row, n_words, h1, h2 (128 bits of the word sequence), repeats_itself, sha (of the words joined by a space)."""
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            for lo, hi, data, bounds in chunks(batch.column(1)):
+            for lo, hi, data, bounds in chunks(batch.column(2)):
                 w = words(data, bounds)
                 n = np.diff(w.first)
                 seq = [_sequence_hash(w, base) for base in _SEQUENCE]
@@ -110,105 +113,104 @@ def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
                     itself[doc[np.isin(h ^ mix(doc.astype(np.uint64)), again)]] = True
                 raw = data.tobytes()
                 sha = [hashlib.sha256(b" ".join(raw[a:b].split())).digest() for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(n, pa.int64()), pa.array(seq[0]), pa.array(seq[1]), pa.array(itself), pa.array(sha, pa.binary())], ["did", "n_words", "h1", "h2", "repeats_itself", "sha"])
+                keys = [batch.column(k)[lo:hi] for k in (0, 1)]
+                yield pa.RecordBatch.from_arrays([*keys, pa.array(n, pa.int64()), pa.array(seq[0]), pa.array(seq[1]), pa.array(itself), pa.array(sha, pa.binary())], ["did", "row", "n_words", "h1", "h2", "repeats_itself", "sha"])
 
         return each
 
-    return arrow_map(_key(docs), ["did", "text"], "did long, n_words long, h1 long, h2 long, repeats_itself boolean, sha binary", make)
+    return arrow_map(_key(docs), ["did", "row", "text"], "did long, row long, n_words long, h1 long, h2 long, repeats_itself boolean, sha binary", make)
 
 
-def _sent(held: list[tuple[np.ndarray, np.ndarray, np.ndarray]], last: bool) -> Iterator[pa.RecordBatch]:
-    """What a task sends of the (id, hash, second hash) rows it holds: one row a hash that has to meet other tasks' rows (key is the hash), and rows
-    that are settled here (own key). hash is null where it is the key. least: for the first kind the id; known: settled or repeated here."""
+def _sent(held: list[tuple[np.ndarray, ...]], last: bool) -> Iterator[pa.RecordBatch]:
+    """What a task sends of the (row, hash, second hash, id) that it holds: one row a hash that has to meet other tasks' rows (key is the hash), and rows
+    that are settled here (own key). hash is null where it is the key. known: settled or repeated here. Before the last length, the id is the row's name,
+    as it only matters whether a hash stands in two rows; at the last, the least id comes first."""
     if not held:
         return
-    did, h, h2 = (np.concatenate(x) for x in zip(*held, strict=True))
+    row, h, h2, did = (np.concatenate(x) for x in zip(*held, strict=True))
     held.clear()
-    order = np.lexsort((did, h2, h))
-    did, h, h2 = did[order], h[order], h2[order]
+    order = np.lexsort((row, did, h2, h))
+    row, h, h2, did = row[order], h[order], h2[order], did[order]
+    if last and len(h):
+        # repeated rows say the same
+        new = np.concatenate(([True], (h[1:] != h[:-1]) | (h2[1:] != h2[:-1]) | (row[1:] != row[:-1])))
+        row, h, h2, did = row[new], h[new], h2[new], did[new]
     starts = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (h2[1:] != h2[:-1])))) if len(h) else np.zeros(0, np.int64)
     count = np.diff(np.append(starts, len(h)))
+    first = np.repeat(did[starts], count) if len(h) else did
     lead = np.zeros(len(h), bool)
     lead[starts] = True
     if last:
-        rest = ~lead & (did != np.repeat(did[starts], count))
+        # rows of the least id are all sent to meet others; any further id's are known to come later
+        rest = did != first
+        lead = ~rest
         known = rest
     else:
         rest = ~lead
         known = np.repeat(count > 1, count)
     sent = lead | rest
-    key = np.where(rest, mix(h ^ mix(did.astype(np.uint64))), h).view(np.int64)[sent]
+    key = np.where(rest, mix(h ^ mix(row.view(np.uint64))), h).view(np.int64)[sent]
     own = rest[sent]
-    body = [pa.array(key), pa.array(h2.view(np.int64)[sent]), pa.array(h.view(np.int64)[sent], mask=~own), pa.array(did[sent]), pa.array(known[sent])]
+    body = [pa.array(key), pa.array(h2.view(np.int64)[sent]), pa.array(h.view(np.int64)[sent], mask=~own), pa.array(row[sent]), pa.array(known[sent])]
+    names = ["key", "key2", "hash", "row", "known"]
+    if last:
+        body, names = [*body, pa.array(did[sent])], [*names, "did"]
     for a in range(0, len(key), 20_000):
-        yield pa.RecordBatch.from_arrays([c[a : a + 20_000] for c in body], ["key", "key2", "hash", "did", "known"])
-
-
-_SENT = "key long, key2 long, hash long, did long, known boolean"
+        yield pa.RecordBatch.from_arrays([c[a : a + 20_000] for c in body], names)
 
 
-def _first_level(docs: DataFrame, short: int, size: int) -> DataFrame:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, n = [], 0
-        for batch in batches:
-            ids = batch.column(0).to_numpy()
-            for lo, hi, data, bounds in chunks(batch.column(1)):
-                least, doc = _anchors(words(data, bounds), short, size)
-                doc, least = _unique_pairs(doc, least)
-                held.append((ids[lo:hi][doc], least, np.zeros(len(doc), np.uint64)))
-                n += len(doc)
-                if n > _HELD:
-                    yield from _sent(held, False)
-                    n = 0
-        yield from _sent(held, False)
-
-    return _key(docs).mapInArrow(run, _SENT)
+_SENT = "key long, key2 long, hash long, row long, known boolean"
 
 
-def _next_level(docs: DataFrame, alive: DataFrame, short: int, longer: int, size: int) -> DataFrame:
-    """alive: did, hashes of the short windows that repeat. Rows as of _first_level, of the longer windows that hold one; of all of them if that is `size`."""
+def _level(docs: DataFrame, alive: DataFrame | None, short: int, longer: int, size: int) -> DataFrame:
+    """Rows as of _sent, of the windows of `longer` words. alive: row, hashes of the short windows that repeat; only what holds one is extended. None: all, whatever `short`.
+    Below `size`, a window of `size` words is stood for by its least window of `longer` words."""
+    last, filtered = longer == size, alive is not None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, n = [], 0
         for batch in batches:
-            ids, lists = batch.column(0).to_numpy(), batch.column(2)
-            for lo, hi, data, bounds in chunks(batch.column(1)):
+            ids, names = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            for lo, hi, data, bounds in chunks(batch.column(2)):
                 w = words(data, bounds)
-                some = lists[lo:hi]
-                least, doc = _anchors(w, short, size)
-                wanted = mix(np.repeat(np.arange(hi - lo, dtype=np.uint64), np.diff(some.offsets.to_numpy()))) ^ some.flatten().to_numpy().view(np.uint64)
-                hit = np.isin(mix(doc.astype(np.uint64)) ^ least, wanted)
-                values = w.windows(size)[0] if longer == size else _anchors(w, longer, size)[0]
-                second = w.windows(size, _SEQUENCE[0])[0] if longer == size else np.zeros(len(values), np.uint64)
-                doc, values, second = _unique_pairs(doc[hit], values[hit], second[hit])
-                held.append((ids[lo:hi][doc], values, second))
+                if last:
+                    (values, at), (second, _) = w.windows(size), w.windows(size, _SEQUENCE[0])
+                    doc = _docs_of(w, at)
+                else:
+                    values, doc = _anchors(w, longer, size)
+                    second = np.zeros(len(values), np.uint64)
+                if filtered:
+                    some = batch.column(3)[lo:hi]
+                    least, doc = _anchors(w, short, size)
+                    wanted = mix(np.repeat(np.arange(hi - lo, dtype=np.uint64), np.diff(some.offsets.to_numpy()))) ^ some.flatten().to_numpy().view(np.uint64)
+                    hit = np.isin(mix(doc.astype(np.uint64)) ^ least, wanted)
+                    doc, values, second = doc[hit], values[hit], second[hit]
+                doc, values, second = _unique_pairs(doc, values, second)
+                held.append((names[lo:hi][doc], values, second, ids[lo:hi][doc] if last else np.zeros(len(doc), np.int64)))
                 n += len(doc)
                 if n > _HELD:
-                    yield from _sent(held, longer == size)
+                    yield from _sent(held, last)
                     n = 0
-        yield from _sent(held, longer == size)
+        yield from _sent(held, last)
 
-    return _key(docs).join(alive, "did").select("did", "text", "hashes").mapInArrow(run, _SENT)
+    rows = _key(docs) if alive is None else _key(docs).join(alive, "row").select("did", "row", "text", "hashes")
+    return rows.mapInArrow(run, f"{_SENT}, did long" if last else _SENT)
 
 
 def _lists(rows: DataFrame) -> DataFrame:
-    return rows.groupBy("did").agg(F.collect_list(F.coalesce("hash", "key")).alias("hashes"))
+    return rows.groupBy("row").agg(F.collect_set(F.coalesce("hash", "key")).alias("hashes"))
 
 
-def repeated(docs: DataFrame, known: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
-    """did, hashes: of each document, the windows that also stand in a document with a smaller id. known: written facts()."""
+def repeated(docs: DataFrame, leaders: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
+    """row, hashes: of each row, the windows that also stand in a document with a smaller id. leaders(row): those whose whole sequence stands in no earlier document."""
     steps = lengths(size, shortest)
     meet = Window.partitionBy("key", "key2")
-    by_sequence = known.groupBy("h1", "h2", "n_words").agg(F.min("did").alias("first"))
-    leaders = by_sequence.where(F.col("n_words") >= size).select(F.col("first").alias("did")).distinct()
-    rows = _first_level(docs, steps[0], size) if len(steps) > 1 else None
     alive = None
-    for short, longer in zip(steps[:-1], steps[1:], strict=True):
-        n = F.sum(F.when(F.col("known"), 2).otherwise(1)).over(meet)
-        alive = _lists(rows.withColumn("n", n).where(F.col("n") > 1)).join(leaders, "did", "left_semi")
-        rows = _next_level(docs, alive, short, longer, size)
-    if rows is None:
-        raise ValueError("size must be even and at least twice `shortest`")
+    for short, longer in zip([0, *steps[:-1]], steps, strict=True):
+        rows = _level(docs, alive, short, longer, size)
+        if longer < size:
+            n = F.sum(F.when(F.col("known"), 2).otherwise(1)).over(meet)
+            alive = _lists(rows.withColumn("n", n).where(F.col("n") > 1)).join(leaders, "row", "left_semi")
     return _lists(rows.withColumn("least", F.min("did").over(meet)).where(F.col("known") | (F.col("did") > F.col("least"))))
 
 
@@ -240,32 +242,36 @@ def _cut(column: pa.Array, lists: pa.Array, size: int) -> Iterator[tuple]:
 
 
 def _apply(docs: DataFrame, lists: DataFrame, size: int) -> DataFrame:
-    """did, h1, n_removed, kept: of the documents that lists (did, hashes) names; null hashes: only repeats inside the document count."""
+    """row, n_removed, kept: of the documents that lists (row, hashes) names; null hashes: only repeats inside the document count."""
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            for (lo, hi), h1, lost, texts in _cut(batch.column(1), batch.column(2), size):
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(h1, pa.int64()), pa.array(lost, pa.int64()), pa.array(texts, pa.string())], ["did", "h1", "n_removed", "kept"])
+            for (lo, hi), _, lost, texts in _cut(batch.column(1), batch.column(2), size):
+                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(lost, pa.int64()), pa.array(texts, pa.string())], ["row", "n_removed", "kept"])
 
         return each
 
-    return arrow_map(_key(docs).join(lists, "did"), ["did", "text", "hashes"], "did long, h1 long, n_removed long, kept string", make)
+    return arrow_map(_key(docs).join(lists, "row"), ["row", "text", "hashes"], "row long, n_removed long, kept string", make)
 
 
 def _judged(docs: DataFrame, size: int, shortest: int) -> tuple[DataFrame, DataFrame]:
-    """(facts of each row with `copy`: its whole sequence stands earlier; lists: did, hashes of the documents that lose words otherwise)."""
+    """(facts of each row with `copy`: its whole sequence stands in a document with a smaller id; lists: row, hashes of the rows that lose words otherwise)."""
     known = written(facts(docs, size))
-    firsts = known.groupBy("h1", "h2", "n_words").agg(F.min("did").alias("first"))
-    judged = known.join(firsts, ["h1", "h2", "n_words"]).withColumn("copy", (F.col("did") > F.col("first")) & (F.col("n_words") >= size)).drop("first")
-    itself = judged.where(F.col("repeats_itself") & ~F.col("copy")).select("did").distinct()
-    return judged, repeated(docs, known, size, shortest).join(itself, "did", "full_outer").select("did", "hashes")
+    # stored, and only of sequences that stand more than once: so the join has two plain shuffles, which adaptive execution can split at a hot sequence
+    firsts = known.where(F.col("n_words") >= size).groupBy("h1", "h2", "n_words").agg(F.min("did").alias("first"), F.max("did").alias("final"))
+    firsts = written(firsts.where(F.col("first") < F.col("final")).drop("final"))
+    judged = written(known.join(firsts, ["h1", "h2", "n_words"], "left").withColumn("copy", F.coalesce(F.col("did") > F.col("first"), F.lit(False))).drop("first"))
+    own = judged.where(~F.col("copy"))
+    leaders = own.where(F.col("n_words") >= size).select("row").distinct()
+    itself = own.where("repeats_itself").select("row").distinct()
+    return judged, repeated(docs, leaders, size, shortest).join(itself, "row", "full_outer").select("row", "hashes")
 
 
 def digests(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_words, n_removed, kept_sha256, one row a document."""
     judged, lists = _judged(docs, size, shortest)
-    changed = _apply(docs, lists, size).select("did", "h1", F.col("n_removed").alias("lost"), F.sha2("kept", 256).alias("kept_sha")).dropDuplicates(["did", "h1"])
-    out = judged.join(changed, ["did", "h1"], "left")
+    changed = _apply(docs, lists, size).select("row", F.col("n_removed").alias("lost"), F.sha2("kept", 256).alias("kept_sha")).dropDuplicates(["row"])
+    out = judged.join(changed, "row", "left")
     return out.select(
         F.when(F.col("did") < F.lit(int(_LAST)), F.col("did")).alias("doc_id"),
         "n_words",
@@ -277,29 +283,28 @@ def digests(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> Data
 def deduplicated(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """The documents with their texts after removal (kept words joined by a space) and all other columns as they are. Texts that lose nothing stay unchanged."""
     judged, lists = _judged(docs, size, shortest)
-    copies = judged.where("copy").groupBy("did").agg(F.collect_set("h1").alias("copies"))
-    fate = lists.withColumn("listed", F.lit(True)).join(copies, "did", "full_outer")
+    fate = lists.withColumn("listed", F.lit(True)).join(judged.where("copy").select("row").distinct().withColumn("copy", F.lit(True)), "row", "full_outer")
     names = docs.columns
-    own = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(int(_LAST))).alias("did"), "text", F.struct(F.lit(0).alias("__none"), *[F.col(f"`{c}`") for c in names if c != "text"]).alias("rest"))
-    rows = own.join(fate, "did", "left").select("did", "text", "hashes", "listed", "copies", "rest")
+    # other columns go by place, so that no name can clash; a text alone is a struct too
+    rest = F.struct(F.lit(0).alias("none"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names) if c != "text"])
+    rows = _key(docs.select("doc_id", "text", rest.alias("rest")), "rest").join(fate, "row", "left").select("text", "hashes", "listed", "copy", "rest")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(1).to_pylist()
-            at = [i for i, (a, b) in enumerate(zip(batch.column(3).to_pylist(), batch.column(4).is_valid().to_pylist(), strict=True)) if a or b]
+            texts = batch.column(0).to_pylist()
+            copies = batch.column(3).to_pylist()
+            at = [i for i, (listed, copy) in enumerate(zip(batch.column(2).to_pylist(), copies, strict=True)) if listed and not copy]
             if at:
                 some = batch.take(pa.array(at))
-                done = [x for part in _cut(some.column(1), some.column(2), size) for x in zip(*part[1:], strict=True)]
-                for i, (h1, n_removed, kept), gone in zip(at, done, some.column(4).to_pylist(), strict=True):
-                    if gone and h1 in gone:
-                        texts[i] = ""
-                    elif n_removed:
+                done = [x for part in _cut(some.column(0), some.column(1), size) for x in zip(*part[2:], strict=True)]
+                for i, (n_removed, kept) in zip(at, done, strict=True):
+                    if n_removed:
                         texts[i] = kept
-            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), batch.column(5)], ["text", "rest"])
+            texts = ["" if copy else t for t, copy in zip(texts, copies, strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), batch.column(4)], ["text", "rest"])
 
-    rest = rows.schema["rest"].dataType.simpleString()
-    out = rows.mapInArrow(run, f"text string, rest {rest}")
-    return out.select(*[F.col("text") if c == "text" else F.col("rest").getField(c).alias(c) for c in names])
+    out = rows.mapInArrow(run, f"text string, rest {rows.schema['rest'].dataType.simpleString()}")
+    return out.select(*[F.col("text") if c == "text" else F.col(f"rest.c{i}").alias(c) for i, c in enumerate(names)])
 
 
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
