@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from topfd.llm import language_id, mixing, near_dedup, packing, substring_dedup
-from topfd.llm.common import table, written
+from topfd.llm.common import marked, removed, table, written
 
 #: Texts whose words agree on no language, on average, go. Clean single-language texts score above 0.9.
 LEAST_SCORE = 0.4
@@ -21,9 +21,10 @@ def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     field = language_id.train(docs)
     if field is None:
         return docs
-    judged = language_id.predict(docs, field, docs.columns, ("_judged_lang", "_judged_score"))
-    kept = judged.where((F.col("_judged_lang") != language_id.UNKNOWN) & (F.col("_judged_score") >= LEAST_SCORE))
-    return kept.select(*[F.coalesce("lang", "_judged_lang").alias(c) if c == "lang" else F.col(f"`{c}`") for c in docs.columns])
+    lang, score = (next(n for k in range(len(docs.columns) + 1) if (n := f"{name}{k}") not in docs.columns) for name in ("judged_lang", "judged_score"))
+    judged = language_id.predict(docs, field, docs.columns, (lang, score))
+    kept = judged.where((F.col(lang) != language_id.UNKNOWN) & (F.col(score) >= LEAST_SCORE))
+    return kept.select(*[F.coalesce("lang", lang).alias(c) if c == "lang" else F.col(f"`{c}`").alias(c) for c in docs.columns])
 
 
 def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,7 +53,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, begun = table(spark, sf_dir, "documents"), marked(spark)
     for _, stage in STAGES:
         docs = written(stage(spark, docs, sf_dir))
+        # what led to these rows is stored in them
+        removed(spark, begun, keep=docs)
     return docs

@@ -39,10 +39,18 @@ def rank_topk(fds: DataFrame, k: int) -> DataFrame:
 
 
 def redundant_rows(rel: Relation, lhs: list[str], rhs: str, order_by: list[str]) -> DataFrame:
-    """The rows whose right-hand value repeats what an earlier row of their class says. A class is a window, so very large ones sort in one task: for
-    listings, not for counting."""
-    by = Window.partitionBy(*[F.col(f"`{a}`") for a in lhs]).orderBy(*[F.col(f"`{o}`") for o in order_by])
-    return rel.df.withColumn("place", F.row_number().over(by)).where(F.col("place") > 1).select(*order_by, *[c for c in (*lhs, rhs) if c not in order_by])
+    """The rows whose right-hand value repeats what an earlier row of their class says. Equal rows are counted, and a class' first row is a minimum: both combine before
+    the shuffle, so no class is sorted or held in one task, however large."""
+    named = [*order_by, *[c for c in (*lhs, rhs) if c not in order_by]]
+    quoted = lambda names: [F.col(f"`{c}`") for c in names]
+    place = F.struct(*quoted(order_by))
+    counted = rel.df.groupBy(*quoted(named)).agg(F.count(F.lit(1)).alias("copies"))
+    first = rel.df.groupBy(*[c.alias(f"class{i}") for i, c in enumerate(quoted(lhs))]).agg(F.min(place).alias("first"))
+    same = F.lit(True)
+    for i, c in enumerate(quoted(lhs)):
+        same = same & c.eqNullSafe(F.col(f"class{i}"))
+    left = F.col("copies") - F.when(place.eqNullSafe(F.col("first")), 1).otherwise(0)
+    return counted.join(first, same).select(*quoted(named), F.explode(F.array_repeat(F.lit(1), left.cast("int"))).alias("copy")).drop("copy")
 
 
 def fd_holds(df: DataFrame, lhs: list[str], rhs: str, nulls: str = "eq") -> bool:

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable
 from itertools import combinations
 
@@ -15,7 +14,7 @@ from .model import Relation, mask_of
 from .operators import apply, cardinality, definitions, evidence
 from .plans import baseline, bounds, metrics
 from .plans.search import VARIANTS, discover
-from .ship import ship
+from .ship import scratch, ship
 from .sources import files, views
 from .sources.views import COLUMNS, VIEW_SQL, VIEWS
 from .streaming import monitor
@@ -452,7 +451,7 @@ def w7_cases(spark, sf):
 
 def _round_trip(kind: str) -> Query:
     def run(spark, sf):
-        folder = f"{tempfile.mkdtemp()}/t"
+        folder = f"{scratch(spark)}/t"
         df = views.read(spark, sf, "nation")
         (df.write.option("header", True) if kind == "csv" else df.write).format(kind).save(folder)
         rel = files.relation(spark, folder, kind, ["n_regionkey", "n_name"])
@@ -468,7 +467,7 @@ for _kind in ("parquet", "csv", "json", "orc"):
 @query("sink_results", oracle.topk("nation", 10))
 def sink_results(spark, sf):
     found = discover(VIEWS["nation"](spark, sf), 10)
-    folder = tempfile.mkdtemp()
+    folder = scratch(spark)
     files.save_result(found, folder, "nation")
     return spark.read.schema(found.result.schema).parquet(f"{folder}/answers").select(*ANSWER)
 
@@ -602,7 +601,7 @@ def implied_fds(spark, sf):
 
 def _stream(spark, sf) -> DataFrame:
     """The events as a stream of five files in time order."""
-    folder = f"{tempfile.mkdtemp()}/events"
+    folder = f"{scratch(spark)}/events"
     df = views.read(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     df.repartitionByRange(5, "ts").sortWithinPartitions("ts").write.parquet(folder)
     return spark.readStream.schema(spark.read.parquet(folder).schema).option("maxFilesPerTrigger", 5).parquet(folder)
@@ -611,7 +610,7 @@ def _stream(spark, sf) -> DataFrame:
 @query("stream_violations", """WITH e AS (SELECT user_id, event_type, ts FROM events), f AS (SELECT user_id, arg_min(event_type, (ts, event_type)) AS first FROM e GROUP BY user_id)
 SELECT count(*) AS n, count(DISTINCT e.user_id) AS n_classes FROM e JOIN f ON e.user_id = f.user_id WHERE e.event_type <> f.first""")
 def stream_violations(spark, sf):
-    out = monitor.drain(monitor.contradictions(_stream(spark, sf), ["user_id"], "event_type"), "_contradictions", tempfile.mkdtemp())
+    out = monitor.drain(monitor.contradictions(_stream(spark, sf), ["user_id"], "event_type"), "_contradictions", scratch(spark))
     return out.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("lhs_key").alias("n_classes"))
 
 
@@ -623,18 +622,18 @@ def batch_violations(spark, sf):
 
 @query("stream_class_sizes", "SELECT event_type, CAST(sum(size) AS BIGINT) AS n, count(*) AS n_windows FROM (SELECT date_trunc('day', ts) AS d, event_type, count(*) AS size FROM events GROUP BY ALL) GROUP BY event_type")
 def stream_class_sizes(spark, sf):
-    out = monitor.drain(monitor.class_sizes(_stream(spark, sf), ["event_type"]), "_class_sizes", tempfile.mkdtemp(), "complete")
+    out = monitor.drain(monitor.class_sizes(_stream(spark, sf), ["event_type"]), "_class_sizes", scratch(spark), "complete")
     return out.groupBy("event_type").agg(F.sum("size").alias("n"), F.count(F.lit(1)).alias("n_windows"))
 
 
 @query("stream_distinct", "SELECT count(DISTINCT event_id) AS n FROM events")
 def stream_distinct(spark, sf):
-    return monitor.drain(monitor.distinct_events(_stream(spark, sf), ["event_id"], late="3650 days"), "_distinct_events", tempfile.mkdtemp()).agg(F.count(F.lit(1)).alias("n"))
+    return monitor.drain(monitor.distinct_events(_stream(spark, sf), ["event_id"], late="3650 days"), "_distinct_events", scratch(spark)).agg(F.count(F.lit(1)).alias("n"))
 
 
 @query("stream_cards", "SELECT count(*) AS card FROM (SELECT DISTINCT user_id, event_type FROM events)")
 def stream_cards(spark, sf):
-    folder = f"{tempfile.mkdtemp()}/cards"
-    q = _stream(spark, sf).writeStream.foreachBatch(monitor.card_keeper(folder, ["user_id", "event_type"])).option("checkpointLocation", tempfile.mkdtemp()).trigger(availableNow=True).start()
+    folder = f"{scratch(spark)}/cards"
+    q = _stream(spark, sf).writeStream.foreachBatch(monitor.card_keeper(folder, ["user_id", "event_type"])).option("checkpointLocation", scratch(spark)).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.createDataFrame([(monitor.kept_card(spark, folder, ["user_id", "event_type"]),)], "card long")
