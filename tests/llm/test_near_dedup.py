@@ -1,3 +1,4 @@
+import math
 import random
 
 import numpy as np
@@ -148,3 +149,37 @@ def test_banding_misses_few():
     for percent in (80, 85, 90):
         bands, rows = N.banding(percent)
         assert (1 - (percent / 100) ** rows) ** bands <= 1e-5
+
+
+@pytest.mark.parametrize("block", [1, 3])
+def test_blocks_of_any_size_find_every_link(spark, monkeypatch, block):
+    monkeypatch.setattr(N, "BLOCK", block)
+    monkeypatch.setattr(N, "BLOCK_ELEMENTS", 40 * block)
+    rng = random.Random(21)
+    base = [[rng.choice("abcdefghij") + str(rng.randrange(30)) for _ in range(60)] for _ in range(3)]
+    rows = []
+    for i in range(90):
+        w = list(base[i % 3])
+        for _ in range(rng.randrange(6)):
+            w[rng.randrange(len(w))] = f"x{rng.randrange(5)}"
+        rows.append((i, " ".join(w)))
+    got = sorted((r["doc_id"], r["component_id"]) for r in N.groups(docs(spark, rows).repartition(3), 3, 70).collect())
+    assert got == sorted((x[0], x[2]) for x in brute(rows, 3, 70))
+
+
+def test_sets_that_share_half_a_name_stay_apart(spark):
+    rows = [(1, 0, 0, 3, 77, 1, None), (2, 0, 0, 3, 77, 1, None), (3, 0, 0, 4, 77, 2, None), (4, 0, 0, 5, 78, 3, None), (5, 0, 0, 0, 77, 9, None)]
+    known = spark.createDataFrame(rows, "did long, text_1 long, text_2 long, n_shingles long, node long, node2 long, bands array<long>")
+    got = {r["did"]: r["node"] for r in N._one_name_a_set(known).collect()}
+    assert got[1] == got[2] != got[3] and len({got[1], got[3], got[4]}) == 3 and got[4] == 78
+    assert N._one_name_a_set(known.where("did <> 3 AND did <> 5")).count() == 3
+
+
+def test_margins_follow_slots_and_threshold():
+    for percent in (80, 85):
+        bands, rows = N.banding(percent)
+        slots = bands * rows
+        least = N.least_agreement(percent, slots)
+        below = sum(math.comb(slots, k) * (percent / 100) ** k * (1 - percent / 100) ** (slots - k) for k in range(least))
+        assert below <= N.ESTIMATE_MISS and 0.5 * slots < least < percent / 100 * slots
+        assert (1 - (percent / 100) ** rows) ** bands <= N.MISS

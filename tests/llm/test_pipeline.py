@@ -75,3 +75,42 @@ def test_run_of_an_empty_table(spark, tmp_path):
 
     docs(spark, [(1, "a")]).limit(0).write.parquet(f"{tmp_path}/documents.parquet")
     assert C.run(spark, str(tmp_path)).collect() == []
+
+
+def test_odd_columns_and_ids_lose_no_document(spark, tmp_path):
+    """Null ids, one id on several texts, repeated rows and names that clash with everything: each text comes through, the columns as they were."""
+    import corpus_pipeline as C
+    from pyspark.sql import functions as F
+
+    rng = random.Random(11)
+    texts = [text(rng, lang, 40) for lang in ("aa", "bb", "cc") for _ in range(30)]
+    rows = [((None, 5, 5, i)[i % 4], t, ("aa", "bb", "cc")[i // 30], f"s{i % 2}") for i, t in enumerate(texts)]
+    df = docs(spark, rows + rows[:7])
+    for name in ("a.b", "_kept_did", "_kept_id", "__none", "did", "row", "own", "judged_lang0", "size", "taken", "copy", "bucket", "text_1", "score", "rest", "group"):
+        df = df.withColumn(name, F.lit(name))
+    names = df.columns
+    (_, identify), (_, distinct), (_, passages), (_, mix), (_, pack) = C.STAGES
+    now = df.repartition(3)
+    for k, stage in enumerate((identify, distinct, passages)):
+        out = stage(spark, now, "")
+        assert out.columns == names
+        out.write.parquet(f"{tmp_path}/{k}")
+        now = spark.read.parquet(f"{tmp_path}/{k}")
+        assert sorted(set(r["text"] for r in now.collect())) == sorted(texts)
+    assert now.count() == len(rows) and all(r["a.b"] == "a.b" and r["own"] == "own" for r in now.collect())
+    four = mix(spark, now, "")
+    assert four.columns == names and all(r["a.b"] == "a.b" for r in four.collect())
+    assert pack(spark, four, "").count() == four.count()
+
+
+def test_run_leaves_only_its_result(spark, tmp_path):
+    import os
+
+    import corpus_pipeline as C
+    from topfd.ship import shared_folder
+
+    docs(spark, corpus(random.Random(12))).write.parquet(f"{tmp_path}/documents.parquet")
+    folder = shared_folder(spark).removeprefix("file:")
+    before = set(os.listdir(folder))
+    out = C.run(spark, str(tmp_path))
+    assert len(set(os.listdir(folder)) - before) == 1 and out.count() > 100

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import threading
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..ship import ship
+from ..ship import shared_folder, ship
 
 #: A word of the contracts; every other character of a text separates words.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -22,30 +22,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir. A temporary one only in local mode, where all tasks share this machine's disk."""
-    context = spark.sparkContext
-    folder = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
-    if not folder:
-        if not context.master.startswith("local"):
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        folder = tempfile.mkdtemp(prefix="shared-")
-        context.setCheckpointDir(folder)
-    return folder.rstrip("/")
-
-
 def written(df: DataFrame) -> DataFrame:
     """The same rows, stored once as Parquet in the shared folder and read back: lineage ends here, and a lost executor costs no recomputation."""
     spark = df.sparkSession
     ship(spark)
     path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _tables(spark).append(path)
+    _tables(spark).append((threading.get_ident(), path))
     return spark.read.schema(df.schema).parquet(path)
 
 
-def _tables(spark: SparkSession) -> list[str]:
-    """Paths that `written` made in this application and that were not removed yet."""
+def _tables(spark: SparkSession) -> list[tuple[int, str]]:
+    """Threads and paths that `written` made in this application and that were not removed yet."""
     context = spark.sparkContext
     if not hasattr(context, "_topfd_tables"):
         context._topfd_tables = []
@@ -58,15 +46,15 @@ def marked(spark: SparkSession) -> int:
 
 
 def removed(spark: SparkSession, since: int = 0, keep: DataFrame | None = None) -> None:
-    """Deletes the tables written since a mark, but for the one that `keep` reads. For when what they led to is stored itself."""
+    """Deletes the tables that this thread wrote since a mark, but for the one that `keep` reads. For when what they led to is stored itself."""
     kept = [str(f) for f in keep.inputFiles()] if keep is not None else []
     paths = _tables(spark)
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    for path in paths[since:]:
-        if not any(path.rsplit("/", 1)[1] in f for f in kept):
+    for thread, path in paths[since:]:
+        if thread == threading.get_ident() and not any(path.rsplit("/", 1)[1] in f for f in kept):
             at = jvm.org.apache.hadoop.fs.Path(path)
             at.getFileSystem(conf).delete(at, True)
-            paths.remove(path)
+            paths.remove((thread, path))
 
 
 def word_count(text: Column) -> Column:

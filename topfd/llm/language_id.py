@@ -301,20 +301,22 @@ def predict(docs: DataFrame, field: Field | None, keep: list[str], names: tuple[
     """docs with text -> the columns of `keep`, lang_pred, score (or other names). Only the text is looked at, and it is sent once if it is kept too."""
     ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(field)
-    quoted = lambda c: F.col(f"`{c}`")
-    kept = docs.select(*map(quoted, keep))
-    schema = ", ".join([*(f"`{c}` {t}" for c, t in kept.dtypes), f"`{names[0]}` string", f"`{names[1]}` double"])
-    sent = keep if "text" in keep else [*keep, "text"]
-    at = sent.index("text")
+    # by place, as no name may hold a dot on its way to a worker
+    kept = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)], *([] if "text" in keep else [F.col("text").alias("text")]))
+    at = keep.index("text") if "text" in keep else len(keep)
+    kinds = dict(kept.dtypes)
+    places = [f"c{i}" for i in range(len(keep))]
+    schema = ", ".join([*(f"{c} {kinds[c]}" for c in places), "lang_pred string", "score double"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
                 lang, score = _judge_batch(shared.value, batch.column(at))
-                yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(lang, pa.string()), pa.array(score, pa.float64())], [*keep, *names])
+                yield pa.RecordBatch.from_arrays([*batch.columns[: len(places)], pa.array(lang, pa.string()), pa.array(score, pa.float64())], [*places, "lang_pred", "score"])
         pa.default_memory_pool().release_unused()
 
-    return docs.select(*map(quoted, sent)).mapInArrow(run, schema)
+    judged = kept.mapInArrow(run, schema)
+    return judged.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(keep)], F.col("lang_pred").alias(names[0]), F.col("score").alias(names[1]))
 
 
 def label_words(docs: DataFrame, field: Field | None) -> DataFrame:
