@@ -3,6 +3,7 @@ import random
 
 import numpy as np
 import pyarrow as pa
+import pytest
 
 from tests.llm.tables import awkward, docs
 from topfd.llm import graph, near_dedup as N
