@@ -96,7 +96,7 @@ def _sequence_hash(w: Words, base: int) -> np.ndarray:
     return mix((total[w.first[1:]] - total[low]) * down[low] + np.diff(w.first).astype(np.uint64)).view(np.int64)
 
 
-def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
+def facts(keyed: DataFrame, size: int = SIZE) -> DataFrame:
     """did, row, n_words, h1, h2 (128 bits of the word sequence), repeats_itself, sha (of the words joined by a space)."""
 
     def make():
@@ -118,7 +118,7 @@ def facts(docs: DataFrame, size: int = SIZE) -> DataFrame:
 
         return each
 
-    return arrow_map(_key(docs), ["did", "row", "text"], "did long, row long, n_words long, h1 long, h2 long, repeats_itself boolean, sha binary", make)
+    return arrow_map(keyed, ["did", "row", "text"], "did long, row long, n_words long, h1 long, h2 long, repeats_itself boolean, sha binary", make)
 
 
 def _sent(held: list[tuple[np.ndarray, ...]], last: bool) -> Iterator[pa.RecordBatch]:
@@ -162,10 +162,11 @@ def _sent(held: list[tuple[np.ndarray, ...]], last: bool) -> Iterator[pa.RecordB
 _SENT = "key long, key2 long, hash long, row long, known boolean"
 
 
-def _level(docs: DataFrame, alive: DataFrame | None, short: int, longer: int, size: int) -> DataFrame:
+def _level(keyed: DataFrame, alive: DataFrame | None, short: int, longer: int, size: int) -> DataFrame:
     """Rows as of _sent, of the windows of `longer` words. alive: row, hashes of the short windows that repeat; only what holds one is extended. None: all, whatever `short`.
-    Below `size`, a window of `size` words is stood for by its least window of `longer` words."""
-    last, filtered = longer == size, alive is not None
+    Below `size`, a window of `size` words is stood for by its least window of `longer` words. All levels, and what removes the words in the end, join the same
+    columns of the same rows by the same key, so that Spark shuffles the texts once and reads that shuffle again."""
+    last, filtered, hashes_at = longer == size, alive is not None, len(keyed.columns)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, n = [], 0
@@ -180,7 +181,7 @@ def _level(docs: DataFrame, alive: DataFrame | None, short: int, longer: int, si
                     values, doc = _anchors(w, longer, size)
                     second = np.zeros(len(values), np.uint64)
                 if filtered:
-                    some = batch.column(3)[lo:hi]
+                    some = batch.column(hashes_at)[lo:hi]
                     least, doc = _anchors(w, short, size)
                     wanted = mix(np.repeat(np.arange(hi - lo, dtype=np.uint64), np.diff(some.offsets.to_numpy()))) ^ some.flatten().to_numpy().view(np.uint64)
                     hit = np.isin(mix(doc.astype(np.uint64)) ^ least, wanted)
@@ -193,7 +194,7 @@ def _level(docs: DataFrame, alive: DataFrame | None, short: int, longer: int, si
                     n = 0
         yield from _sent(held, last)
 
-    rows = _key(docs) if alive is None else _key(docs).join(alive, "row").select("did", "row", "text", "hashes")
+    rows = keyed.select("did", "row", "text") if alive is None else keyed.join(alive, "row").select(*keyed.columns, "hashes")
     return rows.mapInArrow(run, f"{_SENT}, did long" if last else _SENT)
 
 
@@ -201,13 +202,13 @@ def _lists(rows: DataFrame) -> DataFrame:
     return rows.groupBy("row").agg(F.collect_set(F.coalesce("hash", "key")).alias("hashes"))
 
 
-def repeated(docs: DataFrame, leaders: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
+def repeated(keyed: DataFrame, leaders: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """row, hashes: of each row, the windows that also stand in a document with a smaller id. leaders(row): those whose whole sequence stands in no earlier document."""
     steps = lengths(size, shortest)
     meet = Window.partitionBy("key", "key2")
     alive = None
     for short, longer in zip([0, *steps[:-1]], steps, strict=True):
-        rows = _level(docs, alive, short, longer, size)
+        rows = _level(keyed, alive, short, longer, size)
         if longer < size:
             n = F.sum(F.when(F.col("known"), 2).otherwise(1)).over(meet)
             alive = _lists(rows.withColumn("n", n).where(F.col("n") > 1)).join(leaders, "row", "left_semi")
@@ -241,22 +242,23 @@ def _cut(column: pa.Array, lists: pa.Array, size: int) -> Iterator[tuple]:
         yield (lo, hi), _sequence_hash(w, _SEQUENCE[0]).tolist(), (n - left).tolist(), texts
 
 
-def _apply(docs: DataFrame, lists: DataFrame, size: int) -> DataFrame:
+def _apply(keyed: DataFrame, lists: DataFrame, size: int) -> DataFrame:
     """row, n_removed, kept: of the documents that lists (row, hashes) names; null hashes: only repeats inside the document count."""
+    hashes_at = len(keyed.columns)
 
     def make():
         def each(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            for (lo, hi), _, lost, texts in _cut(batch.column(1), batch.column(2), size):
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(lost, pa.int64()), pa.array(texts, pa.string())], ["row", "n_removed", "kept"])
+            for (lo, hi), _, lost, texts in _cut(batch.column(2), batch.column(hashes_at), size):
+                yield pa.RecordBatch.from_arrays([batch.column(1)[lo:hi], pa.array(lost, pa.int64()), pa.array(texts, pa.string())], ["row", "n_removed", "kept"])
 
         return each
 
-    return arrow_map(_key(docs).join(lists, "row"), ["row", "text", "hashes"], "row long, n_removed long, kept string", make)
+    return arrow_map(keyed.join(lists, "row"), [*keyed.columns, "hashes"], "row long, n_removed long, kept string", make)
 
 
-def _judged(docs: DataFrame, size: int, shortest: int) -> tuple[DataFrame, DataFrame]:
+def _judged(keyed: DataFrame, size: int, shortest: int) -> tuple[DataFrame, DataFrame]:
     """(facts of each row with `copy`: its whole sequence stands in a document with a smaller id; lists: row, hashes of the rows that lose words otherwise)."""
-    known = written(facts(docs, size))
+    known = written(facts(keyed, size))
     # stored, and only of sequences that stand more than once: so the join has two plain shuffles, which adaptive execution can split at a hot sequence
     firsts = known.where(F.col("n_words") >= size).groupBy("h1", "h2", "n_words").agg(F.min("did").alias("first"), F.max("did").alias("final"))
     firsts = written(firsts.where(F.col("first") < F.col("final")).drop("final"))
@@ -264,13 +266,14 @@ def _judged(docs: DataFrame, size: int, shortest: int) -> tuple[DataFrame, DataF
     own = judged.where(~F.col("copy"))
     leaders = own.where(F.col("n_words") >= size).select("row").distinct()
     itself = own.where("repeats_itself").select("row").distinct()
-    return judged, repeated(docs, leaders, size, shortest).join(itself, "row", "full_outer").select("row", "hashes")
+    return judged, repeated(keyed, leaders, size, shortest).join(itself, "row", "full_outer").select("row", "hashes")
 
 
 def digests(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_words, n_removed, kept_sha256, one row a document."""
-    judged, lists = _judged(docs, size, shortest)
-    changed = _apply(docs, lists, size).select("row", F.col("n_removed").alias("lost"), F.sha2("kept", 256).alias("kept_sha")).dropDuplicates(["row"])
+    keyed = _key(docs)
+    judged, lists = _judged(keyed, size, shortest)
+    changed = _apply(keyed, lists, size).select("row", F.col("n_removed").alias("lost"), F.sha2("kept", 256).alias("kept_sha")).dropDuplicates(["row"])
     out = judged.join(changed, "row", "left")
     return out.select(
         F.when(F.col("did") < F.lit(int(_LAST)), F.col("did")).alias("doc_id"),
@@ -282,26 +285,27 @@ def digests(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> Data
 
 def deduplicated(docs: DataFrame, size: int = SIZE, shortest: int = SHORTEST) -> DataFrame:
     """The documents with their texts after removal (kept words joined by a space) and all other columns as they are. Texts that lose nothing stay unchanged."""
-    judged, lists = _judged(docs, size, shortest)
-    fate = lists.withColumn("listed", F.lit(True)).join(judged.where("copy").select("row").distinct().withColumn("copy", F.lit(True)), "row", "full_outer")
     names = docs.columns
     # other columns go by place, so that no name can clash; a text alone is a struct too
     rest = F.struct(F.lit(0).alias("none"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names) if c != "text"])
-    rows = _key(docs.select("doc_id", "text", rest.alias("rest")), "rest").join(fate, "row", "left").select("text", "hashes", "listed", "copy", "rest")
+    keyed = _key(docs.select("doc_id", "text", rest.alias("rest")), "rest")
+    judged, lists = _judged(keyed, size, shortest)
+    fate = lists.withColumn("listed", F.lit(True)).join(judged.where("copy").select("row").distinct().withColumn("copy", F.lit(True)), "row", "full_outer")
+    rows = keyed.join(fate, "row", "left").select(*keyed.columns, "hashes", "listed", "copy")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(0).to_pylist()
-            copies = batch.column(3).to_pylist()
-            at = [i for i, (listed, copy) in enumerate(zip(batch.column(2).to_pylist(), copies, strict=True)) if listed and not copy]
+            _, _, whole, rest, hashes, listed, copied = batch.columns
+            texts, copies = whole.to_pylist(), copied.to_pylist()
+            at = [i for i, (named, copy) in enumerate(zip(listed.to_pylist(), copies, strict=True)) if named and not copy]
             if at:
-                some = batch.take(pa.array(at))
-                done = [x for part in _cut(some.column(0), some.column(1), size) for x in zip(*part[2:], strict=True)]
+                places = pa.array(at)
+                done = [x for part in _cut(whole.take(places), hashes.take(places), size) for x in zip(*part[2:], strict=True)]
                 for i, (n_removed, kept) in zip(at, done, strict=True):
                     if n_removed:
                         texts[i] = kept
             texts = ["" if copy else t for t, copy in zip(texts, copies, strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), batch.column(4)], ["text", "rest"])
+            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), rest], ["text", "rest"])
 
     out = rows.mapInArrow(run, f"text string, rest {rows.schema['rest'].dataType.simpleString()}")
     return out.select(*[F.col("text") if c == "text" else F.col(f"rest.c{i}").alias(c) for i, c in enumerate(names)])
