@@ -311,6 +311,8 @@ def _named(docs: DataFrame, width: int, percent: int) -> DataFrame:
     open_members = members.where(F.col("held") > 2).join(parts, "node", "left").withColumn("component", F.coalesce("root", "node"))
     shares = open_members.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n"))
     mixed = shares.groupBy("bucket").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.count(F.lit(1)).alias("n_parts")).where(F.col("n_parts") > 1)
+    # stored, so that adaptive execution can split the join at a hot bucket
+    mixed = written(mixed.select("bucket", "main"))
     rest = written(open_members.join(mixed, "bucket").select("bucket", "band", "node", "n_shingles", "component", "main"))
     if rest.limit(1).count():
         sets = _sets(docs, reps.join(rest.select("node").distinct(), "node"), width)
