@@ -6,8 +6,9 @@
 * A query walks all trees at once: one queue holds the open branches of all of them, keyed by the smallest margin met on the way, and the
   best branch is opened next, until the leaves reached hold the wanted share of all (tree, row) entries. That share falls as the table grows, by
   SHARE * (SHARE_ROWS / rows) ** FALL, so the work of a query grows more slowly than the table.
-* A bough scores its rows, leaf by leaf, for the queries that came there, on the original vectors in double precision, and sends each query's best k
-  on. Its queries are dealt to several tasks where they are many. Merging these, without repeats from other trees, is the exact rerank of all candidates.
+* A bough scores its rows, leaf by leaf, for the queries that came there, on the original vectors in double precision. Its queries are dealt to several
+  tasks where they are many. A query's home boughs, those of its first leaf in each tree, send their best k on; the k-th best of these is what rows of
+  its other boughs have to reach to be sent at all. Merging all, without repeats from other trees, is the exact rerank of all candidates.
 
 Vectors that are null, empty, zero or hold a null or non-finite component take no part. Copies are one candidate with its k + 1 smallest
 ids, which loses no result. Vectors of different length are compared as if the shorter ended in zeros. Ties go to the smaller id.
@@ -158,12 +159,12 @@ def _filed(distinct: DataFrame, forest, boughs) -> DataFrame:
                 lists = [pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), leaves.shape[1]).cast(pa.list_(pa.int64())) for x in (leaves, boughs.value[leaves])]
                 yield pa.RecordBatch.from_arrays([*batch.columns, *lists], ["vec", "ids", "leaves", "boughs"])
 
-    filed = distinct.select("vec", "ids").mapInArrow(run, "vec array<double>, ids array<long>, leaves array<long>, boughs array<long>")
+    filed = distinct.select("vec", "ids").mapInArrow(run, f"vec {distinct.schema['vec'].dataType.simpleString()}, ids array<long>, leaves array<long>, boughs array<long>")
     return filed.select("vec", "ids", F.explode(F.arrays_zip("leaves", "boughs")).alias("at")).select("vec", "ids", F.col("at.leaves").alias("leaf"), F.col("at.boughs").alias("bough"))
 
 
 def _routed(queries: DataFrame, forest, boughs, wanted: float) -> DataFrame:
-    """query_id, vec_hash, bough, leaves: what a query visits of each bough. The vector itself isn't repeated here."""
+    """query_id, mark, bough, home, leaves: what a query visits of each bough. The vector itself isn't repeated here."""
 
     def run(batches):
         for batch in batches:
@@ -174,15 +175,17 @@ def _routed(queries: DataFrame, forest, boughs, wanted: float) -> DataFrame:
                     at = boughs.value[found]
                     order = np.argsort(at, kind="stable")
                     cuts = np.flatnonzero(np.diff(at[order])) + 1
-                    rows += [(own, mark, int(at[part[0]]), found[part]) for part in np.split(order, cuts) if len(part)]
-                ids, marks, where, leaves = zip(*rows, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(marks, pa.int64()), pa.array(where, pa.int64()), pa.array(leaves, pa.list_(pa.int64()))], ["query_id", "mark", "bough", "leaves"])
+                    # the queue opens every root first, so the first leaves are one of each tree
+                    homes = set(at[: len(forest.value.roots)].tolist())
+                    rows += [(own, mark, int(at[part[0]]), int(at[part[0]]) in homes, found[part]) for part in np.split(order, cuts) if len(part)]
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["query_id", "mark", "bough", "home", "leaves"])
 
-    return queries.select("query_id", "vec", "mark").mapInArrow(run, "query_id long, mark long, bough long, leaves array<long>")
+    return queries.select("query_id", "vec", "mark").mapInArrow(run, "query_id long, mark long, bough long, home boolean, leaves array<long>")
 
 
 def _bough_search(k: int):
-    """Best k of each query among the rows of its leaves in one bough; scored counts these rows."""
+    """Best k of each query among the rows of its leaves in one bough that reach its `least` score (null: any); scored counts the rows."""
 
     def of(queries: pa.Table, candidates: pa.Table) -> pa.Table:
         out_q, out_v, out_s, out_n = [], [], [], []
@@ -196,7 +199,7 @@ def _bough_search(k: int):
             visits = queries.column("leaves").combine_chunks()
             visitor = np.repeat(np.arange(len(q)), visits.value_lengths().to_numpy())
             seen = np.searchsorted(names, visits.flatten().to_numpy())
-            own_ids = queries.column("query_id").to_pylist()
+            own_ids, least = queries.column("query_id").to_pylist(), queries.column("least").to_pylist()
             for a in range(0, len(q), 256):
                 scores = np.full((min(256, len(q) - a), len(x)), -np.inf)
                 here = (visitor >= a) & (visitor < a + 256) & (seen < len(names))
@@ -213,12 +216,19 @@ def _bough_search(k: int):
                     n = int((s > -np.inf).sum())
                     if not n:
                         continue
+                    wanted = least[a + i]
+                    if wanted is not None:
+                        # sums in another order may differ in their last digits
+                        s = np.where(s >= wanted - 1e-9 * max(1.0, abs(wanted)), s, -np.inf)
+                        n = int((s > -np.inf).sum())
+                        if not n:
+                            continue
                     # ties beyond the (k+1)-th best score may not be cut by position: all rows at its score stay
                     some = np.flatnonzero(s >= np.partition(s, -k - 1)[-k - 1] - 1e-9 * abs(s[s > -np.inf]).max()) if n > k + 1 else np.flatnonzero(s > -np.inf)
                     own = own_ids[a + i]
                     # the sum in a fixed order, so that every copy and tree gives the same double
                     exact = np.cumsum(q[a + i] * x[some], axis=1)[:, -1]
-                    pairs = sorted((-e, v) for e, c in zip(exact.tolist(), some.tolist(), strict=True) for v in ids[c] if v != own)[:k]
+                    pairs = sorted((-e, v) for e, c in zip(exact.tolist(), some.tolist(), strict=True) for v in ids[c] if v != own and (wanted is None or e >= wanted))[:k]
                     out_q += [own] * len(pairs)
                     out_v += [v for _, v in pairs]
                     out_s += [-e for e, _ in pairs]
@@ -241,7 +251,8 @@ def search(rows: DataFrame, is_query: Column, k: int, share: float | None = None
     mark = F.xxhash64("vec")
     queries = written(rows.where(is_query).select(F.col("vec_id").alias("query_id"), "vec", mark.alias("mark")).distinct())
     distinct = written(smallest_ids(rows, k))
-    facts = distinct.agg(F.count(F.lit(1)).alias("n"), F.max(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x)).alias("top")).first()
+    single = F.bool_and(F.forall("vec", lambda x: x.cast("float").cast("double") == x))
+    facts = distinct.agg(F.count(F.lit(1)).alias("n"), F.max(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x)).alias("top"), single.alias("single")).first()
     spark, schema = rows.sparkSession, "query_id long, vec_id long, score double, scored long"
     if not facts["n"]:
         return spark.createDataFrame([], schema).select("query_id", F.lit(1).alias("rank"), "vec_id", "score")
@@ -250,17 +261,25 @@ def search(rows: DataFrame, is_query: Column, k: int, share: float | None = None
     shared, boughs = spark.sparkContext.broadcast(forest), spark.sparkContext.broadcast(forest.boughs(BOUGH_ROWS * len(drawn) / facts["n"]))
     # a share of the sample's entries, but never so few that k rows of a small table could be missed
     wanted = max((share_at(facts["n"]) if share is None else share) * len(drawn) * trees, 4.0 * (k + 1) * trees * len(drawn) / facts["n"])
-    filed = _filed(distinct, shared, boughs)
+    # components that single precision holds exactly move as such, half as wide
+    sent = distinct.withColumn("vec", F.col("vec").cast("array<float>")) if facts["single"] else distinct
+    filed = _filed(sent, shared, boughs)
     routed = written(_routed(queries, shared, boughs, wanted))
     n_rows, n_queries = _parts(filed.select("bough"), BOUGH_ROWS), _parts(routed, QUERY_ROWS)
     deal = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
-    c = filed.withColumn("part", F.pmod(F.xxhash64("vec"), n_rows).cast("int")).withColumn("side", deal(n_queries))
-    q = routed.withColumn("side", F.pmod(F.xxhash64("query_id"), n_queries).cast("int")).join(queries.select("query_id", "mark", "vec"), ["query_id", "mark"]).withColumn("part", deal(n_rows))
-    found = q.groupBy("bough", "part", "side").cogroup(c.groupBy("bough", "part", "side")).applyInArrow(_bough_search(k), schema)
-    found = found.select("query_id", "vec_id", "score").distinct()
-    # a vec_id with several vectors counts by its best
-    found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    candidates = filed.withColumn("part", F.pmod(F.xxhash64("vec"), n_rows).cast("int")).withColumn("side", deal(n_queries))
+
+    def searched(some: DataFrame) -> DataFrame:
+        """some(query_id, mark, bough, leaves, least) -> query_id, vec_id, score. A vec_id with several vectors counts by its best."""
+        q = some.withColumn("side", F.pmod(F.xxhash64("query_id"), n_queries).cast("int")).join(queries.select("query_id", "mark", "vec"), ["query_id", "mark"]).withColumn("part", deal(n_rows))
+        found = q.groupBy("bough", "part", "side").cogroup(candidates.groupBy("bough", "part", "side")).applyInArrow(_bough_search(k), schema)
+        return found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    home = written(searched(routed.where("home").withColumn("least", F.lit(None).cast("double"))))
+    least = home.withColumn("rank", rank).where(F.col("rank") == k).select(F.col("query_id").alias("of"), F.col("score").alias("least"))
+    rest = routed.where(~F.col("home")).join(least, F.col("query_id") == F.col("of"), "left").drop("of")
+    found = home.unionByName(searched(rest)).groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
