@@ -56,7 +56,7 @@ def install(monkeypatch):
             found[x, a] = sum(1 << i for i in range(rel.m) if r[i] != s[i])
         return found
 
-    def sample(rel, n, cards, seed=20, **_):
+    def sample(rel, n, cards, slice_rows=0, seed=20):
         rows = [rel.rows[i] for i in sorted(rel.rng.sample(range(n), rel.rng.randint(0, n)))] if n > 1 else []
         codes = [{v: k for k, v in enumerate(dict.fromkeys(r[i] for r in rows))} for i in range(rel.m)]
         rows = np.array([[codes[i][r[i]] for i in range(rel.m)] for r in rows], np.int64).reshape(len(rows), rel.m)

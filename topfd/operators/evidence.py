@@ -85,7 +85,7 @@ def take_sample(rel: Relation, n: int, cards: list[int], slice_rows: int = SLICE
     m = rel.m
     if n < 2 or not m:
         return Sample.of(np.zeros((0, m), np.int32))
-    each = max(500, min(slice_rows, SLICE_CELLS // (m * m)))
+    each = max(64, min(slice_rows, SLICE_CELLS // (m * m)))
     own = [F.pmod(F.xxhash64(F.col(f"_2_{i}"), F.lit(5)), F.lit(max(1, min(max(1, cards[i] // 4), n // each)))) == 0 for i in range(m)]
     held = rel.coded.agg(*[F.coalesce(F.sum(own[i].cast("long")), F.lit(0)).alias(f"n{i}") for i in range(m)]).first()
     row = _draw(seed, *[f"_1_{i}" for i in range(m)])
@@ -127,9 +127,16 @@ def _masks(differ: np.ndarray) -> set[int]:
 
 
 def edges_of_sample(sample: Sample, sorts: int = SORTS, seed: int = 20) -> set[int]:
-    """Difference sets of neighbours in sort orders that each attribute leads in turn, over its slice: they agree on long prefixes, so their difference sets are small and say most."""
+    """Difference sets of neighbours in sort orders that each attribute leads in turn, over its slice: they agree on long prefixes, so their difference sets are small and say most.
+    sorts=0: neighbours in one class order of each attribute alone, as little evidence as a sampling phase may give."""
     rng, found = np.random.default_rng(seed), set()
     m = sample.rows.shape[1]
+    if not sorts:
+        for i in range(m):
+            rows = sample.rows[sample.slices[i]]
+            at = rows[np.argsort(rows[:, i], kind="stable")]
+            found |= _masks(at[1:] != at[:-1])
+        return found
     some = sample.rows[:: max(1, len(sample) // SLICE_ROWS)]
     for lead in [*range(m), *[None] * sorts]:
         rows = some if lead is None else sample.rows[sample.slices[lead]]

@@ -131,6 +131,7 @@ class _Run:
     sample_refuted: int = 0
     slice_refuted: int = 0
     cut: bool = False
+    early: bool = True
     progress: Progress | None = None
 
     def over(self) -> bool:
@@ -149,6 +150,8 @@ class _Run:
     def refute_early(self, candidates: list[tuple[int, int]]) -> set[tuple[int, int]]:
         """Candidates that the driver's bounded sample of rows already refutes, at no job's cost; if there is none, those that a slice of the classes refutes.
         Their difference sets are added."""
+        if not self.early:
+            return set()
         out = self._refute_on_sample(candidates)
         one_in = min(MOST_SLICES, self.n // SLICE_ROWS)
         fresh = [c for c in candidates if c not in self.unsliced and c not in self.known]
@@ -385,6 +388,8 @@ def discover(
     empty_lhs: bool = True,
     sample: bool = True,
     sample_bound: bool = True,
+    slice_rows: int = evidence.SLICE_ROWS,
+    early: bool = True,
     edges: set[int] | None = None,
     limits: Limits | None = None,
     persist: bool = False,
@@ -401,6 +406,7 @@ def discover(
     kernel: tree or antichain; without a choice, antichains where candidates are validated in batches, and the published trees one by one or without k.
     edges: stored difference sets of the same rows. batch: candidates of a round; 1 validates one by one. max_lhs: leave larger left-hand sides out. limits: end early with status over_budget.
     strict_counts: don't test a node's bound again when it is popped. sample_bound: also bound by the classes that a set has among the sampled rows.
+    slice_rows: sampled rows of an attribute, at most. early: refute candidates on the sample and on slices before they are validated; without it, the sample gives no more than a few neighbours' difference sets.
     persist: keep the codes of a DataFrame while the search runs. warm_start: single attributes first (default: where batches are used).
     spread: the antichains are multiplied on the executors, one task a right-hand side. profile="lower": sketched lower estimates instead of exact
     counts of near-keys; the run then says that it isn't exact. recheck: the answer is counted again by raw values, and a difference is an error.
@@ -430,7 +436,7 @@ def discover(
         n, cards = cardinality.profile(rel) if rel.m else (rel.df.count(), [])
     access = attribute_order(cards, choice["order"], seed)
     matrix = PairMatrix(n, cards, choice["bound"])
-    run = _Run(rel, top, n, cards, access, matrix, set(edges or ()), max(1, batch), limits or Limits(), began, progress=progress)
+    run = _Run(rel, top, n, cards, access, matrix, set(edges or ()), max(1, batch), limits or Limits(), began, early=early, progress=progress)
     run.jobs = 0 if held else 2
     if held:
         run.edges |= held.edges
@@ -444,10 +450,10 @@ def discover(
         run.pairs_s = time.monotonic() - spent
         run.jobs += 1
     if sample and edges is None:
-        run.sample = evidence.take_sample(rel, n, cards, seed=seed)
+        run.sample = evidence.take_sample(rel, n, cards, slice_rows, seed)
         if sample_bound and k is not None:
             matrix.sample = run.sample.rows[: evidence.COUNT_CELLS // max(1, rel.m)]
-        run.edges |= evidence.edges_of_sample(run.sample, seed=seed) if len(run.sample) else set()
+        run.edges |= evidence.edges_of_sample(run.sample, evidence.SORTS if early else 0, seed) if len(run.sample) else set()
         run.jobs += 2
     run.mark()
     if n:
