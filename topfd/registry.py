@@ -161,7 +161,6 @@ query("topk_batch1", oracle.topk("order_lines", 10, 2))(answer("order_lines", ba
 query("topk_batch16", oracle.topk("order_lines", 10, 2))(answer("order_lines", batch=16, max_lhs=2, warm_start=False))
 query("topk_spread_kernel", oracle.topk("cust_geo", 10))(answer("cust_geo", spread=True, warm_start=False))
 query("topk_lower_profile", oracle.topk("cust_geo", 10))(answer("cust_geo", profile="lower"))
-query("topk_embedding_bins", oracle.topk("embedding_bins", 10, 2))(answer("embedding_bins", max_lhs=2))
 query("topk_cache_bound", oracle.topk("orders_calendar", 10))(answer("orders_calendar", bound="cache"))
 query("topk_random_order", oracle.topk("orders_calendar", 10))(answer("orders_calendar", order="random"))
 query("topk_no_sample", oracle.topk("doc_labels", 10))(answer("doc_labels", sample=False))
@@ -443,7 +442,7 @@ def w4_k_sweep(spark, sf):
 
 @query("w7_cases", " UNION ALL ".join(f"SELECT '{v}' AS relation, rank, lhs_text, rhs, redundancy, n_rows, n_classes FROM ({oracle.topk(v, 3, m)})" for v, m in (("orders_calendar", None), ("cust_geo", 3), ("doc_labels", None))))
 def w7_cases(spark, sf):
-    return workloads.cases(spark, sf, ("orders_calendar", "cust_geo", "doc_labels")).drop("kind")
+    return workloads.cases(spark, sf, ("orders_calendar", "cust_geo", "doc_labels")).drop("kind", "lift")
 
 
 # ---- around: sources, joins, aggregations, windows, sets, functions, applications, streams ---------------------------------------------------
