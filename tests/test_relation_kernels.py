@@ -265,3 +265,19 @@ def test_a_wrong_answer_would_be_an_error(spark, monkeypatch):
     with pytest.raises(RuntimeError):
         discover(rel_of(spark, rows, schema), 3)
     assert discover(rel_of(spark, rows, schema), 3, recheck=False).fds
+
+
+def test_neighbours_in_a_window_give_their_difference_sets(spark):
+    rows = [(1, 1, "a", None), (1, 2, "a", None), (1, 3, "b", 4), (2, 1, "a", 1), (2, 2, "b", 1), (3, 1, "c", 2)]
+    df = spark.createDataFrame(rows, "g long, `at.x` long, p string, q long")
+    got = {r["attrs"]: r["support"] for r in E.lag_pairs(df, ["g"], ["at.x"], ["q", "p"]).collect()}
+    assert got == {"": 1, "p,q": 1, "p": 1}
+    assert {r["attrs"]: r["support"] for r in E.lag_pairs(df, ["g"], ["at.x"], ["q", "p"], lag=2).collect()} == {"p,q": 1}
+    assert E.lag_pairs(df.limit(0), ["g"], ["at.x"], ["p"]).count() == 0
+
+
+def test_an_anti_join_leaves_minimal_masks(spark):
+    # of the sets over bits 1, 2, 4: 1 gives 2, so {1, 4} gives 2 too but isn't minimal
+    cards = spark.createDataFrame([(0, 1), (1, 3), (2, 2), (4, 2), (3, 3), (5, 4), (6, 4), (7, 4)], "mask long, card long")
+    found = D.minimal_masks(cards, spark.createDataFrame([(1,), (2,), (4,)], "bit long"))
+    assert {tuple(r) for r in found.collect()} == {(1, 2, 3), (6, 1, 4)}

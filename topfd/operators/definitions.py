@@ -32,6 +32,17 @@ def minimal_only(fds: DataFrame) -> DataFrame:
     return own.join(small, inside, "left_anti")
 
 
+def minimal_masks(cards: DataFrame, attributes: DataFrame) -> DataFrame:
+    """mask, bit, n_classes of the minimal dependencies among cards(mask, card), which holds all sets up to some size, and attributes(bit). Counts of a set with and without an
+    attribute meet by the set's mask, and an anti join by right-hand side leaves out what contains a smaller left-hand side."""
+    left = cards.select("mask", F.col("card").alias("n_classes")).join(F.broadcast(attributes), F.col("mask").bitwiseAND(F.col("bit")) == 0)
+    held = left.join(cards.select(F.col("mask").alias("whole"), "card"), (F.col("whole") == F.col("mask").bitwiseOR(F.col("bit"))) & (F.col("card") == F.col("n_classes")))
+    held = held.select("mask", "bit", "n_classes")
+    less = held.select(F.col("mask").alias("less"), F.col("bit").alias("of"))
+    inside = (F.col("bit") == F.col("of")) & (F.col("less") != F.col("mask")) & (F.col("less").bitwiseAND(F.col("mask")) == F.col("less"))
+    return held.join(less, inside, "left_anti")
+
+
 def rank_topk(fds: DataFrame, k: int) -> DataFrame:
     """The k best with positive redundancy in canonical order, ranked from 1."""
     best = fds.where(F.col("redundancy") > 0).orderBy(F.desc("redundancy"), "lhs_size", "lhs_text", "rhs").limit(k)

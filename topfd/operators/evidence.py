@@ -10,7 +10,7 @@ from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import Relation, bits
@@ -194,6 +194,16 @@ def violating_edges(rel: Relation, broken: Iterable[tuple[int, int, tuple[int, i
     return found
 
 
+def lag_pairs(df: DataFrame, within: list[str], order_by: list[str], columns: list[str], lag: int = 1) -> DataFrame:
+    """attrs (names of columns that differ, comma-separated, sorted), support: over pairs of rows `lag` places apart in their class of `within`. Each class is sorted in
+    one task, so `within` has to be of many classes; order_by has to be unique in a class for reruns to agree."""
+    window = Window.partitionBy(*[F.col(f"`{c}`") for c in within]).orderBy(*[F.col(f"`{c}`") for c in order_by])
+    row = F.struct(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(columns)])
+    pairs = df.select(row.alias("own"), F.lag(row, lag).over(window).alias("other")).where("other IS NOT NULL")
+    differ = [F.when(~F.col(f"own.c{i}").eqNullSafe(F.col(f"other.c{i}")), F.lit(c)) for c, i in sorted((c, i) for i, c in enumerate(columns))]
+    return pairs.groupBy(F.concat_ws(",", *differ).alias("attrs")).agg(F.count(F.lit(1)).alias("support"))
+
+
 def induce(edges: Iterable[int], rhs: int) -> set[int]:
     """Edges with the attribute, without it: what a left-hand side has to hit. An empty one means that nothing determines the attribute."""
     return {e & ~(1 << rhs) for e in edges if e >> rhs & 1}

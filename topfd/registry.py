@@ -484,6 +484,18 @@ query("join_sortmerge", "SELECT o_orderpriority, count(*) AS n FROM lineitem JOI
 query("join_left_labels", "SELECT quality, count(*) AS n FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id GROUP BY quality")(lambda s, d: VIEWS["doc_labels"](s, d).groupBy("quality").agg(F.count(F.lit(1)).alias("n")))
 query("join_semi_violations", "SELECT o_orderkey, o_custkey, o_orderstatus FROM orders WHERE o_custkey IN (SELECT o_custkey FROM orders GROUP BY o_custkey HAVING count(DISTINCT o_orderstatus) > 1)")(
     lambda s, d: apply.violating_rows(views.read(s, d, "orders").select("o_orderkey", "o_custkey", "o_orderstatus"), ["o_custkey"], "o_orderstatus"))
+@query("join_anti_minimal", oracle.over_fds("cust_geo", "SELECT lhs_text, rhs, CAST(n_classes AS BIGINT) AS n_classes FROM fds", 2))
+def join_anti_minimal(spark, sf):
+    """Minimal dependencies with up to two attributes on the left, from class counts alone: one join of the counts, one anti join."""
+    rel = bound(spark, sf, "cust_geo")
+    cards = cardinality.set_cardinalities(rel, [mask_of(some, rel.columns) for size in range(4) for some in combinations(rel.columns, size)])
+    rel.release()
+    sets = spark.createDataFrame([(s, c, rel.lhs_text(s)) for s, c in cards.items()], "mask long, card long, lhs_text string")
+    names = spark.createDataFrame([(1 << i, c) for i, c in enumerate(rel.columns)], "bit long, rhs string")
+    found = definitions.minimal_masks(sets.select("mask", "card"), names.select("bit")).where("bit_count(mask) <= 2")
+    return found.join(F.broadcast(sets.select("mask", "lhs_text")), "mask").join(F.broadcast(names), "bit").select("lhs_text", "rhs", "n_classes")
+
+
 query("join_pairs_theta", "SELECT count(*) AS n FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_custkey < b.c_custkey WHERE a.c_mktsegment = b.c_mktsegment")(
     lambda s, d: views.read(s, d, "customer").alias("a").join(views.read(s, d, "customer").alias("b"), (F.col("a.c_nationkey") == F.col("b.c_nationkey")) & (F.col("a.c_custkey") < F.col("b.c_custkey")) & (F.col("a.c_mktsegment") == F.col("b.c_mktsegment"))).agg(F.count(F.lit(1)).alias("n")))
 query("join_range_prefix", "SELECT count(*) AS n FROM lineitem WHERE l_orderkey <= (SELECT quantile_disc(l_orderkey, 0.6) FROM lineitem)")(lambda s, d: views.prefix(views.read(s, d, "lineitem"), "l_orderkey", 0.6).agg(F.count(F.lit(1)).alias("n")))
@@ -519,6 +531,10 @@ def _geo(spark, sf) -> DataFrame:
 
 query("win_rank_fds", f"SELECT lhs_text, rhs, redundancy, rank() OVER w AS rank_, dense_rank() OVER w AS dense_rank_, row_number() OVER (PARTITION BY rhs ORDER BY redundancy DESC, lhs_size, lhs_text) AS row_number_, round(CASE WHEN max(redundancy) OVER (PARTITION BY rhs) > 0 THEN redundancy / max(redundancy) OVER (PARTITION BY rhs) END, 9) AS ratio_to_best, CAST(sum(redundancy) OVER (PARTITION BY rhs ORDER BY redundancy DESC, lhs_size, lhs_text ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM ({_GEO}) WINDOW w AS (PARTITION BY rhs ORDER BY redundancy DESC)")(
     lambda s, d: apply.ranked(_geo(s, d)))
+_LAGGED = ("o_orderdate", "o_orderpriority", "o_orderstatus", "o_totalprice")
+_LAG_FLAGS = ", ".join(f"CASE WHEN {c} IS DISTINCT FROM lag({c}) OVER w THEN '{c}' END" for c in _LAGGED)
+query("win_lag_pairs", f"SELECT attrs, count(*) AS support FROM (SELECT array_to_string(list_filter([{_LAG_FLAGS}], lambda x: x IS NOT NULL), ',') AS attrs, row_number() OVER w AS place FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)) WHERE place > 1 GROUP BY attrs")(
+    lambda s, d: evidence.lag_pairs(views.read(s, d, "orders"), ["o_custkey"], ["o_orderkey"], list(_LAGGED)))
 query("win_range_frame", f"SELECT lhs_text, rhs, redundancy, count(*) OVER (ORDER BY redundancy RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS near FROM ({_GEO})")(
     lambda s, d: _geo(s, d).select("lhs_text", "rhs", "redundancy", F.count(F.lit(1)).over(Window.orderBy("redundancy").rangeBetween(-100, 0)).alias("near")))
 query("top_fds_per_rhs", f"SELECT lhs_text, rhs, redundancy, CAST(row_number() OVER (PARTITION BY rhs ORDER BY redundancy DESC, lhs_size, lhs_text) AS INTEGER) AS place FROM ({_GEO}) QUALIFY place <= 2")(
