@@ -83,6 +83,13 @@ def exploded_cardinalities(rel: Relation, sets: list[int]) -> dict[int, int]:
     return {s: got.get(s, 0) for s in sets}
 
 
+def _union_all(frames: list[DataFrame]) -> DataFrame:
+    """One union. Spark analyses and flattens it at every step, so halves are united, not one frame after the other."""
+    while len(frames) > 1:
+        frames = [a.unionAll(b) for a, b in zip(frames[::2], frames[1::2])] + frames[len(frames) // 2 * 2 :]
+    return frames[0]
+
+
 def coded_cardinalities(rel: Relation, sets: Iterable[int]) -> dict[int, int]:
     """The kernel of the search: number of classes of each set by 128-bit keys over codes, one branch a set, so a job reads only the columns of its sets and
     a task's hash table holds one set. Exact up to 128-bit collisions; answers are counted again by raw values."""
@@ -93,7 +100,7 @@ def coded_cardinalities(rel: Relation, sets: Iterable[int]) -> dict[int, int]:
     for at in range(0, len(wanted), per_job):
         some = wanted[at : at + per_job]
         keyed = [rel.coded.selectExpr(f"{k} AS s", *(f"{x} AS x{i}" for i, x in enumerate(rel.key_sql(s), 1))) for k, s in enumerate(some)]
-        counted = reduce(DataFrame.unionAll, keyed).distinct().groupBy("s").count()
+        counted = _union_all(keyed).distinct().groupBy("s").count()
         found |= dict.fromkeys(some, 0) | {some[r["s"]]: r["count"] for r in counted.collect()}
     return found
 
@@ -158,7 +165,7 @@ def check_frame(rel: Relation, entries: list[tuple[int, list[int]]], one_in: int
         values = [f"_1_{a}" for a in rhs] + ["CAST(NULL AS BIGINT)"] * (width - len(rhs))
         # as text: a plan of many branches is built by one call a branch
         branches.append(rows.selectExpr(f"{k} AS s", *(f"{x} AS x{i}" for i, x in enumerate(rel.key_sql(lhs), 1)), *(f"{v} AS v{i}" for i, v in enumerate(values))))
-    rows = reduce(DataFrame.unionAll, branches)
+    rows = _union_all(branches)
     classes = rows.groupBy("s", "x1", "x2").agg(*[f(f"v{i}").alias(f"{n}{i}") for i in range(width) for f, n in ((F.min, "lo"), (F.max, "hi"))])
     # both halves of an example are first values under one condition, hence of one class
     examples = [F.first(F.when(F.col(f"lo{i}") != F.col(f"hi{i}"), F.col(x)), ignorenulls=True).alias(f"{x}_{i}") for i in range(width) for x in ("x1", "x2")]
