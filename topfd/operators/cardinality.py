@@ -86,7 +86,7 @@ def exploded_cardinalities(rel: Relation, sets: list[int]) -> dict[int, int]:
 def _union_all(frames: list[DataFrame]) -> DataFrame:
     """One union. Spark analyses and flattens it at every step, so halves are united, not one frame after the other."""
     while len(frames) > 1:
-        frames = [a.unionAll(b) for a, b in zip(frames[::2], frames[1::2])] + frames[len(frames) // 2 * 2 :]
+        frames = [a.unionAll(b) for a, b in zip(frames[::2], frames[1::2], strict=False)] + frames[len(frames) // 2 * 2 :]
     return frames[0]
 
 
