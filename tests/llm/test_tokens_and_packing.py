@@ -3,6 +3,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 
 from tests.llm.tables import awkward, docs
@@ -32,6 +33,14 @@ def test_fast_ids_are_the_reference_ids(reference):
         assert encode(text).tolist() == reference(text), repr(text)
 
 
+def test_ids_of_whole_documents_are_the_reference_ids(reference):
+    texts = pq.read_table("/root/testdata/sf0.01/documents.parquet", columns=["text"]).column("text").to_pylist()
+    encode = T.encoder()
+    assert len(texts) >= 1000
+    for text in texts:
+        assert encode(text or "").tolist() == reference(text or "")
+
+
 def test_other_texts_take_the_reference(reference):
     encode = T.encoder()
     for text in ("漢字 кириллица", "a<|endoftext|>b", "x\x1cy\x85z", "e\u0301", "\u00a0 \u2003x", "😀 ok", ""):
