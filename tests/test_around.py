@@ -102,6 +102,22 @@ def test_stream_finds_contradictions_and_resumes(spark, tmp_path):
     assert spark.read.parquet(out).count() == 2
 
 
+def test_drained_rows_are_files_and_go_on_from_their_checkpoint(spark, tmp_path):
+    from datetime import datetime
+
+    at = lambda h: datetime(2024, 1, 1, h)
+    first = [("a", "2", at(1)), ("a", "1", at(1)), ("a", None, at(2)), ("b", "x", at(5)), ("b", "y", None), ("c", None, at(1)), ("c", "z", at(1))]
+    events = _stream(spark, tmp_path, [first])
+    found = monitor.drain(monitor.contradictions(events, ["k"], "v"), "_c2", f"{tmp_path}/cp")
+    assert found.inputFiles()
+    columns = ("lhs_key", "rhs_first", "rhs_now", "at")
+    want = monitor.contradictions_batch(spark.createDataFrame(first, "k string, v string, ts timestamp"), ["k"], "v").select(*columns)
+    assert sorted(map(str, found.select(*columns).collect())) == sorted(map(str, want.collect())) and want.count() == 4
+    spark.createDataFrame([("b", "x", at(9)), ("b", "y", at(9))], "k string, v string, ts timestamp").coalesce(1).write.parquet(f"{tmp_path}/in/1")
+    monitor.drain(monitor.contradictions(events, ["k"], "v"), "_c2", f"{tmp_path}/cp")
+    assert spark.table("_c2").count() == 5
+
+
 def test_windows_over_streams_and_tables(spark, tmp_path):
     from datetime import datetime
 
