@@ -118,6 +118,16 @@ def test_drained_rows_are_files_and_go_on_from_their_checkpoint(spark, tmp_path)
     assert spark.table("_c2").count() == 5
 
 
+def test_first_arrivals_are_kept_in_files(spark, tmp_path):
+    from datetime import datetime
+
+    rows = [(str(i % 7), str(i), datetime(2024, 1, 1, i % 24)) for i in range(40)]
+    events = _stream(spark, tmp_path, [rows])
+    found = monitor.drain(monitor.distinct_events(events, ["k"], late="3650 days"), "_d", f"{tmp_path}/cp")
+    assert found.inputFiles() and found.columns == ["k", "v", "ts"]
+    assert sorted(r["k"] for r in found.collect()) == [str(i) for i in range(7)]
+
+
 def test_windows_over_streams_and_tables(spark, tmp_path):
     from datetime import datetime
 
