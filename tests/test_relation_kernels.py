@@ -281,3 +281,16 @@ def test_an_anti_join_leaves_minimal_masks(spark):
     cards = spark.createDataFrame([(0, 1), (1, 3), (2, 2), (4, 2), (3, 3), (5, 4), (6, 4), (7, 4)], "mask long, card long")
     found = D.minimal_masks(cards, spark.createDataFrame([(1,), (2,), (4,)], "bit long"))
     assert {tuple(r) for r in found.collect()} == {(1, 2, 3), (6, 1, 4)}
+
+
+def test_kept_codes_of_one_file_are_dealt_out(spark, tmp_path):
+    spark.range(200_000).selectExpr("id", "xxhash64(id) AS h", "id % 7 AS a", "id % 7 % 3 AS b").coalesce(1).write.parquet(f"{tmp_path}/t")
+    df = spark.read.parquet(f"{tmp_path}/t")
+    kept, plain = Relation.bind(df, persist=True), Relation.bind(df)
+    tasks = [r.coded.groupBy(F.spark_partition_id()).count().count() for r in (kept, plain)]
+    assert tasks[0] > 1 == tasks[1]
+    assert discover(kept, 5).fds == discover(plain, 5).fds
+    kept.release()
+    # a table of a few rows stays in one task
+    spark.range(20).coalesce(1).write.parquet(f"{tmp_path}/s")
+    assert Relation.bind(spark.read.parquet(f"{tmp_path}/s"), persist=True).coded.rdd.getNumPartitions() == 1
