@@ -294,3 +294,20 @@ def test_kept_codes_of_one_file_are_dealt_out(spark, tmp_path):
     # a table of a few rows stays in one task
     spark.range(20).coalesce(1).write.parquet(f"{tmp_path}/s")
     assert Relation.bind(spark.read.parquet(f"{tmp_path}/s"), persist=True).coded.rdd.getNumPartitions() == 1
+
+
+def test_difference_sets_of_many_rows_and_few_classes(spark):
+    df = spark.range(5_000).selectExpr("id % 3 AS a", "IF(id % 3 = 0, NULL, 'x') AS b", "id % 2 AS c")
+    rel = Relation.bind(df)
+    got = {rel.lhs_text(E.mask_of_words(r["words"])): r["support"] for r in E.all_difference_sets(rel).collect()}
+    classes = {}
+    for r in df.collect():
+        classes[tuple(r)] = classes.get(tuple(r), 0) + 1
+    want = {}
+    for x, n in classes.items():
+        for y, m in classes.items():
+            text = ",".join(name for name, u, v in zip("abc", x, y, strict=True) if u != v)
+            want[text] = want.get(text, 0) + (n * (n - 1) if x == y else n * m)
+    assert got == {t: n // 2 for t, n in want.items()} and sum(got.values()) == 5_000 * 4_999 // 2
+    with pytest.raises(ValueError):
+        E.all_difference_sets(Relation.bind(spark.range(2_001)))
