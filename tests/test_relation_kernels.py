@@ -311,3 +311,23 @@ def test_difference_sets_of_many_rows_and_few_classes(spark):
     assert got == {t: n // 2 for t, n in want.items()} and sum(got.values()) == 5_000 * 4_999 // 2
     with pytest.raises(ValueError):
         E.all_difference_sets(Relation.bind(spark.range(2_001)))
+
+
+def _orders(spark, tmp_path):
+    """Eight orders of two years; the quarter follows from the month alone."""
+    days = ("2023-01-05", "2023-02-05", "2023-04-05", "2023-04-06", "2024-01-05", "2024-05-05", "2024-05-05", "2024-12-31")
+    rows = [(i, i % 3, "FOP"[i % 3], 1.0, d, "1-URGENT") for i, d in enumerate(days)]
+    df = spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double, o_orderdate string, o_orderpriority string")
+    df.withColumn("o_orderdate", F.to_date("o_orderdate")).write.parquet(f"{tmp_path}/orders.parquet")
+    return str(tmp_path), [(r[2], int(r[4][:4]), (int(r[4][5:7]) + 2) // 3, int(r[4][5:7])) for r in rows]
+
+
+def test_induced_edges_are_those_of_the_orders_given(spark, tmp_path):
+    from topfd.registry import QUERIES
+    from topfd.sources.views import COLUMNS
+
+    folder, rows = _orders(spark, tmp_path)
+    names = COLUMNS["order_months"]
+    sets = [{c for c, x, y in zip(names, a, b, strict=True) if x != y} for i, a in enumerate(rows) for b in rows[:i]]
+    want = {",".join(sorted(e - {"o_quarter"})) for e in sets if "o_quarter" in e}
+    assert {r["attrs"] for r in QUERIES["induced_edges"](spark, folder).collect()} == want
