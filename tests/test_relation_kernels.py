@@ -331,3 +331,13 @@ def test_induced_edges_are_those_of_the_orders_given(spark, tmp_path):
     sets = [{c for c, x, y in zip(names, a, b, strict=True) if x != y} for i, a in enumerate(rows) for b in rows[:i]]
     want = {",".join(sorted(e - {"o_quarter"})) for e in sets if "o_quarter" in e}
     assert {r["attrs"] for r in QUERIES["induced_edges"](spark, folder).collect()} == want
+
+
+def test_minimal_edges_are_those_of_the_orders_given(spark, tmp_path):
+    from topfd.registry import QUERIES
+
+    folder, rows = _orders(spark, tmp_path)
+    induced = [frozenset(c for c, x, y in zip("sym", (a[0], a[1], a[3]), (b[0], b[1], b[3]), strict=True) if x != y) for i, a in enumerate(rows) for b in rows[:i] if a[2] != b[2]]
+    least = {e for e in induced if not any(x < e for x in induced)}
+    text = {"s": "o_orderstatus", "y": "o_year", "m": "o_month"}
+    assert {r["attrs"] for r in QUERIES["minimal_edges"](spark, folder).collect()} == {",".join(sorted(text[c] for c in e)) for e in least}
