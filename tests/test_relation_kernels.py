@@ -341,3 +341,11 @@ def test_minimal_edges_are_those_of_the_orders_given(spark, tmp_path):
     least = {e for e in induced if not any(x < e for x in induced)}
     text = {"s": "o_orderstatus", "y": "o_year", "m": "o_month"}
     assert {r["attrs"] for r in QUERIES["minimal_edges"](spark, folder).collect()} == {",".join(sorted(text[c] for c in e)) for e in least}
+
+
+def test_mask_names_are_of_the_orders_given(spark, tmp_path):
+    from topfd.registry import QUERIES
+
+    spark.range(20).select(F.col("id").alias("o_orderkey")).write.parquet(f"{tmp_path}/orders.parquet")
+    got = {r["mask"]: (r["names"], r["n"]) for r in QUERIES["fn_mask_names"](spark, str(tmp_path)).collect()}
+    assert len(got) == 8 and got[0] == ("", 3) and got[3] == ("n_name,n_nationkey", 3) and got[7] == ("n_name,n_nationkey,n_regionkey", 2)
