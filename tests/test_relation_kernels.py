@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -10,6 +11,7 @@ from topfd.model import Limits, Relation, bits, mask_of
 from topfd.operators import cardinality as C
 from topfd.operators import definitions as D
 from topfd.operators import evidence as E
+from topfd.operators import local_classes
 from topfd.plans.baseline import brute_force as spark_brute_force
 from topfd.plans.baseline import closure, discover_all, implied, simplify_group_by
 from topfd.plans.metrics import kinds, lift, ratios
@@ -349,3 +351,42 @@ def test_mask_names_are_of_the_orders_given(spark, tmp_path):
     spark.range(20).select(F.col("id").alias("o_orderkey")).write.parquet(f"{tmp_path}/orders.parquet")
     got = {r["mask"]: (r["names"], r["n"]) for r in QUERIES["fn_mask_names"](spark, str(tmp_path)).collect()}
     assert len(got) == 8 and got[0] == ("", 3) and got[3] == ("n_name,n_nationkey", 3) and got[7] == ("n_name,n_nationkey,n_regionkey", 2)
+
+
+def test_classes_are_checked_where_they_lie_together(spark, monkeypatch):
+    """Many left-hand sides in one pass over dealt rows: the same classes and verdicts as by hash aggregation, and difference sets of given pairs of rows."""
+    monkeypatch.setattr(local_classes, "CLASSES_A_TASK", 1)
+    rng = np.random.default_rng(3)
+    rows = [tuple(int(x) or None for x in r) for r in np.stack([rng.integers(0, c, 600) for c in (500, 90, 40, 6, 3)], 1).tolist()]
+    rel = Relation.bind(spark.createDataFrame(rows, "a int, b int, c int, d int, e int"))
+    candidates = [(s, a) for s in range(1, 32) for a in range(5) if not s >> a & 1]
+    slow = C.check_batch(rel, candidates)
+    pairs = {E.mask_between(x, y) for i, x in enumerate(rows) for y in rows[:i]}
+    rel.counted = C.profile(rel)
+    for whole, most in ((16, 4_000_000), (2, 4_000_000), (16, 100)):
+        # rows sent whole; narrow rows; tasks that hold too much and leave some sets to the hash aggregation
+        monkeypatch.setattr(local_classes, "WHOLE_ROWS", whole)
+        monkeypatch.setattr(local_classes, "MOST_TASK_ROWS", most)
+        fast = C.check_batch(rel, candidates)
+        assert {c: (v.valid, v.n_classes) for c, v in fast.items()} == {c: (v.valid, v.n_classes) for c, v in slow.items()}
+        assert all(set(v.edges) <= pairs and all(e >> a & 1 and not e & s for e in v.edges) for (s, a), v in fast.items())
+        assert any(v.edges for v in fast.values()) == (whole == 16 and most > 100)
+        unseen = E.violating_edges(rel, [(s, a, v.example) for (s, a), v in fast.items() if not v.valid and not v.edges])
+        assert set(unseen.values()) <= pairs and (unseen or most > 100)
+    assert not any(local_classes.deal([(3, [2]), (1, [2]), (8, [0])], [1000, 1000, 9, 2], 4)[0].keys() - {1}) and local_classes.deal([(8, [0])], [1, 1, 1, 2], 4) == ({}, [0])
+
+
+def test_a_sample_that_is_the_whole_relation_decides(spark):
+    rel = Relation.bind(spark.createDataFrame([(1, 1, 1), (1, 1, 2), (2, 1, 3), (3, None, 3), (3, None, 3)], "a int, b int, c int"))
+    n, cards = C.profile(rel)
+    sample = E.take_sample(rel, n, cards)
+    assert sample.whole and not E.take_sample(Relation.bind(spark.range(70).toDF("a")), 70, [70], 10).whole
+    for (lhs, a), v in C.check_batch(rel, [(s, a) for s in range(8) for a in range(3) if not s >> a & 1]).items():
+        card, edges = E.check_on_sample(sample, lhs, a)
+        assert (card, not edges) == (v.n_classes, v.valid) and all(e >> a & 1 and not e & lhs for e in edges)
+
+
+def test_masks_of_any_width():
+    for m in (1, 9, 64, 70):
+        differ = np.random.default_rng(m).random((50, m)) < 0.3
+        assert E._masks(differ) == {sum(1 << i for i in range(m) if r[i]) for r in differ} - {0}

@@ -46,3 +46,16 @@ def test_registered_workloads_are_whole(spark, monkeypatch):
     assert [v for v, _ in bound] == ["order_lines", "doc_labels"]
     ask("w9_limits")
     assert bound == [("wide_star", 40)] and [x[2] is None for x in runs] == [True, False]
+
+
+def test_runs_of_a_workload_prepare_a_relation_once(spark, tmp_path, monkeypatch):
+    monkeypatch.setitem(VIEWS, "small", _tables(spark, tmp_path))
+    monkeypatch.setitem(COLUMNS, "small", ("a", "b", "c", "d"))
+    taken, take = [], workloads.discover.__globals__["evidence"].take_sample
+    monkeypatch.setattr(workloads.discover.__globals__["evidence"], "take_sample", lambda *a: taken.append(1) or take(*a))
+    rows = workloads.k_sweep(spark, str(tmp_path), "small", ks=(1, 2, 3)).collect()
+    # one for the run that warms up
+    assert len(taken) == 2 and len(rows) == 4
+    prepared = workloads.discover(workloads.sharing(workloads.bound_view(spark, str(tmp_path), "small")), 3)
+    alone = workloads.discover(workloads.bound_view(spark, str(tmp_path), "small"), 3)
+    assert prepared.fds == alone.fds and prepared.stats["wall_s"] > 0 and prepared.stats["peak_heap_mb"] > 0
