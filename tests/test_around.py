@@ -128,6 +128,23 @@ def test_first_arrivals_are_kept_in_files(spark, tmp_path):
     assert sorted(r["k"] for r in found.collect()) == [str(i) for i in range(7)]
 
 
+def test_first_arrivals_need_no_closing_batch(spark, tmp_path):
+    from datetime import datetime
+    from pathlib import Path
+
+    batches = lambda name: len(list(Path(f"{tmp_path}/{name}/commits").glob("[0-9]*")))
+    events = _stream(spark, tmp_path, [[(str(i % 7), str(i), datetime(2024, 1, 1, i % 24)) for i in range(40)]])
+    first = monitor.distinct_events(events, ["k"], late="3650 days")
+    before, found = spark.conf.get(monitor.CLOSING), {}
+    for name, closing in (("with", True), ("without", False)):
+        found[name] = monitor.drain(first, f"_{name}", f"{tmp_path}/{name}", closing=closing).select("k").collect()
+        assert spark.conf.get(monitor.CLOSING) == before
+    assert sorted(found["with"]) == sorted(found["without"]) and (batches("with"), batches("without")) == (2, 1)
+    # what comes later goes on from there
+    spark.createDataFrame([("3", "x", datetime(2024, 1, 2)), ("new", "x", datetime(2024, 1, 2))], "k string, v string, ts timestamp").coalesce(1).write.parquet(f"{tmp_path}/in/1")
+    assert monitor.drain(first, "_without", f"{tmp_path}/without", closing=False).count() == 8
+
+
 def test_windows_over_streams_and_tables(spark, tmp_path):
     from datetime import datetime
 
