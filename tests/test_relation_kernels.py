@@ -390,3 +390,17 @@ def test_masks_of_any_width():
     for m in (1, 9, 64, 70):
         differ = np.random.default_rng(m).random((50, m)) < 0.3
         assert E._masks(differ) == {sum(1 << i for i in range(m) if r[i]) for r in differ} - {0}
+
+
+@pytest.mark.parametrize("nulls", ["eq", "neq"])
+def test_kept_rows_are_narrow_and_give_the_same_codes(spark, nulls):
+    df = spark.sql("SELECT IF(id % 3 = 0, NULL, id) AS a, CAST(id % 5 AS INT) AS b, IF(id % 4 = 0, double('nan'), -0.0D * id) AS c, concat('x', id % 2) AS d, date_add(DATE'2020-01-01', int(id % 9)) AS e, timestamp_micros(id % 7) AS f, id % 2 = 0 AS g FROM range(300)")
+    kept, plain = Relation.bind(df, nulls=nulls, persist=True), Relation.bind(df, nulls=nulls)
+    if nulls == "eq":
+        # values where they are no larger than a code, two codes of text
+        assert kept.stored.columns == ["_0_0", "_0_1", "_0_2", "_1_3", "_2_3", "_0_4", "_0_5", "_0_6"]
+        assert sorted(map(tuple, kept.coded.collect())) == sorted(map(tuple, plain.coded.collect()))
+    assert kept.coded.columns == plain.coded.columns and kept.coded.distinct().count() == plain.coded.distinct().count() == 300
+    assert kept.stored.storageLevel.useMemory
+    kept.release()
+    assert not kept.stored.storageLevel.useMemory
